@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe_replay, chat_masks, decontaminate, warc_revisits
+from . import bpe_replay, chat_masks, decontaminate, jaccard_join, recurrent_lm, risk_rules, site_style_tree, toxicity, url_rules, warc_revisits
 
 RANKS = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
 CHAT_TOKENIZER = public_tokenizers.path("byte_bpe_50k.json")
@@ -18,6 +18,27 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_site_style_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return site_style_tree.extracted(table(spark, sf_dir, "pages"))
+
+
+def op2_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_join.joined(table(spark, sf_dir, "documents"), size=3, percent=90)
+
+
+OP2_SQL = r"""
+WITH RECURSIVE d AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+s AS (SELECT DISTINCT doc_id, array_to_string(w[i:i + 2], ' ') AS g FROM d, unnest(generate_series(1, greatest(len(w) - 2, 1))) AS t(i) WHERE len(w) > 0),
+n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+p AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS shared FROM s a JOIN s b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY ALL),
+l AS (SELECT a, b FROM p JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * shared >= 90 * (x.n + y.n - shared)),
+e AS (SELECT a, b FROM l UNION ALL SELECT b, a FROM l),
+r(node, reached) AS (SELECT doc_id, doc_id FROM d UNION SELECT r.node, e.b FROM r JOIN e ON r.reached = e.a)
+SELECT doc_id, coalesce(n, 0) AS n_shingles, component_id
+FROM d LEFT JOIN n USING (doc_id) JOIN (SELECT node AS doc_id, min(reached) AS component_id FROM r GROUP BY node) USING (doc_id)
+"""
+
+
 def op3_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe_replay.digests(table(spark, sf_dir, "documents"), RANKS, public_tokenizers.PATTERN)
 
@@ -36,6 +57,23 @@ FROM p LEFT JOIN o USING (payload_digest)
 """
 
 
+#: Words in a host by which the query's labels mark a page as unwanted, beside the labels of its document.
+UNWANTED = "(^|[.-])(casino|bets|adult|pills|spam|ads)([.-]|$)"
+
+
+def url_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """url and block: by the labels of the document that the url's number names, and by unwanted words in the host."""
+    pages = url_rules.parsed(table(spark, sf_dir, "pages").select("url"))
+    named = pages.withColumn("doc_id", F.expr("try_cast(nullif(regexp_extract(path, '/([0-9]+)', 1), '') AS BIGINT)"))
+    known = table(spark, sf_dir, "labels").groupBy("doc_id").agg(F.max((F.col("toxic") == 1) | (F.col("quality") == 0)).alias("bad"))
+    unwanted = F.col("host").rlike(UNWANTED)
+    return named.join(known, "doc_id", "left").select("url", F.when(unwanted, True).otherwise(F.col("bad")).alias("block"))
+
+
+def op5_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return url_rules.judge(table(spark, sf_dir, "pages"), url_labels(spark, sf_dir)).drop("confidence")
+
+
 def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.decontaminate(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")).drop("spans")
 
@@ -58,6 +96,19 @@ FROM d LEFT JOIN words USING (r) LEFT JOIN items USING (r)
 """
 
 
+def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.classified(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op8_recurrent_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return recurrent_lm.scored(table(spark, sf_dir, "documents"))
+
+
+def op9_risk_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = risk_rules.judged(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+    return rows.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+
+
 def op10_chat_masks(spark: SparkSession, sf_dir: str) -> DataFrame:
     odd = "</s>[INST] ok [/INST]"
     probe = spark.createDataFrame([(-7, 0, "user", odd), (-7, 1, "assistant", odd)], "conv_id long, turn long, role string, text string")
@@ -79,9 +130,8 @@ FROM e GROUP BY conv_id
 """
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    "op3_byte_bpe": op3_byte_bpe,
-    "op4_warc_revisits": op4_warc_revisits,
-    "op6_decontamination": op6_decontamination,
-    "op10_chat_masks": op10_chat_masks,
-}
-ORACLES: dict[str, str] = {"op4_warc_revisits": OP4_SQL, "op6_decontamination": OP6_SQL, "op10_chat_masks": OP10_SQL}
+    "op1_site_style_tree": op1_site_style_tree, "op2_jaccard_join": op2_jaccard_join, "op3_byte_bpe": op3_byte_bpe, "op4_warc_revisits": op4_warc_revisits,
+    "op5_url_rules": op5_url_rules, "op6_decontamination": op6_decontamination, "op7_toxicity": op7_toxicity, "op8_recurrent_lm": op8_recurrent_lm,
+    "op9_risk_rules": op9_risk_rules, "op10_chat_masks": op10_chat_masks,
+}
+ORACLES: dict[str, str] = {"op2_jaccard_join": OP2_SQL, "op4_warc_revisits": OP4_SQL, "op6_decontamination": OP6_SQL, "op10_chat_masks": OP10_SQL}
