@@ -8,6 +8,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 
 #: The bytes that separate words, and the odd multipliers of the word and shingle hashes.
@@ -87,7 +88,7 @@ def words_hashed(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 def slices(texts: pa.Array, most_bytes: int = 4_000_000) -> Iterator[tuple[int, int]]:
     """Ranges of rows that hold about ``most_bytes`` of text each, so that buffers stay small; every row is in one."""
-    sizes = np.cumsum(np.asarray(pa.compute.binary_length(texts.cast(pa.large_string())).fill_null(0), dtype=np.int64) + 1)
+    sizes = np.cumsum(np.asarray(pc.binary_length(texts.cast(pa.large_string())).fill_null(0), dtype=np.int64) + 1)
     at = 0
     while at < len(texts):
         before = sizes[at - 1] if at else 0
