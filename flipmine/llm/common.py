@@ -2,14 +2,15 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+
+from ..sources.shared import shared_dir, stored
+
+__all__ = ["mix64", "shared_dir", "slices", "stored", "words_hashed"]
 
 #: The bytes that separate words, and the odd multipliers of the word and shingle hashes.
 SPACE_BYTES = (0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D)
@@ -23,30 +24,6 @@ _IN_WORD = np.ones(256, dtype=bool)
 _IN_WORD[list(SPACE_BYTES)] = False
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share.
-
-    It is ``spark.checkpoint.dir`` of the session. Where that is unset, a local master gets a
-    temporary folder; any other master is an error, as executors could not see such a folder.
-    """
-    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if found:
-        return found
-    if not spark.sparkContext.master.startswith("local["):
-        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-    made = "file://" + tempfile.mkdtemp(prefix="flipmine-")
-    spark.sparkContext.setCheckpointDir(made)
-    return made
-
-
-def stored(df: DataFrame, name: str) -> DataFrame:
-    """``df`` written as a table in the shared folder and read again: lineage ends, executors may go."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/tables/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def mix64(x: np.ndarray) -> np.ndarray:
     """A bijective finaliser on 64-bit values (wraps around on purpose)."""
     x = (x ^ (x >> np.uint64(30))) * MIX_A

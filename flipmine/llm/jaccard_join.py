@@ -21,14 +21,18 @@ from pyspark.sql import types as T
 
 from .common import mix64, slices, stored, words_hashed
 
-#: A shingle that more classes have in their prefix than this is put last in the order of rarity, ...
-FREQUENT = 16
+#: A shingle that more classes have in their prefix than this is put last in the order of rarity, by its number, ...
+FREQUENT = 1
 #: ... and so many such shingles at most are broadcast (16 bytes each); if there are more, FREQUENT is doubled until they fit.
 MOST_FREQUENT = 1 << 20
 #: Classes of a chunk: at least SMALL, at most LARGE; between these a group has CHUNKS chunks.
 SMALL, LARGE, CHUNKS = 64, 4096, 32
 #: Prefixes are this much longer when frequent shingles are looked for.
 WIDER = 1.5
+#: Linked sets share so many shingles of their prefixes (or all, if fewer are needed to be linked at all).
+SHARED = 3
+#: Classes that meet in a list of so many at most are counted pair by pair; those of a longer list become one group.
+PAIRED = 32
 #: DivideSkip's weight of a probe against a step of the merge.
 MU = 0.0085
 
@@ -70,6 +74,11 @@ def least_overlap(n: int, percent: int) -> int:
     return -(-percent * n // 100)
 
 
+def least_shared(n: int, percent: int) -> int:
+    """Shingles of its prefix that a set of ``n`` shares with the prefix of any set it is linked to."""
+    return min(SHARED, least_overlap(n, percent))
+
+
 def pair_overlap(n: int, m: int, percent: int) -> int:
     """Shingles that sets of ``n`` and ``m`` must share to be linked."""
     return -(-percent * (n + m) // (100 + percent))
@@ -78,10 +87,11 @@ def pair_overlap(n: int, m: int, percent: int) -> int:
 def prefix(own: np.ndarray, chars: np.ndarray, percent: int, frequent: tuple[np.ndarray, np.ndarray], wider: float = 1.0) -> np.ndarray:
     """The shingles of a set that come first in the common order: frequent ones last, else long ones first.
 
-    Linked sets share at least one shingle of these; that holds for any order that all sets use.
+    Two linked sets share as many of these as the one that needs fewer asks for (``least_shared``); that
+    holds for any order that all sets use.
     """
     n = len(own)
-    take = min(n, ceil((n - least_overlap(n, percent) + 1) * wider))
+    take = min(n, ceil((n - least_overlap(n, percent) + least_shared(n, percent)) * wider))
     known, weight = frequent
     at = np.minimum(np.searchsorted(known, own), max(len(known) - 1, 0))
     often = np.where(known[at] == own, weight[at], 0) if len(known) else np.zeros(n, np.int64)
@@ -121,6 +131,25 @@ def frequent_shingles(postings: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     return token[order], count[order]
 
 
+def meetings(postings: DataFrame, percent: int) -> DataFrame:
+    """Edges (a, b) that bring all classes which may be linked into one component; at most a row per posting and partner in PAIRED.
+
+    ``postings`` has doc_id, n_shingles and token. In short lists pairs are counted, and those that share too
+    few shingles are left out, so that chance meetings do not chain texts together; a long list becomes a
+    star around its smallest member.
+    """
+    lists = postings.groupBy("token").agg(F.min("doc_id").alias("least"), F.max("doc_id").alias("top"), F.count(F.lit(1)).alias("size"))
+    lists = stored(lists.where("least < top").select("token", "least", "size"), "lists")
+    need = F.least(F.lit(SHARED), F.ceil(F.col("n_shingles") * percent / 100)).cast("int")
+    met = stored(postings.join(lists, "token").select("token", "doc_id", need.alias("need"), "least", "size").distinct(), "met")
+    stars = met.where(F.col("size") > PAIRED).select(F.col("doc_id").alias("a"), F.col("least").alias("b"))
+    short = met.where(F.col("size") <= PAIRED)
+    one = short.select("token", F.col("doc_id").alias("a"), F.col("need").alias("need_a"))
+    two = short.select("token", F.col("doc_id").alias("b"), F.col("need").alias("need_b"))
+    pairs = one.join(two, "token").where("b < a").groupBy("a", "b").agg(F.count(F.lit(1)).alias("n"), F.min(F.least("need_a", "need_b")).alias("need"))
+    return stars.unionByName(pairs.where("n >= need").select("a", "b"))
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(node, component) for the nodes of ``edges`` (a, b): the smallest node that can be reached.
 
@@ -304,10 +333,8 @@ def joined(documents: DataFrame, size: int = 5, percent: int = 80) -> DataFrame:
         rare = sketches(documents, size, percent, often, 1.0)
     else:
         rare = rows
-    postings = rare.where("n_shingles > 1 OR size(prefix) > 0").join(leaders, ["doc_id", "h1", "h2"], "left_semi").select("doc_id", F.explode("prefix").alias("token"))
-    postings = stored(postings, "postings")
-    met = stored(postings.groupBy("token").agg(F.min("doc_id").alias("b"), F.max("doc_id").alias("top")).where("b < top").select("token", "b"), "met")
-    groups = stored(components(postings.join(met, "token").select(F.col("doc_id").alias("a"), "b")), "groups")
+    postings = rare.join(leaders, ["doc_id", "h1", "h2"], "left_semi").select("doc_id", "n_shingles", F.explode("prefix").alias("token"))
+    groups = stored(components(meetings(stored(postings, "postings"), percent)), "groups")
     found = stored(components(links(documents, groups, size, percent)), "found")
     named = classes.join(found.select(F.col("node").alias("rid"), "component"), "rid", "left").select("h1", "h2", F.coalesce("component", "rid").alias("component_id"))
     named = stored(named, "named")
