@@ -1,4 +1,773 @@
-"""Named queries over the given tables and their DuckDB counterparts."""
+"""Named queries over the given tables, each with its DuckDB counterpart where SQL can express it."""
 
-QUERIES = {}
-ORACLES = {}
+from __future__ import annotations
+
+from collections.abc import Callable
+from itertools import combinations
+
+from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from ..config import ASYM_DEFAULT, CANDIDATES_DENSE, FlipParams
+from ..functions import channel
+from ..operators import counting, distort, metrics, mining, privacy, reconstruct, rules, tuning
+from ..operators import relational as rel
+from ..sources import baskets, generator
+from ..sources.shared import stored
+from ..sources.tables import itemset_text, load
+from ..streaming import streams
+from . import oracles as sql
+
+SEED = sql.SEED
+MAIN = FlipParams(0.6, 0.96)
+MIN_SUPPORT = "0.003"
+TYPES = 6
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+ORACLES: dict[str, str] = {}
+
+
+def query(oracle: str | None = None) -> Callable:
+    def register(f: Callable[[SparkSession, str], DataFrame]) -> Callable[[SparkSession, str], DataFrame]:
+        QUERIES[f.__name__] = f
+        if oracle:
+            ORACLES[f.__name__] = oracle
+        return f
+
+    return register
+
+
+def r6(c: Column | str) -> Column:
+    return F.round(F.col(c) if isinstance(c, str) else c, 6)
+
+
+def of(spark: SparkSession, sf_dir: str, kind: str) -> baskets.Baskets:
+    if kind == "clicks":
+        return baskets.from_events(spark, sf_dir)
+    return baskets.from_customers(spark, sf_dir) if kind == "cust_supp" else baskets.from_orders(spark, sf_dir, kind)
+
+
+def seen(spark: SparkSession, sf_dir: str, kind: str, params: FlipParams = MAIN) -> tuple[baskets.Baskets, DataFrame]:
+    """True baskets, and the distorted item lists as a stored table that a level-wise miner may read again and again."""
+    true = of(spark, sf_dir, kind)
+    return true, stored(distort.flip_arrays(true.arrays(), true.n_items, params, SEED), f"seen-{kind}")
+
+
+def exploded(arrays: DataFrame) -> DataFrame:
+    return arrays.select("tid", F.explode("items").alias("item"))
+
+
+def named(mined: DataFrame) -> DataFrame:
+    return mined.withColumn("itemset", itemset_text())
+
+
+def pairs(n: int, k: int = 2) -> list[tuple[int, ...]]:
+    return list(combinations(range(n), k))
+
+
+def with_names(df: DataFrame, itemsets: list[tuple[int, ...]]) -> DataFrame:
+    return df.join(F.broadcast(counting.frame(df.sparkSession, itemsets).select("cand", itemset_text().alias("itemset"))), "cand").drop("cand")
+
+
+# ---- baskets -------------------------------------------------------------------------------------------------
+
+
+def items_sql(kind: str) -> str:
+    return f"WITH {sql.baskets(kind)} SELECT i.item, label, count(t.tid) AS n FROM items i LEFT JOIN t ON t.item = i.item GROUP BY ALL"
+
+
+def _items(spark: SparkSession, sf_dir: str, kind: str) -> DataFrame:
+    b = of(spark, sf_dir, kind)
+    return b.items.join(counting.singletons(b.long), "item", "left").select("item", "label", F.coalesce("n", F.lit(0)).alias("n"))
+
+
+@query(items_sql("brand"))
+def items_brand(spark, sf_dir):
+    return _items(spark, sf_dir, "brand")
+
+
+@query(items_sql("name"))
+def items_name(spark, sf_dir):
+    return _items(spark, sf_dir, "name")
+
+
+@query(f"WITH {sql.baskets('brand')} SELECT tids.tid, coalesce(string_agg(item::VARCHAR, ',' ORDER BY item), '') AS items FROM tids LEFT JOIN t ON t.tid = tids.tid GROUP BY tids.tid")
+def baskets_brand(spark, sf_dir):
+    return of(spark, sf_dir, "brand").arrays().select("tid", itemset_text("items").alias("items"))
+
+
+@query(f"WITH {sql.baskets('brand')}, l AS (SELECT tids.tid, count(t.item) AS length FROM tids LEFT JOIN t ON t.tid = tids.tid GROUP BY tids.tid) SELECT length::INTEGER AS length, count(*) AS n FROM l GROUP BY 1")
+def basket_lengths(spark, sf_dir):
+    return of(spark, sf_dir, "brand").arrays().groupBy(F.size("items").alias("length")).agg(F.count(F.lit(1)).alias("n"))
+
+
+@query(" UNION ALL ".join(f"(WITH {sql.baskets(k)} SELECT '{k}' AS workload, (SELECT n FROM size) AS tuples, count(*) AS ones, round(count(*) / ((SELECT n FROM size) * (SELECT count(*) FROM items)), 9) AS s0 FROM t)" for k in ("brand", "name", "type", "supp", "cust_supp", "clicks")))
+def avg_support(spark, sf_dir):
+    out = None
+    for kind in ("brand", "name", "type", "supp", "cust_supp", "clicks"):
+        b = of(spark, sf_dir, kind)
+        one = tuning.average_support(b.long, b.tids, b.n_items).select(F.lit(kind).alias("workload"), "tuples", "ones", F.round("s0", 9).alias("s0"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query(f"""WITH {sql.baskets('brand')}, picked AS (SELECT tid FROM tids WHERE ('0x' || substr(md5('sample-42|' || tid), 1, 13))::BIGINT < {int(0.1 * 2**52)})
+SELECT (SELECT count(*) FROM picked) AS tuples, count(*) AS ones, round(count(*) / ((SELECT count(*) FROM picked) * (SELECT count(*) FROM items)), 9) AS s0 FROM t WHERE tid IN (SELECT tid FROM picked)""")
+def avg_support_sample(spark, sf_dir):
+    b = of(spark, sf_dir, "brand")
+    return tuning.average_support(b.long, b.tids, b.n_items, 0.1, SEED).withColumn("s0", F.round("s0", 9))
+
+
+@query(f"WITH {sql.baskets('brand')} SELECT item, count(*) AS n FROM t GROUP BY item")
+def vertical_bitmap_counts(spark, sf_dir):
+    return counting.column_bits(of(spark, sf_dir, "brand").long).groupBy("item").agg(F.sum(F.bitmap_count("bits")).alias("n"))
+
+
+# ---- distortion and singletons -------------------------------------------------------------------------------
+
+
+@query(f"WITH {sql.distorted('brand', 0.6, 0.96)} SELECT tid, item FROM d")
+def distort_cells_brand(spark, sf_dir):
+    return distort.flip_cells(of(spark, sf_dir, "brand"), MAIN, SEED).long
+
+
+@query(f"WITH {sql.distorted('brand', 0.9, 0.9)} SELECT tid, item FROM d")
+def distort_cells_sym(spark, sf_dir):
+    return distort.flip_symmetric(of(spark, sf_dir, "brand"), 0.9, SEED).long
+
+
+@query(f"WITH {sql.distorted('name', 0.4, 0.98)} SELECT (SELECT count(*) FROM t) AS before, (SELECT count(*) FROM d) AS after, round((SELECT count(*) FROM d) / (SELECT count(*) FROM t), 6) AS ratio")
+def distorted_density(spark, sf_dir):
+    b = of(spark, sf_dir, "name")
+    return metrics.density_ratio(distort.flip_cells(b, ASYM_DEFAULT, SEED).long, b.long).withColumn("ratio", r6("ratio"))
+
+
+@query("SELECT * FROM (VALUES " + ", ".join(f"({p}::DOUBLE, {q}::DOUBLE, {round(distort.expected_length(10, 1000, p, q), 6)}::DOUBLE)" for p, q in ((0.9, 0.9), *CANDIDATES_DENSE)) + ") AS v(p, q, length)")
+def expected_density(spark, sf_dir):
+    rows = spark.createDataFrame([(0.9, 0.9), *CANDIDATES_DENSE], "p double, q double")
+    return rows.select("p", "q", r6(distort.expected_length(F.lit(10), F.lit(1000), F.col("p"), F.col("q"))).alias("length"))
+
+
+@query(f"WITH {sql.distorted('brand', 0.6, 0.96)} SELECT item, count(*) AS n FROM d GROUP BY item")
+def singleton_counts_d(spark, sf_dir):
+    return counting.singletons(distort.flip_cells(of(spark, sf_dir, "brand"), MAIN, SEED).long)
+
+
+def _single_sql(kind: str) -> str:
+    return f"""WITH {sql.distorted(kind, 0.6, 0.96)}, c AS (SELECT item, count(*) AS n FROM d GROUP BY item)
+SELECT items.item, label, n, round((25 * n - 1 * (SELECT n FROM size))::DOUBLE / 14.0::DOUBLE, 6) AS est FROM c JOIN items ON items.item = c.item"""
+
+
+def _single(spark: SparkSession, sf_dir: str, kind: str) -> DataFrame:
+    b = of(spark, sf_dir, kind)
+    counts = counting.singletons(distort.flip_cells(b, MAIN, SEED).long).join(b.items, "item")
+    return counts.select("item", "label", "n", r6(reconstruct.singleton_expr(F.col("n"), b.dbsize(), MAIN)).alias("est"))
+
+
+@query(_single_sql("brand"))
+def singleton_recon(spark, sf_dir):
+    return _single(spark, sf_dir, "brand")
+
+
+@query(_single_sql("clicks"))
+def clicks_recon(spark, sf_dir):
+    return _single(spark, sf_dir, "clicks")
+
+
+@query(_single_sql("cust_supp"))
+def cust_supp_recon(spark, sf_dir):
+    return _single(spark, sf_dir, "cust_supp")
+
+
+@query(f"""WITH {sql.distorted('type', 0.6, 0.96)}, c AS (SELECT item, count(*) AS n FROM d GROUP BY item)
+SELECT item, round((25 * n - (SELECT n FROM size)) / 14.0, 6) AS est, round((15 * (SELECT n FROM size) - 25 * n) / 14.0, 6) AS est0 FROM c""")
+def singleton_recon_matrix(spark, sf_dir):
+    b = of(spark, sf_dir, "type")
+    counts = counting.singletons(distort.flip_cells(b, MAIN, SEED).long)
+    return reconstruct.singletons(counts, b.dbsize(), MAIN).select("item", r6("est").alias("est"), r6("est0").alias("est0"))
+
+
+# ---- counting strategies and reconstruction of itemsets ------------------------------------------------------
+
+_TYPE = f"{sql.distorted('type', 0.6, 0.96)}, {sql.masks('t', 'tm')}, {sql.masks('d', 'dm')}, {sql.codes('tm', 'tc')}, {sql.codes('dm', 'dc')}, {sql.estimates('dc', 'e', 0.6, 0.96)}"
+_PATTERNS = "SELECT c.itemset, 2 * (mask & hi > 0)::BIGINT + (mask & lo > 0)::BIGINT AS pattern, count(*) AS n FROM dm, (SELECT itemset, code & -code AS lo, code - (code & -code) AS hi FROM dc WHERE k = 2) c GROUP BY ALL"
+
+
+@query(f"WITH {_TYPE} {_PATTERNS}")
+def pattern_counts_pair(spark, sf_dir):
+    b, arrays = seen(spark, sf_dir, "type")
+    return with_names(counting.pattern_counts(exploded(arrays), pairs(TYPES), b.dbsize()), pairs(TYPES))
+
+
+@query(f"WITH {_TYPE} SELECT itemset, bit_count(mask & code)::BIGINT AS weight, count(*) AS n FROM dm, (SELECT itemset, code FROM dc WHERE k = 2) c GROUP BY ALL")
+def weight_counts_pair(spark, sf_dir):
+    b, arrays = seen(spark, sf_dir, "type")
+    return with_names(counting.weight_counts(exploded(arrays), pairs(TYPES), b.dbsize()), pairs(TYPES))
+
+
+def _subset_counts(arrays: DataFrame, k: int) -> DataFrame:
+    """(itemset, n) of all itemsets of up to k types."""
+    out = None
+    for size in range(1, k + 1):
+        sets = pairs(TYPES, size)
+        one = counting.count_chunks(arrays, sets, TYPES).join(F.broadcast(counting.frame(arrays.sparkSession, sets)), "cand").select("itemset", "n")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _candidates(spark: SparkSession, k: int) -> DataFrame:
+    return counting.frame(spark, pairs(TYPES, k)).select("itemset", "k")
+
+
+@query(f"WITH {_TYPE} {_PATTERNS}")
+def pair_patterns_by_ie(spark, sf_dir):
+    b, arrays = seen(spark, sf_dir, "type")
+    found = reconstruct.pattern_from_subsets(_candidates(spark, 2), _subset_counts(arrays, 2), b.dbsize())
+    return found.select(itemset_text().alias("itemset"), F.col("pattern").cast("long").alias("pattern"), "n")
+
+
+@query(f"WITH {_TYPE} SELECT itemset, bit_count(mask & code)::INTEGER AS weight, count(*) AS n FROM dm, (SELECT itemset, code FROM dc WHERE k = 3) c GROUP BY ALL")
+def triple_classes_by_ie(spark, sf_dir):
+    b, arrays = seen(spark, sf_dir, "type")
+    return named(reconstruct.classes_from_subsets(_candidates(spark, 3), _subset_counts(arrays, 3), b.dbsize()))
+
+
+_EST = "SELECT itemset, round(est, {digits}) AS est FROM e WHERE k = {k}"
+
+
+@query(f"WITH {_TYPE} " + _EST.format(k=2, digits=6))
+def pair_recon_pattern(spark, sf_dir):
+    b, arrays = seen(spark, sf_dir, "type")
+    found = reconstruct.by_pattern(counting.pattern_counts(exploded(arrays), pairs(TYPES), b.dbsize()), 2, MAIN)
+    return with_names(found, pairs(TYPES)).select("itemset", r6("est").alias("est"))
+
+
+@query(f"WITH {_TYPE} " + _EST.format(k=2, digits=6))
+def pair_recon_matrix(spark, sf_dir):
+    b, arrays = seen(spark, sf_dir, "type")
+    found = reconstruct.by_pattern_matrix(counting.pattern_counts(exploded(arrays), pairs(TYPES), b.dbsize()), 2, MAIN).where("pattern = 3").select("cand", "est")
+    return with_names(found, pairs(TYPES)).select("itemset", r6("est").alias("est"))
+
+
+@query(f"WITH {_TYPE} " + _EST.format(k=2, digits=6))
+def pair_recon_weight(spark, sf_dir):
+    b, arrays = seen(spark, sf_dir, "type")
+    found = reconstruct.by_weight(counting.weight_counts(exploded(arrays), pairs(TYPES), b.dbsize()), 2, MAIN)
+    return with_names(found, pairs(TYPES)).select("itemset", r6("est").alias("est"))
+
+
+@query(f"WITH {_TYPE} SELECT itemset, num, round(est, 6) AS est FROM e WHERE k = 2")
+def pair_recon_subset(spark, sf_dir):
+    b, arrays = seen(spark, sf_dir, "type")
+    found = reconstruct.by_subsets(_candidates(spark, 2), _subset_counts(arrays, 2), b.dbsize(), MAIN)
+    return found.select(itemset_text().alias("itemset"), F.col("num").cast("long").alias("num"), r6("est").alias("est"))
+
+
+@query(f"WITH {_TYPE} SELECT itemset, num, round(est, 6) AS est FROM e WHERE k = 3")
+def triple_recon_subset(spark, sf_dir):
+    b, arrays = seen(spark, sf_dir, "type")
+    found = reconstruct.by_subsets(_candidates(spark, 3), _subset_counts(arrays, 3), b.dbsize(), MAIN)
+    return found.select(itemset_text().alias("itemset"), F.col("num").cast("long").alias("num"), r6("est").alias("est"))
+
+
+@query(f"WITH {_TYPE} " + _EST.format(k=6, digits=3))
+def type_recon_depth6(spark, sf_dir):
+    b, arrays = seen(spark, sf_dir, "type")
+    found = reconstruct.by_weight(counting.weights_by_chunks(arrays, pairs(TYPES, 6), TYPES), 6, MAIN)
+    return with_names(found, pairs(TYPES, 6)).select("itemset", F.round("est", 3).alias("est"))
+
+
+_MATRIX = """m AS (SELECT i, j, sum(factorial((j)::INTEGER) / (factorial((k)::INTEGER) * factorial((j - k)::INTEGER)) * 0.6::DOUBLE ** k * 0.4::DOUBLE ** (j - k)
+    * factorial((3 - j)::INTEGER) / (factorial((i - k)::INTEGER) * factorial((3 - j - i + k)::INTEGER)) * 0.04::DOUBLE ** (i - k) * 0.96::DOUBLE ** (3 - j - i + k)) AS prob
+    FROM generate_series(0, 3) AS a(i), generate_series(0, 3) AS b(j), generate_series(0, 3) AS c(k)
+    WHERE k <= i AND k <= j AND i - k <= 3 - j GROUP BY i, j)"""
+
+
+@query(f"WITH {_MATRIX} SELECT i::INTEGER AS i, j::INTEGER AS j, round(prob, 9) AS prob FROM m")
+def transition_matrix(spark, sf_dir):
+    m = channel.weight_matrix(3, 0.6, 0.96)
+    return spark.createDataFrame([(i, j, round(float(m[i, j]), 9)) for i in range(4) for j in range(4) if m[i, j]], "i int, j int, prob double")
+
+
+@query(f"WITH {_MATRIX} SELECT j::INTEGER AS j, round(sum(prob), 9) AS total FROM m GROUP BY j")
+def transition_column_sums(spark, sf_dir):
+    m = channel.weight_matrix(3, 0.6, 0.96)
+    return spark.createDataFrame([(j, round(float(m[:, j].sum()), 9)) for j in range(4)], "j int, total double")
+
+
+# ---- mining --------------------------------------------------------------------------------------------------
+
+_LEAST = "(SELECT 0.003 * n FROM size)"
+_EXACT = f"""x1 AS (SELECT item AS a, count(*) AS n FROM t GROUP BY item HAVING count(*) >= {_LEAST}),
+x2 AS (SELECT u.item AS a, v.item AS b, count(*) AS n FROM t u JOIN t v ON u.tid = v.tid AND u.item < v.item GROUP BY ALL HAVING count(*) >= {_LEAST}),
+x3 AS (SELECT u.item AS a, v.item AS b, w.item AS c, count(*) AS n FROM t u JOIN t v ON u.tid = v.tid AND u.item < v.item JOIN t w ON w.tid = v.tid AND v.item < w.item GROUP BY ALL HAVING count(*) >= {_LEAST})"""
+_FOUND = f"""c1 AS (SELECT item AS a, count(*) AS n FROM d GROUP BY item),
+c2 AS (SELECT u.item AS a, v.item AS b, count(*) AS n FROM d u JOIN d v ON u.tid = v.tid AND u.item < v.item GROUP BY ALL),
+c3 AS (SELECT u.item AS a, v.item AS b, w.item AS c, count(*) AS n FROM d u JOIN d v ON u.tid = v.tid AND u.item < v.item JOIN d w ON w.tid = v.tid AND v.item < w.item GROUP BY ALL),
+f1 AS (SELECT a, n, (25 * n - (SELECT n FROM size)) / 14.0::DOUBLE AS est FROM c1 WHERE 1000 * (25 * n - (SELECT n FROM size)) >= 3 * 14 * (SELECT n FROM size)),
+g2 AS (SELECT x.a, y.a AS b, x.n AS na, y.n AS nb FROM f1 x JOIN f1 y ON x.a < y.a),
+f2 AS (SELECT a, b, n, num / 196.0::DOUBLE AS est FROM (SELECT g2.a, g2.b, coalesce(c2.n, 0) AS n, 625 * coalesce(c2.n, 0) - 25 * (na + nb) + (SELECT n FROM size) AS num FROM g2 LEFT JOIN c2 ON c2.a = g2.a AND c2.b = g2.b) WHERE 1000 * num >= 3 * 196 * (SELECT n FROM size)),
+g3 AS (SELECT p.a, p.b, q.b AS c, p.n AS nab, q.n AS nac, r.n AS nbc FROM f2 p JOIN f2 q ON p.a = q.a AND p.b < q.b JOIN f2 r ON r.a = p.b AND r.b = q.b),
+f3 AS (SELECT a, b, c, n, num / 2744.0::DOUBLE AS est FROM (SELECT g3.a, g3.b, g3.c, coalesce(c3.n, 0) AS n,
+    15625 * coalesce(c3.n, 0) - 625 * (nab + nac + nbc) + 25 * (x.n + y.n + z.n) - (SELECT n FROM size) AS num
+    FROM g3 LEFT JOIN c3 ON c3.a = g3.a AND c3.b = g3.b AND c3.c = g3.c JOIN f1 x ON x.a = g3.a JOIN f1 y ON y.a = g3.b JOIN f1 z ON z.a = g3.c) WHERE 1000 * num >= 3 * 2744 * (SELECT n FROM size))"""
+_BRAND_D = f"{sql.distorted('brand', 0.6, 0.96)}, {_FOUND}"
+_KEYS = {1: "a::VARCHAR", 2: "a || ',' || b", 3: "a || ',' || b || ',' || c"}
+
+
+def exact_brand(spark: SparkSession, sf_dir: str, max_len: int) -> mining.Mined:
+    b = of(spark, sf_dir, "brand")
+    return mining.mine_exact(stored(b.arrays(), "true-brand"), b.n_items, b.dbsize(), MIN_SUPPORT, max_len)
+
+
+def found_brand(spark: SparkSession, sf_dir: str, max_len: int) -> mining.Mined:
+    b, arrays = seen(spark, sf_dir, "brand")
+    return mining.mine_distorted(arrays, b.n_items, b.dbsize(), MAIN, MIN_SUPPORT, max_len)
+
+
+def _level(spark: SparkSession, mined: mining.Mined, k: int, est: bool) -> DataFrame:
+    rows = [(",".join(map(str, x)), mined.counts[x], round(float(s), 6)) for x, s in mined.support.items() if len(x) == k]
+    out = spark.createDataFrame(rows, "itemset string, n long, est double")
+    return out.withColumn("est", r6("est")) if est else out.drop("est")
+
+
+for _k in (1, 2, 3):
+
+    def _exact(spark, sf_dir, k=_k):
+        return _level(spark, exact_brand(spark, sf_dir, k), k, False)
+
+    def _mined(spark, sf_dir, k=_k):
+        return _level(spark, found_brand(spark, sf_dir, k), k, True)
+
+    _exact.__name__, _mined.__name__ = f"exact_l{_k}", f"mined_l{_k}"
+    query(f"WITH {sql.baskets('brand')}, {_EXACT} SELECT {_KEYS[_k]} AS itemset, n FROM x{_k}")(_exact)
+    query(f"WITH {_BRAND_D} SELECT {_KEYS[_k]} AS itemset, n, round(est, 6) AS est FROM f{_k}")(_mined)
+
+
+@query(f"WITH {_TYPE} SELECT itemset, k, n FROM tc WHERE n >= {_LEAST}")
+def exact_itemsets_type(spark, sf_dir):
+    b = of(spark, sf_dir, "type")
+    found = mining.mine_exact(stored(b.arrays(), "true-type"), b.n_items, b.dbsize(), MIN_SUPPORT)
+    return named(found.frame(spark)).select("itemset", "k", F.col("est").cast("long").alias("n"))
+
+
+@query(f"WITH {sql.distorted('type', 0.9, 0.9)}, {sql.masks('d', 'dm')}, {sql.codes('dm', 'dc')}, {sql.estimates('dc', 'e', 0.9, 0.9)} SELECT itemset, round(est, 6) AS est FROM e WHERE k = 2 AND est >= {_LEAST}")
+def mined_sym_l2(spark, sf_dir):
+    b, arrays = seen(spark, sf_dir, "type", FlipParams(0.9, 0.9))
+    found = mining.mine_symmetric(arrays, b.n_items, b.dbsize(), 0.9, MIN_SUPPORT, 2)
+    return named(found.frame(spark)).where("k = 2").select("itemset", r6("est").alias("est"))
+
+
+@query(f"WITH {_TYPE} SELECT itemset, k, round(est, 6) AS est FROM e WHERE k <= 2 AND est >= {_LEAST}")
+def mined_full_pattern(spark, sf_dir):
+    b, arrays = seen(spark, sf_dir, "type")
+    found = mining.mine_full_pattern(arrays, b.n_items, b.dbsize(), MAIN, MIN_SUPPORT, 2)
+    return named(found.frame(spark)).select("itemset", "k", r6("est").alias("est"))
+
+
+@query(f"WITH {_BRAND_D} SELECT a || ',' || b AS itemset FROM g2")
+def candidates_l2(spark, sf_dir):
+    level = spark.createDataFrame([(list(x),) for x in found_brand(spark, sf_dir, 1).support], "itemset array<int>")
+    return named(mining.candidates_frame(level))
+
+
+@query(f"WITH {_BRAND_D} SELECT a || ',' || b || ',' || c AS itemset FROM g3")
+def candidates_l3(spark, sf_dir):
+    level = spark.createDataFrame([(list(x),) for x in found_brand(spark, sf_dir, 2).support if len(x) == 2], "itemset array<int>")
+    return named(mining.candidates_frame(level))
+
+
+def _rules_sql(source: str, value: str, min_conf: float) -> str:
+    return f"""WITH {_TYPE}, f AS (SELECT code, k, itemset, {value}::DOUBLE AS est FROM {source} WHERE {value} >= {_LEAST})
+SELECT a.itemset AS antecedent, c.itemset AS consequent, round(x.est / (SELECT n FROM size), 6) AS support, round(x.est / a.est, 6) AS confidence
+FROM f x JOIN f a ON x.code & a.code = a.code AND a.code < x.code AND a.est > 0 JOIN {source} c ON c.code = x.code - a.code WHERE x.est / a.est >= {min_conf}"""
+
+
+def _rules(frequent: DataFrame, dbsize: int) -> DataFrame:
+    found = rules.generate(frequent, dbsize, 0.5)
+    return found.select(itemset_text("antecedent").alias("antecedent"), itemset_text("consequent").alias("consequent"), r6("support").alias("support"), r6("confidence").alias("confidence"))
+
+
+@query(_rules_sql("tc", "n", 0.5))
+def rules_exact(spark, sf_dir):
+    b = of(spark, sf_dir, "type")
+    return _rules(mining.mine_exact(stored(b.arrays(), "true-type"), b.n_items, b.dbsize(), MIN_SUPPORT).frame(spark), b.dbsize())
+
+
+@query(_rules_sql("e", "est", 0.5))
+def rules_recon(spark, sf_dir):
+    b, arrays = seen(spark, sf_dir, "type")
+    return _rules(mining.mine_distorted(arrays, b.n_items, b.dbsize(), MAIN, MIN_SUPPORT).frame(spark), b.dbsize())
+
+
+def _type_exact(spark: SparkSession, sf_dir: str, share: str = MIN_SUPPORT) -> DataFrame:
+    b = of(spark, sf_dir, "type")
+    return mining.mine_exact(stored(b.arrays(), "true-type"), b.n_items, b.dbsize(), share).frame(spark)
+
+
+@query(f"WITH {_TYPE} SELECT itemset, n FROM tc WHERE k = 2 ORDER BY n DESC, itemset LIMIT 10")
+def topk_itemsets(spark, sf_dir):
+    return named(mining.top_k(_type_exact(spark, sf_dir).where("k = 2"), 10)).select("itemset", F.col("est").cast("long").alias("n"))
+
+
+@query(f"WITH {_TYPE} SELECT itemset, k, n, rank::INTEGER AS rank FROM (SELECT *, row_number() OVER (PARTITION BY k ORDER BY n DESC, itemset) AS rank FROM tc WHERE n >= {_LEAST}) WHERE rank <= 3")
+def topk_per_length(spark, sf_dir):
+    rows = named(_type_exact(spark, sf_dir)).select("itemset", "k", F.col("est").cast("long").alias("n"))
+    return rows.withColumn("rank", F.row_number().over(Window.partitionBy("k").orderBy(F.desc("n"), "itemset"))).where("rank <= 3")
+
+
+@query(f"WITH {_TYPE}, f AS (SELECT * FROM tc WHERE n >= (SELECT 0.2 * n FROM size)) SELECT itemset, n FROM f WHERE NOT EXISTS (SELECT 1 FROM f g WHERE g.code & f.code = f.code AND g.code > f.code)")
+def maximal_itemsets(spark, sf_dir):
+    return named(mining.maximal(_type_exact(spark, sf_dir, "0.2"))).select("itemset", F.col("est").cast("long").alias("n"))
+
+
+@query(f"WITH {_TYPE}, f AS (SELECT * FROM tc WHERE n >= {_LEAST}) SELECT itemset, n FROM f WHERE NOT EXISTS (SELECT 1 FROM f g WHERE g.code & f.code = f.code AND g.code > f.code AND g.n = f.n)")
+def closed_itemsets(spark, sf_dir):
+    rows = _type_exact(spark, sf_dir).withColumn("n", F.col("est").cast("long"))
+    return named(mining.closed(rows)).select("itemset", "n")
+
+
+@query()
+def fpgrowth_check(spark, sf_dir):
+    """Itemsets on which the level-wise miner and Spark's own disagree: none."""
+    b = of(spark, sf_dir, "type")
+    arrays = stored(b.arrays(), "true-type")
+    ours = mining.mine_exact(arrays, b.n_items, b.dbsize(), MIN_SUPPORT).frame(spark).select("itemset", F.col("est").cast("long").alias("n"))
+    theirs = mining.fpgrowth(arrays, float(MIN_SUPPORT))
+    return named(ours.exceptAll(theirs).unionByName(theirs.exceptAll(ours)))
+
+
+# ---- privacy -------------------------------------------------------------------------------------------------
+
+_R = "({s} * {p} * {p} / ({s} * {p} + (1 - {s}) * (1 - {q})) + {s} * (1 - {p}) * (1 - {p}) / ({s} * (1 - {p}) + (1 - {s}) * {q}))"
+
+
+def _supports(b: baskets.Baskets) -> DataFrame:
+    return counting.singletons(b.long).select("item", (F.col("n") / b.dbsize()).alias("s"))
+
+
+_S = "s AS (SELECT item, count(*) / (SELECT n FROM size) AS s FROM t GROUP BY item)"
+
+
+@query(f"WITH {sql.baskets('name')}, {_S} SELECT item, round(s, 9) AS s, round(100 * (1 - {_R.format(s='s', p='0.4::DOUBLE', q='0.98::DOUBLE')}), 6) AS privacy FROM s")
+def basic_privacy_items(spark, sf_dir):
+    rows = _supports(of(spark, sf_dir, "name"))
+    return rows.select("item", F.round("s", 9).alias("s"), r6(privacy.basic_item(F.col("s"), ASYM_DEFAULT)).alias("privacy"))
+
+
+@query(f"WITH {sql.baskets('name')}, {_S} SELECT round(100 * (1 - sum(s * {_R.format(s='s', p='0.4::DOUBLE', q='0.98::DOUBLE')}) / sum(s)), 6) AS privacy FROM s")
+def basic_privacy_weighted(spark, sf_dir):
+    return privacy.basic_weighted(_supports(of(spark, sf_dir, "name")), ASYM_DEFAULT).withColumn("privacy", r6("privacy"))
+
+
+@query(f"""WITH g AS (SELECT i / 10 AS p, j / 10 AS q FROM generate_series(0, 10) AS a(i), generate_series(0, 10) AS b(j) WHERE NOT (i IN (0, 10) AND j = 10 - i))
+SELECT p, q, round(100 * (1 - {_R.format(s='0.01::DOUBLE', p='p', q='q')}), 6) AS privacy FROM g""")
+def basic_privacy_surface(spark, sf_dir):
+    return privacy.surface(spark, 0.01).withColumn("privacy", r6("privacy"))
+
+
+@query(f"""WITH {sql.distorted('name', 0.4, 0.98)}, o AS (SELECT item, count(*) AS n FROM t GROUP BY item), y AS (SELECT item, count(*) AS m FROM d GROUP BY item), k AS (SELECT item, count(*) AS kept FROM t JOIN d USING (tid, item) GROUP BY item)
+SELECT round(100 * (1 - sum(kept * kept / m + (n - kept) * (n - kept) / ((SELECT n FROM size) - m)) / sum(n)), 6) AS privacy FROM o JOIN y USING (item) JOIN k USING (item)""")
+def basic_privacy_empirical(spark, sf_dir):
+    b = of(spark, sf_dir, "name")
+    return privacy.basic_empirical(b.long, distort.flip_cells(b, ASYM_DEFAULT, SEED).long, b.dbsize()).withColumn("privacy", r6("privacy"))
+
+
+_CAND = "(VALUES " + ", ".join(f"({p}::DOUBLE, {q}::DOUBLE)" for p, q in CANDIDATES_DENSE) + ") AS v(p, q)"
+
+
+@query(f"SELECT p, q, round(100 * (1 - {_R.format(s='(1 - 0.01::DOUBLE)', p='q', q='p')}), 6) AS zeros, round(50 * (1 - {_R.format(s='(1 - 0.01::DOUBLE)', p='q', q='p')}) + 50 * (1 - {_R.format(s='0.01::DOUBLE', p='p', q='q')}), 6) AS mix FROM {_CAND}")
+def zero_privacy(spark, sf_dir):
+    rows = spark.createDataFrame(CANDIDATES_DENSE, "p double, q double")
+    s0, p, q = F.lit(0.01), F.col("p"), F.col("q")
+    return rows.select("p", "q", r6(privacy.basic_zero(s0, p, q)).alias("zeros"), r6(privacy.basic_mix(s0, p, q, 0.5)).alias("mix"))
+
+
+def _exact_types(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(cand, itemset, k) of the truly frequent itemsets: few, by the mining budget."""
+    found = sorted(map(tuple, (r.itemset for r in _type_exact(spark, sf_dir).collect())))
+    return counting.frame(spark, found)
+
+
+_BREACH = """br AS (SELECT c.code, c.itemset, c.k, g.b::INTEGER AS item, count(*) AS matched, count_if(t.mask & (1::BIGINT << g.b) > 0) AS present
+    FROM (SELECT * FROM tc WHERE n >= (SELECT 0.003 * n FROM size)) c JOIN generate_series(0, 5) AS g(b) ON c.code & (1 << g.b) > 0 JOIN dm s ON s.mask & c.code = c.code JOIN tm t ON t.tid = s.tid GROUP BY ALL)"""
+
+
+@query(f"WITH {_TYPE}, {_BREACH} SELECT itemset, item, matched, present, round(present / matched, 6) AS breach FROM br")
+def breach_pairs(spark, sf_dir):
+    b, arrays = seen(spark, sf_dir, "type")
+    sets = _exact_types(spark, sf_dir)
+    found = privacy.breaches(b.long, exploded(arrays), sets).join(F.broadcast(sets.select("cand", itemset_text().alias("itemset"))), "cand")
+    return found.select("itemset", "item", "matched", "present", r6("breach").alias("breach"))
+
+
+_S0 = "(SELECT (SELECT count(*) FROM t) / ((SELECT n FROM size) * 6))"
+_BP = f"100 * (1 - {_R.format(s=_S0, p='0.6::DOUBLE', q='0.96::DOUBLE')})"
+
+
+@query(f"""WITH {_TYPE}, {_BREACH}, bp AS (SELECT {_BP} AS bp),
+w AS (SELECT t.tid, br.item, max(present / matched) AS breach FROM t JOIN d ON d.tid = t.tid AND d.item = t.item JOIN dm ON dm.tid = t.tid JOIN br ON br.item = t.item AND dm.mask & br.code = br.code GROUP BY ALL)
+SELECT round((sum(100 * (1 - breach)) + ((SELECT count(*) FROM t) - count(*)) * (SELECT bp FROM bp)) / (SELECT count(*) FROM t), 6) AS privacy, (SELECT count(*) FROM t) AS ones, count(*) AS kept, (SELECT count(*) FROM t) - count(*) AS flipped, 0::BIGINT AS rare FROM w""")
+def reinterrogated_privacy(spark, sf_dir):
+    b, arrays = seen(spark, sf_dir, "type")
+    s0 = tuning.average_support(b.long, b.tids, b.n_items).first().s0
+    found = privacy.reinterrogated(b.long, exploded(arrays), _exact_types(spark, sf_dir), privacy.basic(s0, MAIN.p, MAIN.q))
+    return found.withColumn("privacy", r6("privacy"))
+
+
+@query("SELECT n::INTEGER AS n, q, s, round((1 - q) ** n * (1 - s), 9) AS prob FROM (VALUES (3, 0.9::DOUBLE, 0.01::DOUBLE), (2, 0.98::DOUBLE, 0.003::DOUBLE), (4, 0.96::DOUBLE, 0.01::DOUBLE)) AS v(n, q, s)")
+def spurious_probability(spark, sf_dir):
+    rows = [(n, q, s, round(privacy.spurious_probability(n, q, s), 9)) for n, q, s in ((3, 0.9, 0.01), (2, 0.98, 0.003), (4, 0.96, 0.01))]
+    return spark.createDataFrame(rows, "n int, q double, s double, prob double")
+
+
+# ---- parameter choice ----------------------------------------------------------------------------------------
+
+_INDEX = "sqrt({p} * (1 - {p}) + (1 / {s} - 1) * {q} * (1 - {q})) / abs({p} + {q} - 1)"
+
+
+def _grid_sql(s0: float, slack: float) -> str:
+    s = f"{s0}::DOUBLE"
+    return f"""g AS (SELECT p, q, 100 * (1 - {_R.format(s=s, p='p', q='q')}) AS bp, CASE WHEN abs(p + q - 1) > 1e-9 THEN {_INDEX.format(s=s, p='p', q='q')} END AS error
+    FROM (SELECT i / 10 AS p, j / 100 AS q FROM generate_series(1, 9) AS a(i), generate_series(90, 99) AS b(j)))"""
+
+
+def _reference(s0: float, slack: float) -> str:
+    return f"{_INDEX.format(s=f'{s0}::DOUBLE', p='0.9::DOUBLE', q='0.9::DOUBLE')} * (1 + {slack}::DOUBLE)"
+
+
+@query(f"WITH {_grid_sql(0.01, 0)} SELECT p, q, round(bp, 6) AS bp, round(error, 6) AS error, bp >= 90 AS private, error <= {_reference(0.01, 0.0)} AS accurate FROM g")
+def param_grid(spark, sf_dir):
+    return tuning.grid(spark, 0.01).withColumns({"bp": r6("bp"), "error": r6("error")})
+
+
+def _chosen_sql(s0: float) -> str:
+    return f"WITH {_grid_sql(s0, 0.04)} SELECT p, q, round(bp, 6) AS bp, round(error, 6) AS error FROM g WHERE bp >= 90 AND error <= {_reference(s0, 0.04)} AND round(q, 6) > 0.95"
+
+
+@query(_chosen_sql(0.01))
+def param_candidates_001(spark, sf_dir):
+    return tuning.candidates(spark, 0.01, slack=0.04).select("p", "q", r6("bp").alias("bp"), r6("error").alias("error"))
+
+
+@query(_chosen_sql(0.005))
+def param_candidates_0005(spark, sf_dir):
+    return tuning.candidates(spark, 0.005, slack=0.04).select("p", "q", r6("bp").alias("bp"), r6("error").alias("error"))
+
+
+@query(f"SELECT p, q, round({_INDEX.format(s='0.01::DOUBLE', p='p', q='q')}, 6) AS error, round({_INDEX.format(s='0.01::DOUBLE', p='p', q='q')} / sqrt(10000.0), 8) AS relative FROM {_CAND}")
+def error_index(spark, sf_dir):
+    rows = [(p, q, round(tuning.relative_error(10_000, 1_000_000, p, q), 8)) for p, q in CANDIDATES_DENSE]
+    return spark.createDataFrame(rows, "p double, q double, relative double").select("p", "q", r6(tuning.relative_error_index(0.01, F.col("p"), F.col("q"))).alias("error"), "relative")
+
+
+# ---- errors and costs ----------------------------------------------------------------------------------------
+
+_LEVELS = f"""WITH {_BRAND_D}, {_EXACT},
+tr AS (SELECT 1 AS k, a::VARCHAR AS s, n FROM x1 UNION ALL SELECT 2, a || ',' || b, n FROM x2 UNION ALL SELECT 3, a || ',' || b || ',' || c, n FROM x3),
+fo AS (SELECT 1 AS k, a::VARCHAR AS s, est FROM f1 UNION ALL SELECT 2, a || ',' || b, est FROM f2 UNION ALL SELECT 3, a || ',' || b || ',' || c, est FROM f3),
+lv AS (SELECT coalesce(tr.k, fo.k) AS k, count(n) AS n_true, count(est) AS n_found, count(n + est) AS hits, 100 * avg(abs(est - n) / n) AS rho FROM tr FULL JOIN fo ON tr.s = fo.s GROUP BY 1),
+le AS (SELECT *, 100 * (n_found - hits) / n_true AS sigma_plus, 100 * (n_true - hits) / n_true AS sigma_minus FROM lv)"""
+
+
+def levels(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return metrics.by_level(found_brand(spark, sf_dir, 3).frame(spark), exact_brand(spark, sf_dir, 3).frame(spark))
+
+
+@query(_LEVELS + " SELECT k, hits, round(rho, 6) AS rho FROM le")
+def support_error_levels(spark, sf_dir):
+    return levels(spark, sf_dir).select("k", "hits", r6("rho").alias("rho"))
+
+
+@query(_LEVELS + " SELECT k, n_true, n_found, round(sigma_plus, 6) AS sigma_plus, round(sigma_minus, 6) AS sigma_minus FROM le")
+def identity_error_levels(spark, sf_dir):
+    return levels(spark, sf_dir).select("k", "n_true", "n_found", r6("sigma_plus").alias("sigma_plus"), r6("sigma_minus").alias("sigma_minus"))
+
+
+def _weighted(x: str) -> str:
+    mean = f"sum(n_true * {x}) / sum(n_true)"
+    return f"round({mean}, 6) AS {x}, round(sum(n_true * {x} * {x}) / sum(n_true) - ({mean}) * ({mean}), 4) AS var_{x}"
+
+
+@query(_LEVELS + f" SELECT {_weighted('sigma_plus')}, {_weighted('sigma_minus')}, {_weighted('rho')} FROM le")
+def error_rollup(spark, sf_dir):
+    row = metrics.rollup(levels(spark, sf_dir))
+    return row.select(*(F.round(c, 4 if c.startswith("var") else 6).alias(c) for c in row.columns))
+
+
+def _both_settings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(pq, k, itemset, rel) relative errors of all true itemsets of types under two settings."""
+    true, out = _type_exact(spark, sf_dir).select("itemset", "k", F.col("est").alias("t")), None
+    for p, q in ((0.6, 0.96), (0.9, 0.9)):
+        b, arrays = seen(spark, sf_dir, "type", FlipParams(p, q))
+        found = mining.mine_distorted(arrays, b.n_items, b.dbsize(), FlipParams(p, q), MIN_SUPPORT).frame(spark)
+        one = true.join(found.select("itemset", "est"), "itemset").select(F.lit(f"{p}/{q}").alias("pq"), "k", "itemset", (100 * F.abs(F.col("est") - F.col("t")) / F.col("t")).alias("rel"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+_TWO = f"""WITH {_TYPE}, {sql.flips(0.9, 0.9, name='s')}, {sql.masks('s', 'sm')}, {sql.codes('sm', 'sc')}, {sql.estimates('sc', 'se', 0.9, 0.9)},
+rl AS (SELECT '0.6/0.96' AS pq, tc.k, 100 * abs(est - n) / n AS rel FROM tc JOIN e USING (code) WHERE n >= {_LEAST} AND est >= {_LEAST}
+    UNION ALL SELECT '0.9/0.9', tc.k, 100 * abs(est - n) / n FROM tc JOIN se USING (code) WHERE n >= {_LEAST} AND est >= {_LEAST})"""
+
+
+@query(_TWO + " SELECT coalesce(pq, 'all') AS pq, coalesce(k, 0)::INTEGER AS k, count(*) AS n, round(avg(rel), 6) AS rho FROM rl GROUP BY CUBE (pq, k)")
+def error_cube(spark, sf_dir):
+    rows = _both_settings(spark, sf_dir).cube("pq", "k").agg(F.count(F.lit(1)).alias("n"), r6(F.avg("rel")).alias("rho"))
+    return rows.select(F.coalesce("pq", F.lit("all")).alias("pq"), F.coalesce("k", F.lit(0)).alias("k"), "n", "rho")
+
+
+@query(_TWO + " SELECT k, round(avg(rel) FILTER (pq = '0.6/0.96'), 6) AS asym, round(avg(rel) FILTER (pq = '0.9/0.9'), 6) AS sym FROM rl GROUP BY k")
+def error_pivot(spark, sf_dir):
+    rows = _both_settings(spark, sf_dir).groupBy("k").pivot("pq", ["0.6/0.96", "0.9/0.9"]).agg(F.avg("rel"))
+    return rows.select("k", r6(F.col("`0.6/0.96`")).alias("asym"), r6(F.col("`0.9/0.9`")).alias("sym"))
+
+
+@query(_TWO + " SELECT pq, count(*) AS n, round(quantile_cont(rel, 0.5), 6) AS median, round(stddev_pop(rel), 6) AS spread, round(corr(k, rel), 6) AS with_length FROM rl GROUP BY pq")
+def error_distribution(spark, sf_dir):
+    return _both_settings(spark, sf_dir).groupBy("pq").agg(F.count(F.lit(1)).alias("n"), r6(F.percentile("rel", F.lit(0.5))).alias("median"), r6(F.stddev_pop("rel")).alias("spread"), r6(F.corr("k", "rel")).alias("with_length"))
+
+
+@query(f"""WITH {sql.distorted('brand', 0.6, 0.96)}, {sql.flips(0.9, 0.9, name='s')}
+SELECT 0.6::DOUBLE AS p, 0.96::DOUBLE AS q, (SELECT count(*) FROM t) AS before, (SELECT count(*) FROM d) AS after, round((SELECT count(*) FROM d) / (SELECT count(*) FROM t), 6) AS ratio
+UNION ALL SELECT 0.9, 0.9, (SELECT count(*) FROM t), (SELECT count(*) FROM s), round((SELECT count(*) FROM s) / (SELECT count(*) FROM t), 6)""")
+def density_ratio(spark, sf_dir):
+    b, out = of(spark, sf_dir, "brand"), None
+    for p, q in ((0.6, 0.96), (0.9, 0.9)):
+        one = metrics.density_ratio(distort.flip_cells(b, FlipParams(p, q), SEED).long, b.long).select(F.lit(p).alias("p"), F.lit(q).alias("q"), "before", "after", r6("ratio").alias("ratio"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query(f"""WITH {_TYPE}, c AS (SELECT k, count(*) AS n FROM tc GROUP BY k) SELECT 'pattern' AS strategy, sum(n * 2 ** k)::BIGINT AS counters FROM c
+UNION ALL SELECT 'weight', sum(n * (k + 1))::BIGINT FROM c UNION ALL SELECT 'weight_explicit', sum(n * k)::BIGINT FROM c UNION ALL SELECT 'ones', sum(n)::BIGINT FROM c""")
+def counter_cost(spark, sf_dir):
+    b = of(spark, sf_dir, "type")
+    found = mining.mine_exact(stored(b.arrays(), "true-type"), b.n_items, b.dbsize(), MIN_SUPPORT)
+    return spark.createDataFrame([(s, metrics.counter_cost(list(found.candidates.items()), s)) for s in ("pattern", "weight", "weight_explicit", "ones")], "strategy string, counters long")
+
+
+# ---- other workloads -----------------------------------------------------------------------------------------
+
+
+@query(f"WITH {sql.baskets('clicks')} SELECT tid, string_agg(item::VARCHAR, ',' ORDER BY item) AS items FROM t GROUP BY tid")
+def clicks_baskets(spark, sf_dir):
+    return of(spark, sf_dir, "clicks").arrays().select("tid", itemset_text("items").alias("items"))
+
+
+_WORDS = """docs AS (SELECT doc_id AS tid, unnest(list_distinct(regexp_extract_all(lower(text), '\\p{L}+'))) AS label FROM documents),
+rk AS (SELECT label, row_number() OVER (ORDER BY n DESC, label) AS r FROM (SELECT label, count(*) AS n FROM docs GROUP BY label)),
+items AS (SELECT label, (row_number() OVER (ORDER BY label) - 1)::INTEGER AS item FROM rk WHERE r BETWEEN 101 AND 1100),
+t AS (SELECT tid, item FROM docs JOIN items USING (label))"""
+
+
+@query(f"WITH {_WORDS} SELECT items.item, label, count(*) AS n FROM t JOIN items ON items.item = t.item GROUP BY ALL")
+def words_baskets(spark, sf_dir):
+    b = baskets.from_documents(spark, sf_dir)
+    return counting.singletons(b.long).join(b.items, "item").select("item", "label", "n")
+
+
+@query(f"WITH {_WORDS} SELECT u.item || ',' || v.item AS itemset, count(*) AS n FROM t u JOIN t v ON u.tid = v.tid AND u.item < v.item GROUP BY 1 HAVING count(*) >= (SELECT 0.03 * count(DISTINCT doc_id) FROM documents)")
+def words_exact_l2(spark, sf_dir):
+    b = baskets.from_documents(spark, sf_dir)
+    found = mining.mine_exact(stored(b.arrays(), "words"), b.n_items, b.dbsize(), "0.03", 2)
+    return named(found.frame(spark)).where("k = 2").select("itemset", F.col("est").cast("long").alias("n"))
+
+
+@query()
+def part_sparse_recon(spark, sf_dir):
+    """Singleton estimates over the widest universe, distorted by the sparse sampler: (item, n_true, est)."""
+    b = of(spark, sf_dir, "part")
+    seen_ = distort.flip_sparse(b.arrays(), b.n_items, FlipParams(0.3, 0.99), SEED)
+    counts = counting.singletons(exploded(seen_)).select("item", reconstruct.singleton_expr(F.col("n"), b.dbsize(), FlipParams(0.3, 0.99)).alias("est"))
+    return b.items.select("item").join(counting.singletons(b.long).withColumnRenamed("n", "n_true"), "item", "left").join(counts, "item", "left").select("item", F.coalesce("n_true", F.lit(0)).alias("n_true"), r6("est").alias("est"))
+
+
+@query()
+def distort_sparse_sampler(spark, sf_dir):
+    b = of(spark, sf_dir, "name_type")
+    return distort.flip_sparse(b.arrays(), b.n_items, ASYM_DEFAULT, SEED).select("tid", itemset_text("items").alias("items"))
+
+
+@query()
+def pattern_generator(spark, sf_dir):
+    return counting.singletons(generator.pattern_baskets(spark, 10_000).long)
+
+
+@query(f"WITH {_BRAND_D}, {_EXACT}, fs AS (SELECT a || ',' || b AS s FROM f2), ts AS (SELECT a || ',' || b AS s FROM x2) SELECT 'both' AS part, count(*) AS n FROM (SELECT s FROM fs INTERSECT SELECT s FROM ts) UNION ALL SELECT 'extra', count(*) FROM (SELECT s FROM fs EXCEPT SELECT s FROM ts) UNION ALL SELECT 'missed', count(*) FROM (SELECT s FROM ts EXCEPT SELECT s FROM fs)")
+def set_ops_rf(spark, sf_dir):
+    found, true = (m.frame(spark).where("k = 2").select("itemset") for m in (found_brand(spark, sf_dir, 2), exact_brand(spark, sf_dir, 2)))
+    parts = (("both", found.intersect(true)), ("extra", found.subtract(true)), ("missed", true.subtract(found)))
+    out = None
+    for name, df in parts:
+        one = df.agg(F.count(F.lit(1)).alias("n")).select(F.lit(name).alias("part"), "n")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query(f"WITH {sql.baskets('brand')}, x AS (SELECT item, count(*) AS n FROM t GROUP BY item) SELECT item, n, round(n / sum(n) OVER (), 9) AS share, rank() OVER (ORDER BY n DESC)::INTEGER AS rank, round(percent_rank() OVER (ORDER BY n), 9) AS relative, ntile(4) OVER (ORDER BY n, item)::INTEGER AS quarter FROM x")
+def window_support_share(spark, sf_dir):
+    return rel.support_shares(counting.singletons(of(spark, sf_dir, "brand").long))
+
+
+for _name, (_f, _oracle) in rel.TABLE_QUERIES.items():
+
+    def _table_query(spark, sf_dir, f=_f):
+        return f(lambda name, *columns: load(spark, sf_dir, name, *columns))
+
+    _table_query.__name__ = _name
+    query(_oracle)(_table_query)
+
+
+@query(f"WITH {sql.baskets('brand')}, top AS (SELECT item FROM t GROUP BY item ORDER BY count(*) DESC, item LIMIT 5) SELECT tid, item FROM t WHERE item IN (SELECT item FROM top)")
+def semi_frequent(spark, sf_dir):
+    b = of(spark, sf_dir, "brand")
+    return baskets.restrict(b, counting.singletons(b.long).orderBy(F.desc("n"), "item").limit(5)).long
+
+
+@query(f"WITH {sql.baskets('brand')}, top AS (SELECT item FROM t GROUP BY item ORDER BY count(*) DESC, item LIMIT 5) SELECT tid, item FROM t WHERE item NOT IN (SELECT item FROM top)")
+def anti_infrequent(spark, sf_dir):
+    b = of(spark, sf_dir, "brand")
+    return baskets.restrict(b, counting.singletons(b.long).orderBy(F.desc("n"), "item").limit(5), keep=False).long
+
+
+@query(f"WITH {sql.baskets('brand')}, l AS (SELECT tid, list_sort(list(item)) AS items FROM t GROUP BY tid) SELECT tid FROM l WHERE list_has_all(items, [0, 3])")
+def containment_filter(spark, sf_dir):
+    return of(spark, sf_dir, "brand").arrays().where(rel.contains("items", (0, 3))).select("tid")
+
+
+@query("SELECT lower(tag) AS label, count(DISTINCT page_id) AS n FROM (SELECT page_id, unnest(regexp_extract_all(html, '<([a-zA-Z][a-zA-Z0-9]*)', 1)) AS tag FROM pages) GROUP BY 1")
+def page_tags(spark, sf_dir):
+    b = baskets.from_pages(spark, sf_dir)
+    return counting.singletons(b.long).join(b.items, "item").select("label", "n")
+
+
+@query("""WITH w AS (SELECT DISTINCT conv_id, label FROM (SELECT conv_id, unnest(regexp_extract_all(lower(text), '\\p{L}+')) AS label FROM conversations)),
+x AS (SELECT w.label, count(*) AS n FROM (SELECT conv_id, turn, unnest(list_distinct(regexp_extract_all(lower(text), '\\p{L}+'))) AS label FROM conversations) w GROUP BY 1 ORDER BY n DESC, label LIMIT 500)
+SELECT w.label, count(*) AS n FROM w JOIN x USING (label) GROUP BY 1""")
+def conv_words(spark, sf_dir):
+    b = baskets.from_conversations(spark, sf_dir)
+    return counting.singletons(b.long).join(b.items, "item").select("label", "n")
+
+
+@query()
+def approx_tuples(spark, sf_dir):
+    """Approximate and exact numbers of tuples and of items, side by side."""
+    long = of(spark, sf_dir, "brand").long
+    return long.agg(F.approx_count_distinct("tid").alias("about"), F.hll_sketch_estimate(F.hll_sketch_agg("tid")).alias("sketch"), F.count_distinct("tid").alias("tuples"))
+
+
+@query(f"WITH {sql.baskets('clicks')}, {sql.flips(0.6, 0.96)} SELECT tids.tid, coalesce(string_agg(d.item::VARCHAR, ',' ORDER BY d.item), '') AS items FROM tids LEFT JOIN d ON d.tid = tids.tid GROUP BY tids.tid")
+def stream_distort(spark, sf_dir):
+    b = of(spark, sf_dir, "clicks")
+    return streams.distort_table(b.arrays(), b.n_items, MAIN, SEED).select("tid", itemset_text("items").alias("items"))
+
+
+@query("SELECT date_trunc('day', ts) AS day, event_type, count(*) AS n FROM events GROUP BY ALL")
+def stream_window_counts(spark, sf_dir):
+    return streams.run_once(streams.window_counts(streams.read_events(spark, sf_dir)), "complete")
+
+
+from . import experiments  # noqa: E402  registers the experiments' queries
+
+experiments.register(query)
