@@ -768,6 +768,54 @@ def stream_window_counts(spark, sf_dir):
     return streams.run_once(streams.window_counts(streams.read_events(spark, sf_dir)), "complete")
 
 
+@query(f"""WITH {sql.baskets('clicks')}, {sql.flips(0.6, 0.96)}, y AS (SELECT tid % 100000 AS day, item, count(*) AS n FROM d GROUP BY ALL), s AS (SELECT tid % 100000 AS day, count(*) AS tuples FROM tids GROUP BY 1)
+SELECT DATE '1970-01-01' + y.day::INTEGER AS day, item, n, round((25 * n - tuples) / 14.0::DOUBLE, 6) AS est FROM y JOIN s ON s.day = y.day""")
+def stream_window_recon(spark, sf_dir):
+    """Distorted click baskets streamed by day, estimated per window."""
+    b = of(spark, sf_dir, "clicks")
+    dated = stored(distort.flip_arrays(b.arrays(), b.n_items, MAIN, SEED).withColumn("ts", F.timestamp_seconds((F.col("tid") % 100_000) * 86_400)).select("tid", "ts", "items"), "dated")
+    stream = streams.read_table(dated)
+    counts = streams.run_once(streams.window_recon(stream, MAIN), "complete")
+    return streams.estimates_of(counts, MAIN).select(F.to_date("day").alias("day"), "item", "n", r6("est").alias("est"))
+
+
+_EVENT_TYPES = """m AS (SELECT DISTINCT user_id * 100000 + date_diff('day', DATE '1970-01-01', ts::DATE) AS tid, event_type AS label FROM events),
+items AS (SELECT label, (row_number() OVER (ORDER BY label) - 1)::INTEGER AS item FROM (SELECT DISTINCT label FROM m)), t AS (SELECT tid, item FROM m JOIN items USING (label)),
+tids AS (SELECT DISTINCT tid FROM m), size AS (SELECT count(*) AS n FROM tids)"""
+
+
+@query(f"WITH {_EVENT_TYPES}, {sql.masks('t', 'tm')}, {sql.codes('tm', 'tc', 5)} SELECT itemset, k, n FROM tc WHERE n >= {_LEAST}")
+def event_types_exact(spark, sf_dir):
+    b = baskets.from_events(spark, sf_dir, "type")
+    found = mining.mine_exact(stored(b.arrays(), "event-types"), b.n_items, b.dbsize(), MIN_SUPPORT)
+    return named(found.frame(spark)).select("itemset", "k", F.col("est").cast("long").alias("n"))
+
+
+@query("""WITH docs AS (SELECT doc_id AS tid, unnest(list_distinct(regexp_extract_all(lower(text), '\\p{L}+'))) AS label FROM documents WHERE lang = 'en' AND doc_id IN (SELECT doc_id FROM labels WHERE quality = 1)),
+rk AS (SELECT label, n, row_number() OVER (ORDER BY n DESC, label) AS r FROM (SELECT label, count(*) AS n FROM docs GROUP BY label))
+SELECT label, n FROM rk WHERE r BETWEEN 101 AND 1100""")
+def words_en_quality(spark, sf_dir):
+    b = baskets.from_documents(spark, sf_dir, slice_=True)
+    return counting.singletons(b.long).join(b.items, "item").select("label", "n")
+
+
+@query(f"""WITH {sql.baskets('type')}, x AS (SELECT item, count(*) AS n FROM t GROUP BY item)
+SELECT item, round(sqrt((n * (0.6::DOUBLE * 0.4 + 0.56::DOUBLE * 0.56) + ((SELECT n FROM size) - n) * 0.96::DOUBLE * 0.04) / (0.56::DOUBLE * 0.56) - n), 6) AS stderr FROM x""")
+def estimator_stderr(spark, sf_dir):
+    """Standard errors of singleton estimates, by the general formula for itemsets."""
+    b = of(spark, sf_dir, "type")
+    size = b.dbsize()
+    rows = [(r.item, round(channel.variance([size - r.n, r.n], MAIN.p, MAIN.q) ** 0.5, 6)) for r in counting.singletons(b.long).collect()]
+    return spark.createDataFrame(rows, "item int, stderr double")
+
+
+@query()
+def channel_condition(spark, sf_dir):
+    """How the inversion magnifies errors, by length of itemset and setting."""
+    rows = [(n, p, q, channel.condition(n, p, q)) for n in range(1, 9) for p, q in CANDIDATES_DENSE]
+    return spark.createDataFrame(rows, "n int, p double, q double, condition double")
+
+
 from . import experiments  # noqa: E402  registers the experiments' queries
 
 experiments.register(query)

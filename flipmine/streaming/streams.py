@@ -23,6 +23,12 @@ def read_folder(spark: SparkSession, path: str, schema, files_per_batch: int = 1
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_batch).parquet(path)
 
 
+def read_table(df: DataFrame) -> DataFrame:
+    """A table that was read from files, as a stream of these files."""
+    folder = df.inputFiles()[0].rsplit("/", 1)[0]
+    return df.sparkSession.readStream.schema(df.schema).parquet(folder)
+
+
 def distort_stream(arrays: DataFrame, n_items: int, params: FlipParams, seed: int) -> DataFrame:
     """Stateless and narrow: a tuple is distorted where it arrives, by the coins of the batch form."""
     return flip_arrays(arrays, n_items, params, seed)
