@@ -55,12 +55,13 @@ _NAME = re.compile(r"[a-z]+|[A-Z][a-z]*")
 
 
 @functools.lru_cache(maxsize=50_000)
-def label(tag: str, rest: str) -> tuple[str, bool]:
-    """The element's label (tag, class and id without digits), and whether its author marks it as no main text."""
+def label(tag: str, rest: str) -> tuple[str, bool, bool]:
+    """The element's label (tag, class and id without digits), whether its author marks it as no main text, and whether as a header."""
     names = [re.sub(r"\d+", "", a or b or c) for _, a, b, c in _ATTRIBUTE.findall(rest)] if rest else []
     found = " ".join(names)
-    marked = tag in NEVER or tag not in ("html", "body") and any(w.lower() in MARKS for w in _NAME.findall(found))
-    return f"{tag}.{found}" if found else tag, marked
+    words = {w.lower() for w in _NAME.findall(found)} if tag not in ("html", "body") else set()
+    header = tag == "header" or "header" in words and not words & {"article", "post", "entry", "content"}
+    return f"{tag}.{found}" if found else tag, tag in NEVER or bool(words & MARKS), header
 
 
 @functools.lru_cache(maxsize=200_000)
@@ -125,8 +126,8 @@ class Page:
                             break
                 elif tag == "body" and stack[-1][0] == "head":
                     close(len(stack) - 1)
-                name, marked = label(tag, rest)
-                marked = marked or tag == "header" and not main
+                name, marked, header = label(tag, rest)
+                marked = marked or header and not main
                 stack[-1][3].append(name)
                 if tag not in VOID and not rest.endswith("/"):
                     stack.append((tag, f"{stack[-1][1]}/{name}", marked or stack[-1][2], []))
@@ -167,7 +168,7 @@ def tree_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 for at in ((key(path), PRESENTATION, key(" ".join(runs))), (key(path), PAGE, 0)):
                     own[at] = own.get(at, 0) + 1
             for path, said, _ in page.blocks:
-                feature = key(re.sub(r"\d+", "0", said.replace(host, "")) if host else said)
+                feature = key(said.replace(host, "") if host else said)
                 for above in ancestors(path):
                     at = (key(above), CONTENT, feature)
                     own[at] = own.get(at, 0) + 1
@@ -219,11 +220,12 @@ def noisy_nodes(pages: DataFrame) -> DataFrame:
 
 
 def main_text(page: Page, noisy: frozenset[int]) -> str:
+    """Blocks left when all branches are cut whose nodes are noisy throughout: those with a noisy node of their own go."""
     verdict: dict[str, bool] = {}
     out = []
     for path, said, marked in page.blocks:
         if path not in verdict:
-            verdict[path] = not marked and not any(key(p) in noisy for p in ancestors(path))
+            verdict[path] = not marked and key(path) not in noisy
         if verdict[path]:
             out.append(said)
     return "\n".join(out)
