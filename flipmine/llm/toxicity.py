@@ -18,7 +18,7 @@ from pyspark.sql import types as T
 from .common import mix64
 
 #: The classifier is fitted on so many labelled rows at most: those whose hashed doc_id is smallest.
-SAMPLE = 8000
+SAMPLE = 5000
 #: Words of the model at most, those that tell the classes apart best; chance that any word is taken without reason.
 WORDS, CHANCE = 4000, 0.05
 #: Of so many least hashes of its words a row must share fewer than the second number with each earlier row, else it is a near copy.
@@ -92,7 +92,7 @@ def without_copies(rows: list[tuple[list[str], int]]) -> list[tuple[tuple[str, .
     seen: dict[tuple[int, int, int], list[int]] = {}
     out = []
     for own, label in sorted({(tuple(sorted(own)), label) for own, label in rows}):
-        hashes = np.array([zlib.crc32(w.encode()) for w in own] or [0], np.uint64) + np.uint64(1)
+        hashes = np.array([zlib.crc32(w.encode()) for w in own if "~" not in w] or [0], np.uint64) + np.uint64(1)
         with np.errstate(over="ignore"):
             least = mix64(hashes[:, None] * salts[None, :]).min(0).tolist()
         met: dict[int, int] = {}
@@ -175,27 +175,24 @@ def train(documents: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Mode
         for batch in batches:
             yield pa.RecordBatch.from_arrays([pa.array([sorted(features(t)) for t in batch.column(0).to_pylist()], pa.list_(pa.string())), batch.column(1).cast(pa.int32())], ["words", "toxic"])
 
-    return fit([(r.words, r.toxic) for r in texts.mapInArrow(work, "words array<string>, toxic int").toLocalIterator()])
-
-
-SCHEMA = T.StructType([T.StructField("score", T.DoubleType()), T.StructField("predicted", T.IntegerType())])
+    pool: dict[str, str] = {}  # a word is held once, however many rows have it
+    return fit([([pool.setdefault(w, w) for w in r.words], r.toxic) for r in texts.mapInArrow(work, "words array<string>, toxic int").toLocalIterator()])
 
 
 def scored(documents: DataFrame, model: Model, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
     """The ``keep`` columns, score and predicted for each row, from its whole text alone.
 
-    A null text is an empty one and gets the score of no words at all; other columns are ignored. The
-    model, at most ``WORDS`` words, is broadcast.
+    A null text is an empty one and gets the score of no words at all; other columns are ignored. Only
+    texts go to the Python workers and only scores come back. The model, at most ``WORDS`` words, is broadcast.
     """
     shared = documents.sparkSession.sparkContext.broadcast(model)
-    rows = documents.select(*keep, F.col("text").cast("string").alias("text_"))
 
-    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            scores = [shared.value.score(t.as_py()) for t in batch.column(len(keep))]
-            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(len(keep))), pa.array(scores, pa.float64()), pa.array([int(s >= CUTOFF) for s in scores], pa.int32())], [*keep, "score", "predicted"])
+    def score(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for texts in batches:
+            yield pa.array([shared.value.score(t.as_py()) for t in texts], pa.float64())
 
-    return rows.mapInArrow(work, T.StructType([*rows.select(*keep).schema.fields, *SCHEMA.fields]))
+    rows = documents.withColumn("score", F.arrow_udf(score, T.DoubleType())(F.col("text").cast("string")))
+    return rows.select(*(c for c in keep), "score", (F.col("score") >= CUTOFF).cast("int").alias("predicted"))
 
 
 def classified(documents: DataFrame, labels: DataFrame) -> DataFrame:
