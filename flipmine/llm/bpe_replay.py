@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 #: Chunks that a task remembers from earlier batches; beyond it the memory is emptied, results do not change.
-MEMORY = 800_000
+MEMORY = 300_000
 #: The rank of a pair that does not join.
 NONE = np.int32(2**31 - 1)
 
@@ -206,11 +206,11 @@ class Codec:
 
 @functools.lru_cache(maxsize=2)
 def codec(file: str, pattern: str) -> Codec:
-    """Kept by a worker between its tasks."""
+    """Kept by a worker between its tasks, but for the chunks it remembers."""
     return Codec(read_ranks(file), pattern)
 
 
-def portions(texts: list[str], most_chars: int = 6_000_000) -> Iterator[tuple[int, int]]:
+def portions(texts: list[str], most_chars: int = 4_000_000) -> Iterator[tuple[int, int]]:
     """Ranges of texts that are encoded together: one text at least, whole texts always."""
     at, held = 0, 0
     for i, text in enumerate(texts):
@@ -242,6 +242,7 @@ def encoded(documents: DataFrame, ranks_path: str, pattern: str, keep: tuple[str
                 ids = own.encode(texts[a:b])
                 columns = [batch.column(i).slice(a, b - a) for i in range(len(keep))]
                 yield pa.RecordBatch.from_arrays([*columns, pa.array(ids, pa.binary()), pa.array([own.decode(x) for x in ids], pa.binary())], [*keep, "ids", "decoded"])
+        own.known = {}
 
     return rows.mapInArrow(work, schema)
 
