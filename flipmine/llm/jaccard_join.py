@@ -27,6 +27,8 @@ FREQUENT = 1
 MOST_FREQUENT = 1 << 20
 #: Classes of a chunk: at least SMALL, at most LARGE; between these a group has CHUNKS chunks.
 SMALL, LARGE, CHUNKS = 64, 4096, 32
+#: So many classes of groups at most (24 bytes each) are broadcast to the texts; more are joined by a shuffle.
+MOST_MEMBERS = 1_000_000
 #: Prefixes are this much longer when frequent shingles are looked for.
 WIDER = 1.5
 #: Linked sets share so many shingles of their prefixes (or all, if fewer are needed to be linked at all).
@@ -153,17 +155,16 @@ def meetings(postings: DataFrame, percent: int) -> DataFrame:
 def components(edges: DataFrame) -> DataFrame:
     """(node, component) for the nodes of ``edges`` (a, b): the smallest node that can be reached.
 
-    Alternating large-star and small-star steps until the edges stay the same. Minima are combined before
+    Alternating large-star and small-star steps until every node hangs on one that hangs on none. Minima are combined before
     they are shuffled; they are stored so that a node with very many neighbours is a skewed join, which
     adaptive execution splits, and not one task.
     """
     edges = stored(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
-    before = None
     while True:
-        seen = edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
-        if seen == before or not seen[0]:
+        up, down = edges.select(F.col("a").alias("node"), F.lit(1).alias("up"), F.lit(0).alias("down")), edges.select("b", F.lit(0), F.lit(1))
+        roles = up.union(down).groupBy("node").agg(F.sum("up").alias("up"), F.sum("down").alias("down"))
+        if roles.where("up > 1 OR (up > 0 AND down > 0)").isEmpty():
             return edges.select(F.col("a").alias("node"), F.col("b").alias("component")).union(edges.select("b", "b").distinct())
-        before = seen
         both = edges.union(edges.select("b", "a"))
         low = stored(both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("low")), "lows")
         large = both.join(low, "a").where("b > a").select(F.col("b").alias("a"), F.col("low").alias("b"))
@@ -273,6 +274,8 @@ def links(documents: DataFrame, groups: DataFrame, size: int, percent: int) -> D
     chunk = F.least(F.greatest(F.ceil(F.col("n") / CHUNKS), F.lit(SMALL)), F.lit(LARGE))
     counts = stored(counts.select("component", F.ceil(F.col("n") / chunk).cast("int").alias("chunks")), "group-chunks")
     members = stored(groups.join(counts, "component").select(F.col("node").alias("doc_id"), "component", "chunks"), "group-members")
+    if members.count() <= MOST_MEMBERS:
+        members = F.broadcast(members)
     texts = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(members, "doc_id")
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
