@@ -5,7 +5,7 @@ DataFrame functions only.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import stored
@@ -18,8 +18,8 @@ SHARES = ("symbols", "bangs", "capitals", "dup_lines", "repeats")
 RISK = 0.02
 #: ... in all strata at once, but for this probability.
 DOUBT = 0.05
-#: Of the cutoffs that are safe, that with the greatest (bad rejected) - PRICE * (good rejected), both as shares, is taken.
-PRICE = 50.0
+#: One of so many good documents helps to order the cutoffs; the others test them.
+GUIDES = 4
 #: Cutoffs of so many strata at most are broadcast; beyond it they are joined.
 MOST_BROADCAST = 50_000
 
@@ -90,25 +90,50 @@ def binomial_tail(n: Column, k: Column, risk: float) -> Column:
 def cutoffs(labelled: DataFrame, risk: float = RISK, doubt: float = DOUBT) -> DataFrame:
     """Per stratum and rule the step of the grid from which documents are rejected.
 
-    ``labelled`` has stratum, quality (1 good, 0 bad) and the measures. A cutoff is safe if the exact
-    binomial (Clopper-Pearson) upper bound on the share of good documents that it rejects is at most
-    the rule's part of ``risk``; the tests of all strata, rules and cutoffs share ``doubt`` evenly, so all
-    cutoffs hold at once whichever is taken. A stratum with too few good documents gets no cutoff.
+    ``labelled`` has doc_id, stratum, quality (1 good, 0 bad) and the measures. A stratum's cutoffs stand in one
+    sequence, each rule's from the mildest on, and a test asks whether all up to a place reject together
+    more than ``risk`` of the good documents (exact binomial, Clopper-Pearson). The sequence ends at the first place
+    that is not safe, so its tests share nothing; strata share ``doubt`` evenly. The order comes from bad
+    documents and from good ones that take no part in the tests: most further bad documents for each good one
+    first. Cutoffs that reject no bad document beyond the base rules and the places before are left out. A
+    stratum whose good documents could not show a cutoff safe even if none were rejected gets none and has no part of ``doubt``.
     """
-    per_rule = risk / len(SHARES)
-    # counts of each step first: a few rows per stratum, whatever the number of documents
-    steps = F.array(*(F.struct(F.lit(name).alias("rule"), step(share).alias("step")) for name, share in shares().items()))
-    good, bad = F.sum(F.col("quality")).alias("good"), F.sum(1 - F.col("quality")).alias("bad")
-    counts = labelled.select("stratum", "quality", F.explode(steps).alias("at")).groupBy("stratum", "at.rule", "at.step").agg(good, bad)
+    from math import log
+
+    good = F.col("quality") == 1
+    guide = F.crc32(F.concat(F.lit("guide"), F.coalesce(F.col("doc_id").cast("string"), F.lit("")))) % GUIDES == 0
+    count = lambda of, name: F.sum(of.cast("long")).alias(name)
+    # counts of each combination of steps first: few rows per stratum beside the documents
+    steps = F.array(*(step(share).cast("int") for share in shares().values()))
+    counts = labelled.withColumn("steps", steps).groupBy("stratum", "steps").agg(count(~good & ~base_failed(), "bad"), count(good & guide, "guides"), count(good & ~guide, "good"))
     counts = stored(counts, "quality-steps")
-    totals = counts.where(F.col("rule") == SHARES[0]).groupBy("stratum").agg(F.sum("good").alias("n"), F.sum("bad").alias("n_bad"))
-    tests = totals.count() * len(SHARES) * len(GRID)
+    totals = counts.groupBy("stratum").agg(F.sum("good").alias("n")).where(F.col("n") * log(1 - risk) <= log(doubt))
+    tests = totals.count()
     if not tests:
         return labelled.sparkSession.createDataFrame([], "stratum string, rule string, cut int")
-    reached = counts.where("step > 0").withColumn("cut", F.explode(F.sequence(F.lit(1), "step"))).groupBy("stratum", "rule", "cut").agg(F.sum("good").alias("k"), F.sum("bad").alias("hit"))
-    safe = reached.join(totals, "stratum").where((F.col("n") > 0) & (F.col("hit") > 0)).where(binomial_tail(F.col("n"), F.col("k"), per_rule) <= doubt / tests)
-    gain = F.col("hit") / F.col("n_bad") - PRICE * F.col("k") / F.col("n")
-    return safe.where(gain > 0).groupBy("stratum", "rule").agg(F.max_by("cut", F.struct(F.round(gain, 12), F.col("cut"))).alias("cut"))
+    reached = counts.join(totals, "stratum").select("*", F.posexplode("steps").alias("rule", "step")).where("step > 0").withColumn("cut", F.explode(F.sequence(F.lit(1), "step")))
+    milder = Window.partitionBy("stratum", "rule").orderBy(F.desc("cut"))
+    each = reached.groupBy("stratum", "rule", "cut").agg(F.sum("bad").alias("bad"), F.sum("guides").alias("guides"))
+    each = each.withColumn("before", F.coalesce(F.lag("bad").over(milder), F.lit(0))).where("bad > before")
+    each = each.withColumn("worth", F.min(F.col("bad") / (F.col("guides") + 1)).over(milder))
+    order = each.select("stratum", "rule", "cut", F.row_number().over(Window.partitionBy("stratum").orderBy(F.desc("worth"), "rule", F.desc("cut"))).alias("place"))
+
+    def at_first(order: DataFrame, what: str) -> DataFrame:
+        """Documents of a kind by the first place of ``order`` that rejects them."""
+        chain = order.groupBy("stratum").agg(F.collect_list(F.struct("rule", "cut", "place")).alias("chain"))
+        first = F.array_min(F.transform(F.filter("chain", lambda x: F.get("steps", x["rule"]) >= x["cut"]), lambda x: x["place"]))
+        return counts.join(chain, "stratum").select("stratum", first.alias("place"), what).groupBy("stratum", "place").agg(F.sum(what).alias(what))
+
+    order = stored(order, "quality-order")
+    order = stored(order.join(at_first(order, "bad").where("bad > 0"), ["stratum", "place"], "left_semi"), "quality-useful")
+    rejected = at_first(order, "good")
+    upto = Window.partitionBy("stratum").orderBy("place")
+    k = F.sum(F.coalesce("good", F.lit(0).cast("long"))).over(upto)
+    tested = order.join(rejected, ["stratum", "place"], "left").join(totals, "stratum").withColumn("k", k)
+    # the more good documents are rejected the greater the tail, so all safe places come before the first that is not
+    safe = tested.where(binomial_tail(F.col("n"), F.col("k"), risk) <= doubt / tests)
+    names = F.array(*map(F.lit, SHARES))
+    return safe.groupBy("stratum", F.get(names, F.col("rule")).alias("rule")).agg(F.min("cut").alias("cut"))
 
 
 def judged(documents: DataFrame, labels: DataFrame, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:

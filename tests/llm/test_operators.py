@@ -417,6 +417,38 @@ def test_cutoffs_reject_junk_and_hold_the_risk(spark):
     assert got.where("doc_id % 5 = 0 AND kept").count() == 0 and got.where("doc_id % 5 <> 0 AND NOT kept").count() == 0
 
 
+def test_some_hundred_labels_are_enough_for_cutoffs(spark):
+    rng = random.Random(12)
+    rows, labels = [], []
+    for i in range(1500):
+        lang, junk, loud = ("en", "fr", "de")[min(i // 600, 2)] if i < 1260 else "xx", i % 4 == 0, i % 25 == 1
+        w = [f"w{rng.randrange(10**6)}" for _ in range(55)]
+        rows.append((i, " ".join(x + "###" if junk else x + "!!!" if loud else x for x in w), lang))
+        labels.append((i, int(not junk)))
+    docs = spark.createDataFrame([r for r in rows if r[2] != "xx"], "doc_id long, text string, lang string")
+    known = spark.createDataFrame(labels, "doc_id long, quality int")
+    got = {r.doc_id: r.kept for r in risk_rules.judged(docs, known).collect()}
+    langs = {i: lang for i, _, lang in rows}
+    for lang in ("en", "fr"):  # 450 good documents each
+        assert not any(kept for i, kept in got.items() if langs[i] == lang and i % 4 == 0)
+    assert all(kept for i, kept in got.items() if langs[i] == "de")  # 45 good documents cannot bound a share of 2 %
+    assert all(kept for i, kept in got.items() if i % 4)
+
+
+def test_cutoffs_together_stay_below_the_risk(spark):
+    rng = random.Random(13)
+    rows, labels = [], []
+    for i in range(3000):
+        bad = i % 3 == 0
+        kind = rng.choice(("symbols", "capitals", "none")) if bad else "none" if rng.random() > 0.06 else "capitals"  # good ones in capitals: 6 %
+        w = [f"w{rng.randrange(10**6)}" for _ in range(55)]
+        rows.append((i, " ".join({"symbols": x + "##", "capitals": x.upper() + "QQ", "none": x}[kind] for x in w), "en", kind))
+        labels.append((i, int(not bad)))
+    docs = spark.createDataFrame([r[:3] for r in rows], "doc_id long, text string, lang string")
+    got = {r.doc_id: r.kept for r in risk_rules.judged(docs, spark.createDataFrame(labels, "doc_id long, quality int")).collect()}
+    assert all(got[i] == (kind != "symbols") for i, _, _, kind in rows)
+
+
 # ---- 10 ------------------------------------------------------------------------------------------------------
 
 
