@@ -2,8 +2,10 @@
 
 The pages of a host are merged into one tree of block elements. A node is a path of labelled
 elements; its presentations are the sequences of children that it has, its contents the texts below
-it. Nodes whose presentations and contents are spread over many pages carry little information and
-are cut from every page, with all below them. A host with few pages leans on the tree of all hosts.
+it. Nodes whose presentations and contents are spread over many pages carry little information; every node
+that two pages share is judged. A branch is cut as far as its nodes are noisy throughout: a block goes if its own
+node is noisy, and one that says something else on each page stays wherever it stands. A host with few pages
+leans on the tree of all hosts.
 """
 
 from __future__ import annotations
@@ -11,9 +13,10 @@ from __future__ import annotations
 import functools
 import html
 import re
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from math import log
 
+import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
@@ -27,8 +30,8 @@ THRESHOLD = 0.6
 GAMMA = 0.9
 #: Pages of a host that count as much as all other hosts together.
 LEAN = 50
-#: A node is judged if it stands on this share of the host's pages at least, so a host has a bounded number of them.
-LEAST_SHARE = 0.01
+#: So many noisy nodes of all hosts at most are broadcast (8 bytes each); beyond it they are joined to each page's own.
+MOST_BROADCAST = 4_000_000
 PRESENTATION, CONTENT, PAGE = 0, 1, 2
 
 #: Elements that begin a block, that never hold anything, whose content is no markup, and that are no main text.
@@ -206,21 +209,19 @@ def importance(features: DataFrame, scope: tuple[str, ...]) -> DataFrame:
 
 
 def noisy_nodes(pages: DataFrame) -> DataFrame:
-    """(host, noisy): per host the nodes to cut, a bounded number since each stands on a share of the host's pages."""
+    """(host, path): the nodes to cut; a node that one page has alone is worth 1 and is never among them."""
     rows = pages.select("url", "html").mapInArrow(tree_rows, "host string, path long, kind int, feature long, n long, nlogn double")
     features = stored(rows.groupBy("host", "path", "kind", "feature").agg(F.sum("n").alias("n"), F.sum("nlogn").alias("nlogn")), "tree-features")
     overall = features.groupBy("path", "kind", "feature").agg(F.sum("n").alias("n"), F.sum("nlogn").alias("nlogn"))
     overall = stored(importance(overall, ()), "tree-overall").select("path", F.col("importance").alias("all_importance"))
-    own = stored(importance(features, ("host",)), "tree-hosts")
-    totals = stored(own.groupBy("host").agg(F.max("pages").alias("host_pages")), "tree-pages")
+    own = stored(importance(features, ("host",)).where("pages > 1"), "tree-hosts")
     part = F.col("pages") / (F.col("pages") + LEAN)
-    mixed = own.join(overall, "path").join(totals, "host").where(F.col("pages") >= F.col("host_pages") * LEAST_SHARE)
-    cut = mixed.where(part * F.col("importance") + (1 - part) * F.col("all_importance") < THRESHOLD)
-    return stored(cut.groupBy("host").agg(F.collect_set("path").alias("noisy")), "tree-noisy")
+    cut = own.join(overall, "path").where(part * F.col("importance") + (1 - part) * F.col("all_importance") < THRESHOLD)
+    return stored(cut.select("host", "path"), "tree-noisy")
 
 
 def main_text(page: Page, noisy: frozenset[int]) -> str:
-    """Blocks left when all branches are cut whose nodes are noisy throughout: those with a noisy node of their own go."""
+    """Blocks left when all branches are cut as far as their nodes are noisy throughout: those with a noisy node of their own go."""
     verdict: dict[str, bool] = {}
     out = []
     for path, said, marked in page.blocks:
@@ -240,18 +241,50 @@ def extracted(pages: DataFrame) -> DataFrame:
     its importance set to none beforehand.
     """
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))
-    host = F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), "://([^/?#]*)", 1))
-    both = rows.withColumn("host", host).join(noisy_nodes(rows), "host", "left").select("page_id", "url", "html", "noisy")
+    kind = "page_id long, url string, text string, n_chars long"
+    cut = noisy_nodes(rows)
+    if cut.count() <= MOST_BROADCAST:
+        return rows.mapInArrow(_with_broadcast(cut), kind)
+    same = F.xxhash64(F.coalesce("url", F.lit("")), F.lit("\n"), F.coalesce("html", F.lit("")))
+    named = rows.withColumn("page", same)
+    nodes = named.select("page", "url", "html").mapInArrow(page_nodes, "page long, host string, path long")
+    noisy = nodes.join(cut, ["host", "path"]).groupBy("page").agg(F.collect_set("path").alias("noisy"))
+    return named.join(noisy, "page", "left").select("page_id", "url", "html", "noisy").mapInArrow(_with_column, kind)
+
+
+def page_nodes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(page, host, path) of the nodes that hold a page's blocks."""
+    for batch in batches:
+        out: list[tuple[int, str, int]] = []
+        for page, url, source in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
+            out += [(page, host_of(url), key(path)) for path in {path for path, _, _ in Page(source.as_py() or "").blocks}]
+        columns = list(zip(*out, strict=True)) or [[]] * 3
+        yield pa.RecordBatch.from_arrays([pa.array(columns[0], pa.int64()), pa.array(columns[1], pa.string()), pa.array(columns[2], pa.int64())], ["page", "host", "path"])
+
+
+def _texts(batch: pa.RecordBatch, texts: list[str]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], ["page_id", "url", "text", "n_chars"])
+
+
+def _with_column(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        yield _texts(batch, [main_text(Page(source.as_py() or ""), frozenset(noisy.as_py() or ())) for source, noisy in zip(batch.column(2), batch.column(3), strict=True)])
+
+
+def _with_broadcast(cut: DataFrame) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    rows = cut.groupBy("host").agg(F.sort_array(F.collect_list("path")).alias("paths")).toArrow()
+    lists = {host: paths.values.to_numpy() for host, paths in zip(rows["host"].to_pylist(), (x for c in rows["paths"].chunks for x in c), strict=True)}
+    shared, none = cut.sparkSession.sparkContext.broadcast(lists), np.zeros(0, np.int64)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sets: dict[tuple, frozenset[int]] = {}
         for batch in batches:
             texts = []
-            for source, noisy in zip(batch.column(2), batch.column(3), strict=True):
-                at = tuple(noisy.as_py() or ())
-                if len(sets) > 1000:
-                    sets = {}
-                texts.append(main_text(Page(source.as_py() or ""), sets.setdefault(at, frozenset(at))))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], ["page_id", "url", "text", "n_chars"])
-
-    return both.mapInArrow(work, "page_id long, url string, text string, n_chars long")
+            for url, source in zip(batch.column(1).to_pylist(), batch.column(2), strict=True):
+                page, noisy = Page(source.as_py() or ""), shared.value.get(host_of(url), none)
+                own = np.array(sorted({key(path) for path, _, _ in page.blocks}), np.int64)
+                at = np.searchsorted(noisy, own)
+                there = own[(at < len(noisy)) & (noisy[np.minimum(at, len(noisy) - 1)] == own)] if len(noisy) else none
+                texts.append(main_text(page, frozenset(there.tolist())))
+            yield _texts(batch, texts)
+
+    return work

@@ -87,6 +87,19 @@ def test_main_text_of_the_given_pages(spark):
         assert got[r.page_id] == "\n".join(b for b in blocks if b)
 
 
+@pytest.mark.parametrize("most", [site_style_tree.MOST_BROADCAST, 0])
+def test_a_notice_on_few_pages_of_a_large_host_is_cut(spark, monkeypatch, most):
+    monkeypatch.setattr(site_style_tree, "MOST_BROADCAST", most)
+    notice = "<div class='zq'><p>Closed on Monday</p></div>"
+    rows = [(i, f"http://big.example/{i}", page(i, f"<p>Text {i}</p><section><h2>Part {i}</h2></section>" if i % 150 else f"<p>Text {i}</p><section><h2>Part {i}</h2></section>{notice}")) for i in range(450)]
+    rows += [(1000 + i, None, f"<div class='zq'><p>Says {i}</p></div>") for i in range(3)] + [(0, rows[0][1], rows[0][2])]
+    got = site_style_tree.extracted(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
+    by = {r.page_id: r.text for r in got}
+    assert len(got) == len(rows)
+    assert all(by[i] == f"Head {i}\nText {i}\nPart {i}" for i in range(450))
+    assert [by[1000 + i] for i in range(3)] == [f"Says {i}" for i in range(3)]
+
+
 def test_importance_is_low_where_all_pages_agree(spark):
     rows = [("h", 1, site_style_tree.CONTENT, 7, 10, 0.0), *(("h", 2, site_style_tree.CONTENT, i, 1, 0.0) for i in range(10)), *(("h", p, site_style_tree.PAGE, 0, 10, 0.0) for p in (1, 2)), *(("h", p, site_style_tree.PRESENTATION, 0, 10, 10 * math.log(10)) for p in (1, 2))]
     got = {r.path: r.importance for r in site_style_tree.importance(spark.createDataFrame(rows, "host string, path long, kind int, feature long, n long, nlogn double"), ("host",)).collect()}
