@@ -2,7 +2,7 @@
 
 The network foretells the class of the next word; how likely a word is within its class comes from counts
 over the whole training corpus. Counts, classes and in-class probabilities use every training document;
-the network's weights are fitted, in parallel, on a fixed share of them, which grows with the corpus.
+the network's weights are fitted, in parallel rounds, on all of them, each in one round.
 """
 
 from __future__ import annotations
@@ -23,8 +23,8 @@ from .common import slices, stored, words_hashed
 HEAD = 131_072
 #: Word classes (the end and the words beyond the head are classes too), words with an input row of their own, width of the state.
 CLASSES, INPUTS, HIDDEN = 40, 384, 16
-#: One of so many training documents is used for gradients; rounds of parallel descent; lanes and window of truncated backpropagation.
-SHARE, ROUNDS, LANES, WINDOW = 16, 2, 128, 12
+#: One of so many training documents is used for gradients (1: all); rounds of parallel descent, which deal these out; lanes and window of truncated backpropagation.
+SHARE, ROUNDS, LANES, WINDOW = 1, 2, 256, 12
 RATE = 0.02
 #: The hash that stands for the end of a document.
 END = np.int64(0x454E44)
@@ -293,8 +293,9 @@ def scored(documents: DataFrame, divisor: int = 7, held: int = 2) -> DataFrame:
     n_tail, v_tail = n - int(count.sum()), v - len(keys)
     words = classes(keys, count, n_tail)
     params = fresh(words.prior)
-    for _ in range(ROUNDS):
-        params = descend(learn.where(F.crc32(F.concat(F.lit("share"), F.coalesce(F.col("doc_id").cast("string"), F.lit("")))) % SHARE == 0), words, params)
+    deal = F.crc32(F.concat(F.lit("share"), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))))
+    for i in range(ROUNDS):
+        params = descend(learn.where(deal % (SHARE * ROUNDS) == i * SHARE), words, params)
     first = stored(parts(rows, words, params), "lm-parts")
     tails = first.select("row", F.explode("tail").alias("word")).join(counts, "word", "left").groupBy("row")
     tails = tails.agg(F.sum(F.log10(F.coalesce("c", F.lit(0)) + 1)).alias("tail_log"), F.sum(F.log10("c")).alias("seen_log"), F.count("c").alias("known"))

@@ -346,6 +346,13 @@ def test_language_model_counts_and_learns(spark, monkeypatch):
     assert nothing.count() == 0
 
 
+def test_every_training_document_gives_gradients_once(spark, monkeypatch):
+    seen = []
+    monkeypatch.setattr(recurrent_lm, "descend", lambda documents, words, params: seen.extend(r.doc_id for r in documents.collect()) or params)
+    recurrent_lm.scored(documents(spark, [f"a b {i}" for i in range(200)]))
+    assert sorted(seen) == [i for i in range(200) if zlib.crc32(str(i).encode()) % 7 != 2]
+
+
 def test_gradient_of_the_network():
     rng = np.random.default_rng(0)
     p = {k: v.astype(np.float64) for k, v in recurrent_lm.fresh(np.zeros(recurrent_lm.CLASSES)).items()}
