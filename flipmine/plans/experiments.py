@@ -87,7 +87,7 @@ def register(query: Callable) -> None:
     @query()
     def exp_summary_clicks(spark, sf_dir):
         """The same on tenfold click baskets with the sparse regime's candidates."""
-        return summary(spark, baskets.replicate(baskets.from_events(spark, sf_dir), 10), CANDIDATES_SPARSE[::3], "0.003", 2, sparse=True)
+        return summary(spark, baskets.replicate(baskets.from_events(spark, sf_dir), 10), CANDIDATES_SPARSE, "0.003", 2, sparse=True)
 
     @query()
     def exp_levels_type(spark, sf_dir):

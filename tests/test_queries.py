@@ -54,3 +54,11 @@ def test_entry_without_the_removable_parts(tmp_path):
     subprocess.run(["rm", "-rf", f"{tmp_path}/flipmine/llm"], check=True)
     code = "import __spark_entry__ as e; q = e.queries(); assert 'singleton_recon' in q and not any(n.startswith('op') for n in q); assert set(e.oracle_sql()) <= set(q)"
     subprocess.run([sys.executable, "-c", code], check=True, cwd=tmp_path, env=os.environ | {"PYTHONPATH": str(tmp_path)})
+
+
+def test_click_summary_has_every_sparse_setting(spark, monkeypatch):
+    from flipmine.config import CANDIDATES_SPARSE
+    from flipmine.plans import experiments
+
+    monkeypatch.setattr(experiments, "summary", lambda spark, b, settings, *_, **__: list(settings))
+    assert catalog.QUERIES["exp_summary_clicks"](spark, "/root/testdata/sf0.001") == list(CANDIDATES_SPARSE)
