@@ -10,12 +10,12 @@ from __future__ import annotations
 
 import heapq
 from bisect import bisect_left
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from math import ceil, log2
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -38,6 +38,11 @@ PAIRED = 32
 #: DivideSkip's weight of a probe against a step of the merge.
 MU = 0.0085
 
+#: So many postings of a task are combined before they are shuffled (20 bytes each).
+COMBINED = 1 << 21
+#: Classes without a doc_id are numbered from here on, by their fingerprint, so that named ones come first.
+NAMELESS = 1 << 62
+
 SKETCH = T.StructType([
     T.StructField("doc_id", T.LongType()), T.StructField("n_shingles", T.LongType()), T.StructField("h1", T.LongType()),
     T.StructField("h2", T.LongType()), T.StructField("prefix", T.ArrayType(T.LongType())),
@@ -100,56 +105,154 @@ def prefix(own: np.ndarray, chars: np.ndarray, percent: int, frequent: tuple[np.
     return own[np.lexsort((own, -chars, often))[:take]]
 
 
-def sketches(documents: DataFrame, size: int, percent: int, frequent: tuple[np.ndarray, np.ndarray], wider: float) -> DataFrame:
-    """Per row: size of the set, its 128-bit fingerprint and its prefix."""
-    shared = documents.sparkSession.sparkContext.broadcast(frequent)
+def fingerprint(own: np.ndarray) -> tuple[int, int]:
+    """128 bits that stand for a set; the first 64 are its class's number in the search for candidates.
+
+    Of n classes some two have equal numbers with a chance below n * n / 2**65.
+    """
+    bits = own.view(np.uint64)
+    with np.errstate(over="ignore"):
+        return int(mix64(bits).sum(dtype=np.uint64).astype(np.int64)), int(mix64(bits ^ np.uint64(0xA5A5A5A5A5A5A5A5)).sum(dtype=np.uint64).astype(np.int64))
+
+
+def texts_of(documents: DataFrame) -> DataFrame:
+    return documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+
+
+def sketches(documents: DataFrame, size: int, percent: int) -> DataFrame:
+    """Per row: size of the set, its fingerprint and its prefix by length alone, somewhat longer than needed."""
+    none = (np.zeros(0, np.int64), np.zeros(0, np.int64))
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            n, h1, h2, rare = [], [], [], []
-            with np.errstate(over="ignore"):
-                for own, chars in shingle_sets(batch.column(1), size):
-                    bits = own.view(np.uint64)
-                    n.append(len(own))
-                    h1.append(int(mix64(bits).sum(dtype=np.uint64).astype(np.int64)))
-                    h2.append(int(mix64(bits ^ np.uint64(0xA5A5A5A5A5A5A5A5)).sum(dtype=np.uint64).astype(np.int64)))
-                    rare.append(prefix(own, chars, percent, shared.value, wider))
+            n, prints, rare = [], [], []
+            for own, chars in shingle_sets(batch.column(1), size):
+                n.append(len(own))
+                prints.append(fingerprint(own))
+                rare.append(prefix(own, chars, percent, none, WIDER))
             ends = np.concatenate(([0], np.cumsum([len(x) for x in rare]))).astype(np.int32)
             flat = pa.array(np.concatenate(rare) if rare else np.zeros(0, np.int64), pa.int64())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(h1, pa.int64()), pa.array(h2, pa.int64()), pa.ListArray.from_arrays(pa.array(ends), flat)], SKETCH.names)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), *(pa.array([x[k] for x in prints], pa.int64()) for k in (0, 1)), pa.ListArray.from_arrays(pa.array(ends), flat)], SKETCH.names)
 
-    return documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(work, SKETCH)
+    return texts_of(documents).mapInArrow(work, SKETCH)
 
 
-def frequent_shingles(postings: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """Shingles that stand in many prefixes, sorted, with a weight that grows with their number; a bounded list."""
-    counts = stored(postings.groupBy("token").count().where(F.col("count") > FREQUENT), "shingle-counts")
+def frequent_shingles(rows: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Shingles that stand in the prefixes of several classes, sorted, with the number of rows as weight; a bounded list.
+
+    Any list gives an order that is right, so eight bits tell classes apart well enough here.
+    """
+    tokens = rows.select(F.explode("prefix").alias("token"), (F.col("h1") % 256).cast("short").alias("kind"))
+    counts = tokens.groupBy("token").agg(F.count(F.lit(1)).alias("count"), F.min("kind").alias("least"), F.max("kind").alias("most"))
+    counts = stored(counts.where((F.col("count") > FREQUENT) & (F.col("least") < F.col("most"))).select("token", "count"), "shingle-counts")
     least = FREQUENT
     while counts.where(F.col("count") > least).count() > MOST_FREQUENT:
         least *= 2
-    rows = counts.where(F.col("count") > least).collect()
-    token, count = np.array([r[0] for r in rows], np.int64), np.array([r[1] for r in rows], np.int64)
+    found = counts.where(F.col("count") > least).toArrow()
+    token, count = found["token"].to_numpy(), found["count"].to_numpy()
     order = np.argsort(token)
     return token[order], count[order]
 
 
-def meetings(postings: DataFrame, percent: int) -> DataFrame:
-    """Edges (a, b) that bring all classes which may be linked into one component; at most a row per posting and partner in PAIRED.
+def distinct_postings(token: np.ndarray, node: np.ndarray, need: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Postings sorted by token and node without repeats; where each token's list begins and how long it is."""
+    order = np.lexsort((need, node, token))
+    token, node, need = token[order], node[order], need[order]
+    new = np.concatenate(([True], (token[1:] != token[:-1]) | (node[1:] != node[:-1]))) if len(token) else np.zeros(0, bool)
+    token, node, need = token[new], node[new], need[new]
+    heads = np.flatnonzero(np.concatenate(([True], token[1:] != token[:-1]))) if len(token) else np.zeros(0, np.int64)
+    return token, node, need, heads, np.diff(np.append(heads, len(token)))
 
-    ``postings`` has doc_id, n_shingles and token. In short lists pairs are counted, and those that share too
-    few shingles are left out, so that chance meetings do not chain texts together; a long list becomes a
-    star around its smallest member.
+
+def pairs_once(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The distinct pairs (a, b) of different nodes."""
+    order = np.lexsort((b, a))
+    a, b = a[order], b[order]
+    new = (np.concatenate(([True], (a[1:] != a[:-1]) | (b[1:] != b[:-1]))) if len(a) else np.zeros(0, bool)) & (a != b)
+    return a[new], b[new]
+
+
+def postings(documents: DataFrame, size: int, percent: int, frequent: tuple[np.ndarray, np.ndarray]) -> DataFrame:
+    """(token, node, need): a shingle of a class's prefix, the class, and how many shingles it has to share.
+
+    A list that is long within a task already becomes a star there: each of its classes is tied to the
+    smallest (rows with need -1: token and node are the two ends), which alone goes on, with need 0. So a shingle of a third
+    of all classes costs a few rows per task, and so does a text that a third of all rows have.
+    """
+    shared, paired, most = documents.sparkSession.sparkContext.broadcast(frequent), PAIRED, COMBINED
+    schema = pa.schema([("token", pa.int64()), ("node", pa.int64()), ("need", pa.int32())])
+
+    def combined(held: list[tuple[np.ndarray, int, int]]) -> Iterator[pa.RecordBatch]:
+        lengths = [len(x[0]) for x in held]
+        token, node, need, heads, sizes = distinct_postings(np.concatenate([x[0] for x in held]), np.repeat([x[1] for x in held], lengths), np.repeat(np.array([x[2] for x in held], np.int32), lengths))
+        long = np.repeat(sizes > paired, sizes)
+        far, least = pairs_once(node[long], np.repeat(node[heads], sizes)[long])
+        first = heads[sizes > paired]
+        out = [np.concatenate(x) for x in ((token[~long], token[first], far), (node[~long], node[first], least), (need[~long], np.zeros(len(first), np.int32), np.full(len(far), -1, np.int32)))]
+        yield from pa.Table.from_arrays([pa.array(x) for x in out], schema=schema).to_batches(max_chunksize=100_000)
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, total = [], 0
+        for batch in batches:
+            for own, chars in shingle_sets(batch.column(0), size):
+                if len(own):
+                    rare = prefix(own, chars, percent, shared.value)
+                    held.append((rare, fingerprint(own)[0], least_shared(len(own), percent)))
+                    total += len(rare)
+                    if total >= most:
+                        yield from combined(held)
+                        held, total = [], 0
+        if held:
+            yield from combined(held)
+
+    return documents.select(F.col("text").cast("string").alias("text")).mapInArrow(work, "token long, node long, need int")
+
+
+def meetings(found: DataFrame) -> DataFrame:
+    """Edges (a, b) that bring all classes which may be linked into one component.
+
+    In short lists pairs are counted, and those that share too few shingles are left out, so that chance
+    meetings do not chain texts together; a long list becomes a star around its smallest member. Postings are shuffled
+    once; lists stream by in order, so that none has to be held as a whole.
     """
-    lists = postings.groupBy("token").agg(F.min("doc_id").alias("least"), F.max("doc_id").alias("top"), F.count(F.lit(1)).alias("size"))
-    lists = stored(lists.where("least < top").select("token", "least", "size"), "lists")
-    need = F.least(F.lit(SHARED), F.ceil(F.col("n_shingles") * percent / 100)).cast("int")
-    met = stored(postings.join(lists, "token").select("token", "doc_id", need.alias("need"), "least", "size").distinct(), "met")
-    stars = met.where(F.col("size") > PAIRED).select(F.col("doc_id").alias("a"), F.col("least").alias("b"))
-    short = met.where(F.col("size") <= PAIRED)
-    one = short.select("token", F.col("doc_id").alias("a"), F.col("need").alias("need_a"))
-    two = short.select("token", F.col("doc_id").alias("b"), F.col("need").alias("need_b"))
-    pairs = one.join(two, "token").where("b < a").groupBy("a", "b").agg(F.count(F.lit(1)).alias("n"), F.min(F.least("need_a", "need_b")).alias("need"))
-    return stars.unionByName(pairs.where("n >= need").select("a", "b"))
+
+    paired = PAIRED
+
+    def edges(token: np.ndarray, node: np.ndarray, need: np.ndarray) -> tuple[np.ndarray, ...]:
+        token, node, need, heads, sizes = distinct_postings(token, node, need)
+        star = (sizes > paired) | (np.minimum.reduceat(need, heads) == 0) if len(heads) else np.zeros(0, bool)
+        star = np.repeat(star, sizes)
+        far, least = pairs_once(node[star], np.repeat(node[heads], sizes)[star])
+        token, node, need = token[~star], node[~star], need[~star]
+        a, b, asked = [far], [least], [np.zeros(len(far), np.int32)]
+        for k in range(1, paired):
+            both = np.flatnonzero(token[k:] == token[:-k])
+            if not len(both):
+                break
+            a.append(node[both + k])
+            b.append(node[both])
+            asked.append(np.minimum(need[both], need[both + k]))
+        return np.concatenate(a), np.concatenate(b), np.concatenate(asked)
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rest = [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int32)]
+        for batch in batches:
+            columns = [batch.column(k).to_numpy() for k in range(3)]
+            tie = columns[2] < 0
+            yield pa.RecordBatch.from_arrays([pa.array(columns[0][tie]), pa.array(columns[1][tie]), pa.array(np.zeros(int(tie.sum()), np.int32))], ["a", "b", "need"])
+            held = [np.concatenate((x, y[~tie])) for x, y in zip(rest, columns, strict=True)]
+            cut = int(np.searchsorted(held[0], held[0][-1])) if len(held[0]) else 0
+            a, b, need = edges(*(x[:cut] for x in held))
+            rest = [x[cut:] for x in held]
+            if len(rest[0]) > 4 * paired:  # a long list: its smallest member stands for it from here on
+                far, least = pairs_once(rest[1], np.full(len(rest[1]), rest[1][0]))
+                a, b, need = np.append(a, far), np.append(b, least), np.append(need, np.zeros(len(far), np.int32))
+                rest = [rest[0][:1], rest[1][:1], np.zeros(1, np.int32)]
+            yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), pa.array(need)], ["a", "b", "need"])
+        yield pa.RecordBatch.from_arrays([pa.array(x) for x in edges(*rest)], ["a", "b", "need"])
+
+    met = found.repartition("token").sortWithinPartitions("token", "node").mapInArrow(work, "a long, b long, need int")
+    return met.groupBy("a", "b").agg(F.count(F.lit(1)).alias("n"), F.min("need").alias("need")).where("need = 0 OR n >= need").select("a", "b")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -265,31 +368,43 @@ def linked(sets: list[np.ndarray], first: int, percent: int) -> list[tuple[int,
     return found
 
 
-def links(documents: DataFrame, groups: DataFrame, size: int, percent: int) -> DataFrame:
+def links(documents: DataFrame, members: DataFrame, size: int, percent: int) -> DataFrame:
     """Links (a, b) between classes, enough of them to connect whatever is connected.
 
-    ``groups`` (node, component) says which classes may be linked at all.
+    ``members`` (rid, h1, component) has the classes that may be linked: those with equal component. A class's set
+    comes from the document whose doc_id is its rid, or, for classes without a name, from any with its fingerprint.
     """
-    counts = groups.groupBy("component").agg(F.count(F.lit(1)).alias("n"))
+    counts = members.groupBy("component").agg(F.count(F.lit(1)).alias("n"))
     chunk = F.least(F.greatest(F.ceil(F.col("n") / CHUNKS), F.lit(SMALL)), F.lit(LARGE))
     counts = stored(counts.select("component", F.ceil(F.col("n") / chunk).cast("int").alias("chunks")), "group-chunks")
-    members = stored(groups.join(counts, "component").select(F.col("node").alias("doc_id"), "component", "chunks"), "group-members")
+    members = stored(members.join(counts, "component").select("rid", "named", "h1", "component", "chunks"), "group-members")
+    named, nameless = members.where("named").select(F.col("rid").alias("doc_id"), "h1", "component", "chunks"), members.where("NOT named")
     if members.count() <= MOST_MEMBERS:
-        members = F.broadcast(members)
-    texts = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(members, "doc_id")
+        named = F.broadcast(named)
+    texts = texts_of(documents).join(named, "doc_id")
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            own = [s.tobytes() for s, _ in shingle_sets(batch.column("text"), size)]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("component"), batch.column("chunks"), pa.array(own, pa.binary())], ["doc_id", "component", "chunks", "own"])
-
-    rows = texts.mapInArrow(sets, "doc_id long, component long, chunks int, own binary")
-    rows = rows.withColumn("chunk", F.pmod(F.xxhash64("doc_id"), F.col("chunks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
-    rows = rows.select("doc_id", "own", "component", "chunk", F.least("chunk", "other").alias("i"), F.greatest("chunk", "other").alias("j"))
-    rows = rows.repartition("component", "i", "j").sortWithinPartitions("component", "i", "j", "chunk", "doc_id")
+            own = [s for s, _ in shingle_sets(batch.column("text"), size)]
+            mine = pa.array([fingerprint(s)[0] == h for s, h in zip(own, batch.column("h1").to_pylist(), strict=True)], pa.bool_())
+            columns = [batch.column(name) for name in ("doc_id", "h1", "component", "chunks")]
+            yield pa.RecordBatch.from_arrays([*columns, pa.array([s.tobytes() for s in own], pa.binary())], ["rid", "h1", "component", "chunks", "own"]).filter(mine)
 
-    def search(cell: tuple, ids: list[int], chunks: list[int], own: list[bytes]) -> list[tuple[int, int]]:
-        seen = {d: k for k, d in reversed(list(enumerate(ids)))}  # rows that repeat a document are one
+    def own_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            own = [s for s, _ in shingle_sets(batch.column(0), size)]
+            yield pa.RecordBatch.from_arrays([pa.array([fingerprint(s)[0] for s in own], pa.int64()), pa.array([s.tobytes() for s in own], pa.binary())], ["h1", "own"])
+
+    rows = texts.mapInArrow(sets, "rid long, h1 long, component long, chunks int, own binary")
+    if not nameless.isEmpty():
+        other = documents.where("doc_id IS NULL").select(F.col("text").cast("string").alias("text")).mapInArrow(own_sets, "h1 long, own binary")
+        rows = rows.unionByName(other.join(nameless.select("h1", "rid", "component", "chunks"), "h1").dropDuplicates(["h1"]))
+    rows = rows.withColumn("chunk", F.pmod(F.xxhash64("h1"), F.col("chunks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    rows = rows.select("rid", "h1", "own", "component", "chunk", F.least("chunk", "other").alias("i"), F.greatest("chunk", "other").alias("j"))
+    rows = rows.repartition("component", "i", "j").sortWithinPartitions("component", "i", "j", "chunk", "h1")
+
+    def search(cell: tuple, ids: list[int], prints: list[int], chunks: list[int], own: list[bytes]) -> list[tuple[int, int]]:
+        seen = {h: k for k, h in reversed(list(enumerate(prints)))}  # rows that repeat a class are one
         keep = sorted(seen.values())
         first = sum(chunks[k] == cell[1] for k in keep) if cell[1] != cell[2] else 0
         if cell[1] != cell[2] and first in (0, len(keep)):
@@ -297,16 +412,16 @@ def links(documents: DataFrame, groups: DataFrame, size: int, percent: int) -> D
         return [(ids[keep[a]], ids[keep[b]]) for a, b in linked([np.frombuffer(own[k], np.int64) for k in keep], first, percent)]
 
     def cells(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cell, held = None, ([], [], [])
+        cell, held = None, ([], [], [], [])
         out: list[tuple[int, int]] = []
         for batch in batches:
             columns = batch.to_pydict()
-            for doc, own, chunk, *key in zip(columns["doc_id"], columns["own"], columns["chunk"], columns["component"], columns["i"], columns["j"], strict=True):
+            for rid, h1, own, chunk, *key in zip(*(columns[name] for name in ("rid", "h1", "own", "chunk", "component", "i", "j")), strict=True):
                 if tuple(key) != cell:
                     if cell and len(held[0]) > 1:
                         out += search(cell, *held)
-                    cell, held = tuple(key), ([], [], [])
-                for column, value in zip(held, (doc, chunk, own), strict=True):
+                    cell, held = tuple(key), ([], [], [], [])
+                for column, value in zip(held, (rid, h1, chunk, own), strict=True):
                     column.append(value)
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in out], pa.int64()), pa.array([x[1] for x in out], pa.int64())], ["a", "b"])
@@ -317,6 +432,29 @@ def links(documents: DataFrame, groups: DataFrame, size: int, percent: int) -> D
     return rows.mapInArrow(cells, "a long, b long")
 
 
+def grouped(documents: DataFrame, size: int = 5, percent: int = 80) -> DataFrame:
+    """Per row doc_id, n_shingles, h1, h2 (its set's fingerprint), first and named.
+
+    ``first`` is the number of the smallest class of the row's component: the smallest doc_id, ``named`` then, or a
+    number that only says which rows without doc_id belong together. Texts without shingles have their own
+    doc_id there.
+    """
+    rows = stored(sketches(documents, size, percent), "sketches")
+    classes = rows.where("n_shingles > 0").groupBy("h1", "h2").agg(F.min("doc_id").alias("least"))
+    number = F.coalesce("least", F.lit(NAMELESS) + F.col("h1").bitwiseAND(F.lit(NAMELESS - 1)))
+    classes = stored(classes.select("h1", "h2", number.alias("rid"), F.col("least").isNotNull().alias("named")), "classes")
+    groups = stored(components(meetings(postings(documents, size, percent, frequent_shingles(rows)))), "groups")
+    members = classes.join(groups.withColumnRenamed("node", "h1"), "h1")
+    found = components(links(documents, members.select("rid", "named", "h1", "component"), size, percent))
+    first = F.coalesce("component", "rid")
+    named = classes.join(found.withColumnRenamed("node", "rid"), "rid", "left").select("h1", "h2", first.alias("first"), ((first < NAMELESS) | F.col("named")).alias("named"))
+    named = stored(named, "named")
+    own = F.col("n_shingles") > 0
+    return rows.drop("prefix").join(named, ["h1", "h2"], "left").select(
+        "doc_id", "n_shingles", "h1", "h2", F.when(own, F.col("first")).otherwise(F.col("doc_id")).alias("first"), F.when(own, F.col("named")).otherwise(F.col("doc_id").isNotNull()).alias("named")
+    )
+
+
 def joined(documents: DataFrame, size: int = 5, percent: int = 80) -> DataFrame:
     """Per row of ``documents`` (doc_id, text): doc_id, n_shingles and component_id.
 
@@ -324,23 +462,41 @@ def joined(documents: DataFrame, size: int = 5, percent: int = 80) -> DataFrame:
     the component is the smallest doc_id that links reach. A null or empty text, or one of white space,
     has no shingles and is its own component. Rows with equal doc_id count as one document; a null
     doc_id links through its text but is never the component's name, unless there is no other, and then
-    it is null. Other columns are ignored.
+    it is null (doc_ids are below 2**62 where null ones occur). Other columns are ignored.
     """
-    none = (np.zeros(0, np.int64), np.zeros(0, np.int64))
-    rows = stored(sketches(documents, size, percent, none, WIDER), "sketches")
-    classes = rows.where("n_shingles > 0 AND doc_id IS NOT NULL").groupBy("h1", "h2").agg(F.min("doc_id").alias("rid"))
-    classes = stored(classes, "classes")
-    leaders = classes.select(F.col("rid").alias("doc_id"), "h1", "h2")
-    often = frequent_shingles(rows.join(leaders, ["doc_id", "h1", "h2"], "left_semi").select(F.explode("prefix").alias("token")))
-    if len(often[0]):
-        rare = sketches(documents, size, percent, often, 1.0)
-    else:
-        rare = rows
-    postings = rare.join(leaders, ["doc_id", "h1", "h2"], "left_semi").select("doc_id", "n_shingles", F.explode("prefix").alias("token"))
-    groups = stored(components(meetings(stored(postings, "postings"), percent)), "groups")
-    found = stored(components(links(documents, groups, size, percent)), "found")
-    named = classes.join(found.select(F.col("node").alias("rid"), "component"), "rid", "left").select("h1", "h2", F.coalesce("component", "rid").alias("component_id"))
-    named = stored(named, "named")
-    return rows.drop("prefix").join(named, ["h1", "h2"], "left").select(
-        "doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id")
-    )
+    return grouped(documents, size, percent).select("doc_id", "n_shingles", F.when(F.col("named"), F.col("first")).alias("component_id"))
+
+
+def one_of_each(documents: DataFrame, columns: list[str], size: int = 5, percent: int = 80) -> DataFrame:
+    """One row of each component of ``documents``, with its ``columns`` (doc_id and text among them): that of the smallest doc_id.
+
+    Of rows that repeat a doc_id the smallest stays, of a component without doc_ids the smallest row of its
+    first class, and every row without shingles and doc_id. Only ids and fingerprints are shuffled, but for
+    rows that repeat an id or have none: ids that go are broadcast up to ``MOST_MEMBERS``, beyond it they are joined.
+    """
+    rows = stored(grouped(documents, size, percent).drop("n_shingles", "h2"), "grouped")
+    ids = rows.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.max(F.col("doc_id") == F.col("first")).alias("stays"), F.count(F.lit(1)).alias("n"))
+    ids = stored(ids.where("n > 1 OR NOT stays"), "grouped-ids")
+    gone, again = ids.where("NOT stays").select("doc_id"), ids.where("stays").select("doc_id")
+    if gone.count() <= MOST_MEMBERS:
+        gone = F.broadcast(gone)
+    least = lambda df, *keys: df.groupBy(*keys).agg(F.min(F.struct(*columns)).alias("row")).select("row.*").select(*columns)
+    out = documents.where("doc_id IS NOT NULL").select(*columns).join(gone, "doc_id", "left_anti").select(*columns)
+    if not again.isEmpty():
+        out = out.join(again, "doc_id", "left_anti").select(*columns).unionByName(least(out.join(again, "doc_id", "left_semi"), "doc_id"))
+    nameless = rows.where("doc_id IS NULL AND NOT named")
+    if not rows.where("doc_id IS NULL").isEmpty():
+        own = documents.where("doc_id IS NULL").select(*columns).withColumn("print", _prints(size)(F.col("text").cast("string")))
+        firsts = nameless.where((F.lit(NAMELESS) + F.col("h1").bitwiseAND(F.lit(NAMELESS - 1))) == F.col("first")).select(F.col("h1").alias("print")).distinct()
+        out = out.unionByName(own.where("print IS NULL").select(*columns)).unionByName(least(own.join(firsts, "print", "left_semi"), "print"))
+    return out
+
+
+def _prints(size: int) -> Callable[[Column], Column]:
+    """A function of texts: the first half of the fingerprint, null where there are no shingles."""
+
+    def work(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for texts in batches:
+            yield pa.array([fingerprint(own)[0] if len(own) else None for own, _ in shingle_sets(texts, size)], pa.int64())
+
+    return F.arrow_udf(work, T.LongType())
