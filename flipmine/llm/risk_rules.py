@@ -36,12 +36,12 @@ def measured(documents: DataFrame, keep: tuple[str, ...]) -> DataFrame:
     Windows of three words are compared by 64-bit hashes. Only texts in which some window occurs again
     take the longer way of sorting their windows.
     """
-    rows = documents.select(*keep, F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
+    rows = documents.select(*keep, F.coalesce(F.col("text").cast("string"), F.lit("")).alias("whole"))
     rows = rows.select(
         *keep,
-        F.filter(F.split("text", SPACES + "+"), lambda w: w != "").alias("words"),
-        F.filter(F.split("text", "\n"), lambda line: line.rlike("[^\\x20\\x09-\\x0D]")).alias("lines"),
-        _matches("text", "[#*$%&|<>]").alias("n_symbols"), _matches("text", "!").alias("n_bangs"), _matches("text", "[A-Z]").alias("n_capitals"),
+        F.filter(F.split("whole", SPACES + "+"), lambda w: w != "").alias("words"),
+        F.filter(F.split("whole", "\n"), lambda line: line.rlike("[^\\x20\\x09-\\x0D]")).alias("lines"),
+        _matches("whole", "[#*$%&|<>]").alias("n_symbols"), _matches("whole", "!").alias("n_bangs"), _matches("whole", "[A-Z]").alias("n_capitals"),
     )
     rows = rows.select(
         *keep, "words", "n_symbols", "n_bangs", "n_capitals",
@@ -148,7 +148,7 @@ def judged(documents: DataFrame, labels: DataFrame, keep: tuple[str, ...] = ("do
     rows = measured(documents.withColumn("stratum", F.coalesce(F.col("lang").cast("string"), F.lit(""))), (*own, "stratum"))
     rows = stored(rows.withColumns({"base_failed": base_failed()} | {f"step_{name}": step(share).cast("int") for name, share in shares().items()}), "quality-measures")
     known = labels.where(F.col("quality").isin(0, 1)).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.min("quality").cast("long").alias("quality"))
-    cuts = stored(cutoffs(rows.join(known, "doc_id")), "quality-cutoffs")
+    cuts = stored(cutoffs(rows.drop(*(c for c in own if c != "doc_id")).join(known, "doc_id")), "quality-cutoffs")
     wide = cuts.groupBy("stratum").agg(*(F.max(F.when(F.col("rule") == name, F.col("cut"))).alias(f"cut_{name}") for name in SHARES))
     if wide.count() <= MOST_BROADCAST:
         wide = F.broadcast(wide)
