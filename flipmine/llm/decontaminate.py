@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
+import uuid
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass
 
 import ahocorasick
 import numpy as np
@@ -13,8 +15,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 WINDOW = 10
-#: The automaton goes to every executor; a benchmark beyond this many characters is refused, not cut.
-MOST_BENCHMARK_CHARS = 50_000_000
+#: The automaton has a node per word of a window (some 50 bytes each) in every worker; a benchmark that could have more is refused, not cut.
+MOST_NODES = 8_000_000
 
 #: ASCII characters other than digits and letters separate words; A-Z become a-z.
 _TABLE = {c: " " for c in range(128) if not chr(c).isalnum()} | {c: chr(c + 32) for c in range(65, 91)}
@@ -30,24 +32,33 @@ def normalised(text: str | None) -> list[str]:
     return [w for w in (text or "").translate(_TABLE).split(" ") if w]
 
 
-def windows(words: list[str], size: int) -> Iterator[str]:
-    """Each run of ``size`` words, or all of a shorter item; spaces at both ends keep matches on word borders."""
-    for i in range(max(1, len(words) - size + 1) if words else 0):
-        yield f" {' '.join(words[i : i + size])} "
+@dataclass
+class Index:
+    """The automaton over numbered words; value of a window: (number of words, ids of the items that have it)."""
 
+    words: dict[str, int]
+    built: ahocorasick.Automaton
 
-def automaton(items: list[tuple[int | None, str | None]], size: int = WINDOW) -> ahocorasick.Automaton:
-    """Pattern values are (number of words, ids of the items that have the window)."""
-    owners: dict[str, set] = {}
+    def numbers(self, words: list[str]) -> tuple[int, ...]:
+        """Words of no test item are all number 0."""
+        known = self.words.get
+        return tuple([known(w, 0) for w in words])
+
+
+def automaton(items: list[tuple[int | None, str | None]], size: int = WINDOW) -> Index:
+    """Each run of ``size`` words of an item, or all of a shorter item, is a window; equal ones are one."""
+    words: dict[str, int] = {}
+    owners: dict[tuple[int, ...], set] = {}
     for item, text in items:
-        for window in windows(normalised(text), size):
-            owners.setdefault(window, set()).add(item)
-    built = ahocorasick.Automaton()
+        own = tuple(words.setdefault(w, len(words) + 1) for w in normalised(text))
+        for i in range(max(1, len(own) - size + 1) if own else 0):
+            owners.setdefault(own[i : i + size], set()).add(item)
+    built = ahocorasick.Automaton(ahocorasick.STORE_ANY, ahocorasick.KEY_SEQUENCE)
     for window, ids in owners.items():
-        built.add_word(window, (window.count(" ") - 1, frozenset(ids)))
+        built.add_word(window, (len(window), frozenset(ids)))
     if owners:
         built.make_automaton()
-    return built
+    return Index(words, built)
 
 
 def original_spans(text: str, hit: np.ndarray) -> list[dict]:
@@ -59,15 +70,14 @@ def original_spans(text: str, hit: np.ndarray) -> list[dict]:
     return [{"begin": int(starts[a]), "end": int(ends[b - 1])} for a, b in zip(np.flatnonzero(edges == 1), np.flatnonzero(edges == -1), strict=True)]
 
 
-def scan(text: str | None, built: ahocorasick.Automaton) -> tuple[int, int, set, list[dict]]:
+def scan(text: str | None, index: Index) -> tuple[int, int, set, list[dict]]:
     words = normalised(text)
-    if not words or not len(built):
+    if not words or not len(index.built):
         return len(words), 0, set(), []
-    found = list(built.iter(f" {' '.join(words)} "))
+    found = list(index.built.iter(index.numbers(words)))
     if not found:
         return len(words), 0, set(), []
-    ends = np.cumsum([len(w) + 1 for w in words])
-    last = np.searchsorted(ends, [end for end, _ in found])
+    last = np.array([end for end, _ in found])
     marks = np.zeros(len(words) + 1, np.int64)
     np.add.at(marks, last + 1, -1)
     np.add.at(marks, last + 1 - np.array([n for _, (n, _) in found]), 1)
@@ -75,23 +85,42 @@ def scan(text: str | None, built: ahocorasick.Automaton) -> tuple[int, int, set,
     return len(words), int(hit.sum()), set().union(*(ids for _, (_, ids) in found)), original_spans(text, hit)
 
 
+_KEPT: dict[str, Index] = {}
+
+
+def shared_index(documents: DataFrame, benchmark: DataFrame, size: int) -> Callable[[], Index]:
+    """A function that gives the automaton in a worker, which builds it once for all of its tasks.
+
+    Its nodes are bounded before any text comes to the driver.
+    """
+    n = F.regexp_count(F.coalesce(F.col("text").cast("string"), F.lit("")), F.lit("[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+")).cast("long")
+    nodes = benchmark.agg(F.sum(F.greatest(n - size + 1, F.lit(1)) * F.least(n, F.lit(size)))).first()[0] or 0
+    if nodes > MOST_NODES:
+        raise ValueError(f"the benchmark's windows have {nodes} words; at most {MOST_NODES} nodes are held")
+    items, name = documents.sparkSession.sparkContext.broadcast([(r.item_id, r.text) for r in benchmark.select("item_id", F.col("text").cast("string").alias("text")).collect()]), uuid.uuid4().hex
+
+    def index() -> Index:
+        if name not in _KEPT:
+            _KEPT.clear()
+            _KEPT[name] = automaton(items.value, size)
+        return _KEPT[name]
+
+    return index
+
+
 def decontaminate(documents: DataFrame, benchmark: DataFrame, size: int = WINDOW) -> DataFrame:
     """Per document: its words, how many lie inside a window of a test item, the items, and original spans.
 
     ``documents`` has doc_id and text, ``benchmark`` item_id and text; other columns are ignored. A null
     or empty text has no words and no hits; repeated rows give repeated results; equal items share
     their windows and each counts; an empty benchmark hits nothing. The benchmark is the only thing
-    broadcast, after its size is checked against ``MOST_BENCHMARK_CHARS``. Item ids that are null mark
+    broadcast, after its size is checked against ``MOST_NODES``. Item ids that are null mark
     hits but are no items.
     """
-    spark = documents.sparkSession
-    chars = benchmark.agg(F.sum(F.length("text"))).first()[0] or 0
-    if chars > MOST_BENCHMARK_CHARS:
-        raise ValueError(f"the benchmark has {chars} characters; at most {MOST_BENCHMARK_CHARS} are broadcast")
-    items = spark.sparkContext.broadcast([(r.item_id, r.text) for r in benchmark.select("item_id", "text").collect()])
+    index = shared_index(documents, benchmark, size)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        built = automaton(items.value, size)
+        built = index()
         for batch in batches:
             rows = []
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
@@ -100,7 +129,23 @@ def decontaminate(documents: DataFrame, benchmark: DataFrame, size: int = WINDOW
                 rows.append((doc, n, n_hit, len(named), hashlib.sha256(",".join(named).encode()).hexdigest(), n_hit > 0, spans))
             yield pa.RecordBatch.from_pylist([dict(zip(SCHEMA.names, r, strict=True)) for r in rows], schema=ARROW)
 
-    return documents.select(F.col("doc_id").cast("long"), "text").mapInArrow(work, SCHEMA)
+    return documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string").alias("text")).mapInArrow(work, SCHEMA)
+
+
+def clean(documents: DataFrame, benchmark: DataFrame, size: int = WINDOW) -> DataFrame:
+    """The rows of ``documents``, with all their columns, in whose own text no window of a test item occurs.
+
+    Each row is judged by itself, whatever its doc_id; a null or empty text is clean. Only texts go to
+    the workers; nothing is shuffled.
+    """
+    index = shared_index(documents, benchmark, size)
+
+    def work(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        built = index()
+        for texts in batches:
+            yield pa.array([next(built.built.iter(built.numbers(normalised(t.as_py()))), None) is not None if len(built.built) else False for t in texts], pa.bool_())
+
+    return documents.where(~F.arrow_udf(work, T.BooleanType())(F.col("text").cast("string")))
 
 
 ARROW = pa.schema([
