@@ -11,7 +11,6 @@ from collections.abc import Callable
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from flipmine.llm import bpe_replay, decontaminate, jaccard_join, risk_rules, toxicity
 from flipmine.llm.common import stored
@@ -27,42 +26,29 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rows that pass the base rules and the risk-controlled cutoffs; rows that share a doc_id go together."""
-    judged = risk_rules.judged(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    return _with_ids(docs, judged.groupBy("doc_id").agg(F.min("kept").alias("kept")).where("kept").select("doc_id"))
+    """Rows whose own text passes the base rules and the risk-controlled cutoffs."""
+    return risk_rules.judged(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"), tuple(COLUMNS)).where("kept").select(COLUMNS)
 
 
 def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each component of near copies (five words, similarity 0.8): its smallest doc_id.
 
-    Of rows that repeat a doc_id one stays; rows without a doc_id go if their text has a named copy, and
-    else one of each group of them stays.
+    Of rows that repeat a doc_id the smallest stays; rows without a doc_id go if they are linked to a named
+    document, and else one of each group of them stays. Rows without any word stay, one for each doc_id.
     """
-    groups = jaccard_join.joined(docs, size=5, percent=80)
-    first = groups.where("doc_id = component_id").select("doc_id").distinct()
-    named = docs.where("doc_id IS NOT NULL").dropDuplicates(["doc_id"])
-    nameless = docs.where("doc_id IS NULL").join(docs.where("doc_id IS NOT NULL").select("text").distinct(), "text", "left_anti").dropDuplicates(["text"])
-    return _with_ids(named, first).unionByName(nameless.select(COLUMNS))
+    return jaccard_join.one_of_each(docs, COLUMNS, size=5, percent=80)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents in which no benchmark window occurs."""
-    found = decontaminate.decontaminate(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
-    bad = stored(found.where("contaminated").select("doc_id").distinct(), "contaminated")
-    return docs.select(COLUMNS).join(bad, "doc_id", "left_anti")
+    """Rows in whose own text no benchmark window occurs; a null or empty text has none."""
+    return decontaminate.clean(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet")).select(COLUMNS)
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """doc_id, number of tokens, and digests of ids and decoded bytes."""
+    """doc_id, number of tokens, and digests of ids and decoded bytes of every row; a null text is an empty one."""
     return bpe_replay.digests(docs, RANKS, public_tokenizers.PATTERN)
 
 
-def _with_ids(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """The rows of ``docs`` whose doc_id is among ``ids``; null-safe."""
-    ids = stored(ids.select(F.col("doc_id").alias("id")), "kept-ids")
-    return docs.select(COLUMNS).join(ids, F.col("doc_id").eqNullSafe(F.col("id")), "left_semi")
-
-
 STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
     ("toxicity", drop_toxic),
     ("quality rules", keep_quality),
