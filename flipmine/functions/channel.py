@@ -42,9 +42,9 @@ def support_row(n: int, p: float, q: float) -> list[float]:
     return [(q / d) ** w * (-(1 - q) / d) ** (n - w) for w in range(n + 1)]
 
 
-def condition(n: int, p: float, q: float) -> float:
-    """How much the inversion magnifies relative errors; it grows steeply with n and as p falls."""
-    return float(np.linalg.cond(weight_matrix(n, p, q)))
+def condition(n: int, p: float, q: float, norm: int = 2) -> float:
+    """How much the inversion magnifies relative errors, in a norm; it grows steeply with n and as p falls."""
+    return float(np.linalg.cond(weight_matrix(n, p, q), norm))
 
 
 def solve_patterns(counts: np.ndarray, p: float, q: float) -> np.ndarray:

@@ -15,6 +15,10 @@ from .distort import _dense
 Itemset = tuple[int, ...]
 #: Tuples of a chunk in the vertical bitmap form of Spark's own functions.
 CHUNK = 32_768
+#: Bytes of a dense block of tuples and items in a task.
+BLOCK_BYTES = 64_000_000
+#: Rows of candidates and their items that are broadcast without asking; Spark chooses beyond.
+MOST_BROADCAST = 500_000
 
 
 def frame(spark: SparkSession, itemsets: Sequence[Itemset]) -> DataFrame:
@@ -24,6 +28,13 @@ def frame(spark: SparkSession, itemsets: Sequence[Itemset]) -> DataFrame:
     return spark.createDataFrame([(i, list(x), len(x)) for i, x in enumerate(itemsets)], "cand int, itemset array<int>, k int")
 
 
+def exploded(spark: SparkSession, itemsets: Sequence[Itemset], *columns: str, places: bool = False) -> DataFrame:
+    """(cand, item, and ``columns``): the items of candidates, with their ``at`` if asked for; broadcast if there are few."""
+    items = F.posexplode("itemset").alias("at", "item") if places else F.explode("itemset").alias("item")
+    each = frame(spark, itemsets).select("cand", *columns, items)
+    return F.broadcast(each) if sum(map(len, itemsets)) <= MOST_BROADCAST else each
+
+
 def singletons(long: DataFrame) -> DataFrame:
     """(item, n); partial counts before the shuffle."""
     return long.groupBy("item").agg(F.count(F.lit(1)).alias("n"))
@@ -37,15 +48,13 @@ def column_bits(long: DataFrame) -> DataFrame:
 
 def count_relational(long: DataFrame, itemsets: Sequence[Itemset]) -> DataFrame:
     """(cand, n) by joining items of tuples with items of candidates; the plain way, and the oracle's."""
-    each = frame(long.sparkSession, itemsets).select("cand", "k", F.explode("itemset").alias("item"))
-    met = long.join(F.broadcast(each), "item").groupBy("tid", "cand", "k").agg(F.count(F.lit(1)).alias("w")).where("w = k")
+    met = long.join(exploded(long.sparkSession, itemsets, "k"), "item").groupBy("tid", "cand", "k").agg(F.count(F.lit(1)).alias("w")).where("w = k")
     return met.groupBy("cand").agg(F.count(F.lit(1)).alias("n"))
 
 
 def count_bitmaps(columns: DataFrame, itemsets: Sequence[Itemset]) -> DataFrame:
     """(cand, n) from vertical bitmaps, all in Spark's own functions; for small candidate sets."""
-    each = frame(columns.sparkSession, itemsets).select("cand", "k", F.explode("itemset").alias("item"))
-    both = columns.join(F.broadcast(each), "item").groupBy("chunk", "cand", "k").agg(F.bitmap_and_agg("bits").alias("bits"), F.count(F.lit(1)).alias("w"))
+    both = columns.join(exploded(columns.sparkSession, itemsets, "k"), "item").groupBy("chunk", "cand", "k").agg(F.bitmap_and_agg("bits").alias("bits"), F.count(F.lit(1)).alias("w"))
     return both.where("w = k").groupBy("cand").agg(F.sum(F.bitmap_count("bits")).alias("n"))
 
 
@@ -53,10 +62,10 @@ def _partials(arrays: DataFrame, shared, n_items: int, of) -> DataFrame:  # noqa
     """Counts that ``of`` (dense block, candidates) gives, added up within a task before they are shuffled."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = None
+        total, step = None, max(1, BLOCK_BYTES // max(n_items, 1))
         for batch in batches:
-            if batch.num_rows:
-                n = of(_dense(batch.column(0), n_items), shared.value)
+            for at in range(0, batch.num_rows, step):
+                n = of(_dense(batch.column(0).slice(at, step), n_items), shared.value)
                 total = n if total is None else total + n
         if total is not None:
             flat = total.ravel()
@@ -94,6 +103,42 @@ def count_chunks(arrays: DataFrame, itemsets: Sequence[Itemset], n_items: int) -
     return _partials(arrays, shared, n_items, of).select(F.col("at").cast("int").alias("cand"), "n")
 
 
+def trie(itemsets: Sequence[Itemset]) -> dict:
+    """Nested dictionaries by item; the number of a candidate under None at its end."""
+    root: dict = {}
+    for i, x in enumerate(itemsets):
+        node = root
+        for item in x:
+            node = node.setdefault(item, {})
+        node[None] = i
+    return root
+
+
+def count_trie(arrays: DataFrame, itemsets: Sequence[Itemset]) -> DataFrame:
+    """(cand, n) tuple by tuple: its sorted items walk a trie of the candidates, which is broadcast within the budget."""
+    frame(arrays.sparkSession, itemsets[:0])
+    if len(itemsets) > CANDIDATE_BUDGET:
+        raise CandidateBudgetExceeded(f"{len(itemsets)} candidates; at most {CANDIDATE_BUDGET}")
+    shared = arrays.sparkSession.sparkContext.broadcast(list(itemsets))
+
+    def walk(node: dict, items: list[int], at: int, out: dict[int, int]) -> None:
+        for i in range(at, len(items)):
+            if (below := node.get(items[i])) is not None:
+                if None in below:
+                    out[below[None]] = out.get(below[None], 0) + 1
+                walk(below, items, i + 1, out)
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        root, out = trie(shared.value), {}
+        for batch in batches:
+            for items in batch.column(0).to_pylist():
+                walk(root, items, 0, out)
+        if out:
+            yield pa.RecordBatch.from_arrays([pa.array(list(out), pa.int32()), pa.array(list(out.values()), pa.int64())], ["cand", "n"])
+
+    return arrays.select("items").mapInArrow(work, "cand int, n long").groupBy("cand").agg(F.sum("n").alias("n"))
+
+
 def count_gram(arrays: DataFrame, itemsets: Sequence[Itemset], n_items: int) -> DataFrame:
     """(cand, n) of pairs from the product of each block with itself."""
     if any(len(x) != 2 for x in itemsets):
@@ -106,16 +151,14 @@ def count_gram(arrays: DataFrame, itemsets: Sequence[Itemset], n_items: int) ->
 
 def pattern_counts(long: DataFrame, itemsets: Sequence[Itemset], dbsize: int) -> DataFrame:
     """(cand, pattern, n) for all 2**k patterns of each candidate; bit i of a pattern is the i-th item, 0 comes from ``dbsize``."""
-    each = frame(long.sparkSession, itemsets).select("cand", "k", F.posexplode("itemset").alias("at", "item"))
-    seen = long.join(F.broadcast(each), "item").groupBy("tid", "cand").agg(F.sum(F.expr("shiftleft(1L, at)")).alias("pattern"))
+    seen = long.join(exploded(long.sparkSession, itemsets, places=True), "item").groupBy("tid", "cand").agg(F.sum(F.expr("shiftleft(1L, at)")).alias("pattern"))
     seen = seen.groupBy("cand", "pattern").agg(F.count(F.lit(1)).alias("n"))
     return _with_rest(seen, "pattern", itemsets, dbsize)
 
 
 def weight_counts(long: DataFrame, itemsets: Sequence[Itemset], dbsize: int) -> DataFrame:
     """(cand, weight, n): tuples by how many of the candidate's items they have; the class of none comes from ``dbsize``."""
-    each = frame(long.sparkSession, itemsets).select("cand", F.explode("itemset").alias("item"))
-    seen = long.join(F.broadcast(each), "item").groupBy("tid", "cand").agg(F.count(F.lit(1)).alias("weight"))
+    seen = long.join(exploded(long.sparkSession, itemsets), "item").groupBy("tid", "cand").agg(F.count(F.lit(1)).alias("weight"))
     return _with_rest(seen.groupBy("cand", "weight").agg(F.count(F.lit(1)).alias("n")), "weight", itemsets, dbsize)
 
 
@@ -161,6 +204,7 @@ def count(baskets_arrays: DataFrame, itemsets: Sequence[Itemset], n_items: int,
     ways = {
         "chunks": lambda: count_chunks(baskets_arrays, itemsets, n_items), "relational": lambda: count_relational(long(), itemsets),
         "bitmaps": lambda: count_bitmaps(column_bits(long()), itemsets), "gram": lambda: count_gram(baskets_arrays, itemsets, n_items),
+        "trie": lambda: count_trie(baskets_arrays, itemsets),
     }
     if physical not in ways:
         raise ValueError(f"unknown physical strategy {physical}; there are {sorted(ways)}")

@@ -84,16 +84,19 @@ def _dense(lists: pa.ListArray, n_items: int) -> np.ndarray:
     return out
 
 
+def flipped_bits(raw: bytes, tid: int, n_items: int, params: FlipParams, seed: int) -> bytes:
+    """One bit vector, by a counter-based generator keyed by (seed, tid)."""
+    u = np.random.Generator(np.random.Philox(key=[seed, tid])).random(n_items)
+    held = np.unpackbits(np.frombuffer(raw, np.uint8), count=n_items).astype(bool)
+    return np.packbits(np.where(held, u < params.p, u >= params.q)).tobytes()
+
+
 def flip_bitvectors(bits: DataFrame, n_items: int, params: FlipParams, seed: int) -> DataFrame:
     """Bit vectors in, bit vectors out, with a counter-based generator keyed by (seed, tid)."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out = []
-            for tid, raw in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                u = np.random.Generator(np.random.Philox(key=[seed, tid])).random(n_items)
-                held = np.unpackbits(np.frombuffer(raw.as_py(), np.uint8), count=n_items).astype(bool)
-                out.append(np.packbits(np.where(held, u < params.p, u >= params.q)).tobytes())
+            out = [flipped_bits(raw.as_py(), tid, n_items, params, seed) for tid, raw in zip(batch.column(0).to_pylist(), batch.column(1), strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.binary())], ["tid", "bits"])
 
     return bits.select("tid", "bits").mapInArrow(work, "tid long, bits binary")

@@ -81,6 +81,21 @@ def counter_cost(levels: Sequence[tuple[int, int]], strategy: str) -> int:
     return sum(n * counters(k, strategy) for k, n in levels)
 
 
+def work(candidates: dict[int, int], counted: int, dbsize: int, strategy: str) -> tuple[int, int, int]:
+    """(candidates, counters, updates): what a miner's counting comes to, whatever the machine.
+
+    ``counted`` is the sum of the candidates' all-ones counts. Who counts all ones only touches a counter where
+    a tuple holds the whole candidate; with classes or patterns every tuple touches one for every candidate.
+    """
+    total = sum(candidates.values())
+    return total, counter_cost(list(candidates.items()), strategy), counted if strategy == "ones" else total * dbsize
+
+
+def privacy_row(bp: float, rp: float) -> dict[str, float]:
+    """Both privacies of a setting in percent, and what the miner's output takes off the first."""
+    return {"bp": bp, "rp": rp, "lost": bp - rp}
+
+
 def rule_identity(found: DataFrame, true: DataFrame) -> DataFrame:
     """One row (precision, recall) of rules by antecedent and consequent."""
     keys = ["antecedent", "consequent"]

@@ -10,6 +10,7 @@ from collections.abc import Callable, Iterable
 from dataclasses import dataclass, field
 from fractions import Fraction
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -25,12 +26,12 @@ class PassStore:
     """Distorted counts of earlier passes, needed to reconstruct longer itemsets."""
 
     counts: dict[Itemset, int] = field(default_factory=dict)
-
-    def __call__(self, itemset: Itemset) -> int:
-        return self.counts[itemset]
+    tables: dict[int, tuple[np.ndarray, np.ndarray]] = field(default_factory=dict)  # by length: sorted keys and counts
 
     def keep(self, found: dict[Itemset, int]) -> None:
         self.counts |= found
+        sets = sorted(found)
+        self.tables[len(sets[0])] = reconstruct.keys_of(np.array(sets, np.int32)), np.array([found[x] for x in sets], np.int64)
         if len(self.counts) > 4 * CANDIDATE_BUDGET:
             raise CandidateBudgetExceeded(f"{len(self.counts)} counts in the store of earlier passes")
 
@@ -135,7 +136,8 @@ def mine_distorted(
     def count(level: list[Itemset]) -> dict[Itemset, Fraction]:
         result.counters += len(level)
         store.keep(counting.count(arrays, level, n_items, physical))
-        return {x: Fraction(reconstruct.numerator(x, store, dbsize, params), b ** len(x)) for x in level}
+        nums = reconstruct.numerators(level, store.tables, dbsize, params).tolist()
+        return {x: Fraction(n, b ** len(x)) for x, n in zip(level, nums, strict=True)}
 
     def bar(k: int, x: Itemset) -> Fraction:
         if not slack or not x:
@@ -152,15 +154,16 @@ def mine_distorted(
 
 def mine_symmetric(arrays: DataFrame, n_items: int, dbsize: int, p: float, min_support: float | str, max_len: int = 64) -> Mined:
     """The symmetric scheme: weight classes of every tuple for every candidate, and the inverse transition matrix."""
-    return _mine_classes(arrays, n_items, dbsize, FlipParams(p, p, allow_negative=True), min_support, max_len, "weight")
+    return mine_classes(arrays, n_items, dbsize, FlipParams(p, p, allow_negative=True), min_support, max_len, "weight")
 
 
 def mine_full_pattern(arrays: DataFrame, n_items: int, dbsize: int, params: FlipParams, min_support: float | str, max_len: int = 64) -> Mined:
     """The plain way: a counter for each of the 2**k patterns of a candidate."""
-    return _mine_classes(arrays, n_items, dbsize, params, min_support, max_len, "pattern")
+    return mine_classes(arrays, n_items, dbsize, params, min_support, max_len, "pattern")
 
 
-def _mine_classes(arrays: DataFrame, n_items: int, dbsize: int, params: FlipParams, min_support: float | str, max_len: int, strategy: str) -> Mined:
+def mine_classes(arrays: DataFrame, n_items: int, dbsize: int, params: FlipParams, min_support: float | str, max_len: int, strategy: str) -> Mined:
+    """Counters for the ``weight`` classes or the ``pattern``s of every candidate, and estimates from the inverse's last row."""
     least, result = _checked(min_support, max_len) * dbsize, Mined(dbsize)
     long = arrays.select("tid", F.explode("items").alias("item"))
     a, scale, b = params.integers

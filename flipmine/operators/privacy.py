@@ -10,6 +10,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..config import FlipParams
+from .counting import MOST_BROADCAST
 from .distort import _dense
 
 Number = float | Column
@@ -73,10 +74,14 @@ def spurious_probability(n: int, q: float, support: float) -> float:
     return (1 - q) ** n * (1 - support)
 
 
+def few(df: DataFrame) -> DataFrame:
+    """``df`` marked for broadcast if it has at most ``MOST_BROADCAST`` rows; Spark chooses for more."""
+    return F.broadcast(df) if df.limit(MOST_BROADCAST + 1).count() <= MOST_BROADCAST else df
+
+
 def matches(seen: DataFrame, itemsets: DataFrame) -> DataFrame:
     """(tid, cand) where all items of a candidate (cand, itemset, k; few) are seen in the tuple."""
-    each = itemsets.select("cand", "k", F.explode("itemset").alias("item"))
-    return seen.join(F.broadcast(each), "item").groupBy("tid", "cand", "k").agg(F.count(F.lit(1)).alias("w")).where("w = k").select("tid", "cand")
+    return seen.join(few(itemsets.select("cand", "k", F.explode("itemset").alias("item"))), "item").groupBy("tid", "cand", "k").agg(F.count(F.lit(1)).alias("w")).where("w = k").select("tid", "cand")
 
 
 def breaches(true: DataFrame, seen: DataFrame, itemsets: DataFrame) -> DataFrame:
@@ -84,7 +89,7 @@ def breaches(true: DataFrame, seen: DataFrame, itemsets: DataFrame) -> DataFrame
     found = matches(seen, itemsets)
     items = itemsets.select("cand", F.explode("itemset").alias("item"))
     total = found.groupBy("cand").agg(F.count(F.lit(1)).alias("matched"))
-    hits = found.join(F.broadcast(items), "cand").join(true, ["tid", "item"], "left_semi").groupBy("cand", "item").agg(F.count(F.lit(1)).alias("present"))
+    hits = found.join(few(items), "cand").join(true, ["tid", "item"], "left_semi").groupBy("cand", "item").agg(F.count(F.lit(1)).alias("present"))
     return items.join(total, "cand").join(hits, ["cand", "item"], "left").select("cand", "item", "matched", F.coalesce("present", F.lit(0)).alias("present"), (F.coalesce("present", F.lit(0)) / F.col("matched")).alias("breach"))
 
 
@@ -97,10 +102,10 @@ def reinterrogated(true: DataFrame, seen: DataFrame, itemsets: DataFrame, bp: fl
     """
     table = breaches(true, seen, itemsets).select("cand", "item", "breach")
     found = matches(seen if match == "seen" else true, itemsets)
-    worst = found.join(F.broadcast(table), "cand").groupBy("tid", "item").agg(F.max("breach").alias("breach"))
+    worst = found.join(few(table), "cand").groupBy("tid", "item").agg(F.max("breach").alias("breach"))
     kept = true.join(seen, ["tid", "item"]).join(worst, ["tid", "item"], "left")
     frequent = itemsets.where("k = 1").select(F.col("itemset")[0].alias("item"))
-    own = kept.join(F.broadcast(frequent.withColumn("f", F.lit(1))), "item", "left").agg(
+    own = kept.join(few(frequent.withColumn("f", F.lit(1))), "item", "left").agg(
         F.count(F.lit(1)).alias("kept"), F.count(F.when(F.col("f").isNull(), 1)).alias("rare"),
         F.coalesce(F.sum(F.when(F.col("f").isNotNull(), 100 * (1 - F.coalesce("breach", F.lit(0.0)))).otherwise(bp)), F.lit(0.0)).alias("sum"),
     )

@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
-from itertools import combinations
+from collections.abc import Callable, Sequence
+from itertools import combinations, takewhile
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -22,8 +23,6 @@ def singleton_expr(n: Column, dbsize: int, params: FlipParams) -> Column:
 
 def singletons(counts: DataFrame, dbsize: int, params: FlipParams) -> DataFrame:
     """The same by the inverse of the 2x2 matrix, from counts of 1 and of 0: adds est and est0."""
-    import numpy as np
-
     inverse = np.linalg.inv(channel.single(params.p, params.q))
     zeros = F.lit(dbsize) - F.col("n")
     combine = lambda row: F.col("n") * float(row[0]) + zeros * float(row[1])
@@ -40,7 +39,6 @@ def by_pattern(pattern_counts: DataFrame, k: int, params: FlipParams) -> DataFra
 
 def by_pattern_matrix(pattern_counts: DataFrame, k: int, params: FlipParams) -> DataFrame:
     """(cand, pattern, est) for every pattern, one small solve per candidate in an Arrow function."""
-    import numpy as np
     import pandas as pd
 
     def solve(rows: pd.DataFrame) -> pd.DataFrame:
@@ -55,8 +53,6 @@ def by_pattern_matrix(pattern_counts: DataFrame, k: int, params: FlipParams) ->
 
 def by_weight(weight_counts: DataFrame, k: int, params: FlipParams) -> DataFrame:
     """(cand, est) from weight classes with the last row of the inverse transition matrix."""
-    import numpy as np
-
     row = np.linalg.inv(channel.weight_matrix(k, params.p, params.q))[-1]
     weights = F.array(*(F.lit(float(x)) for x in row))
     return weight_counts.groupBy("cand").agg(F.sum(F.col("n") * F.element_at(weights, F.col("weight").cast("int") + 1)).alias("est"))
@@ -77,7 +73,9 @@ def by_subsets(candidates: DataFrame, counts: DataFrame, dbsize: int, params: Fl
     each = candidates.select("itemset", "k", F.explode(subsets()).alias("part"))
     known = counts.select(F.col("itemset").alias("part"), "n")
     n = F.when(F.size("part") == 0, F.lit(dbsize)).otherwise(F.coalesce("n", F.lit(0))).cast("decimal(20,0)")
-    power = lambda base, e: F.pow(F.lit(float(base)), e).cast("decimal(18,0)")
+    # exact powers; one beyond 18 digits is an error of the array's bounds, not a wrong number
+    powers = lambda base: F.array(*(F.lit(x).cast("decimal(18,0)") for x in takewhile(lambda x: abs(x) < 10**18, (base**e for e in range(64)))))
+    power = lambda base, e: F.element_at(powers(base), (e + 1).cast("int"))
     term = n * power(scale, F.size("part")) * power(-a, F.col("k") - F.size("part"))
     sums = each.join(known, "part", "left").groupBy("itemset", "k").agg(F.sum(term.cast("decimal(38,0)")).cast("decimal(38,0)").alias("num"))
     return sums.withColumn("est", F.col("num").cast("double") / F.pow(F.lit(float(b)), F.col("k")))
@@ -89,6 +87,30 @@ def numerator(itemset: Itemset, counted: Callable[[Itemset], int], dbsize: int,
     return sum(terms[s] * (counted(part) if s else dbsize) for s in range(len(itemset) + 1) for part in combinations(itemset, s))
 
 
+def keys_of(rows: np.ndarray) -> np.ndarray:
+    """Sorted itemsets of one length as byte strings that compare in the same order."""
+    rows = np.ascontiguousarray(rows.astype(">i4"))
+    return rows.view(f"S{4 * rows.shape[1]}").ravel()
+
+
+def numerators(level: Sequence[Itemset], tables: dict[int, tuple[np.ndarray, np.ndarray]], dbsize: int, params: FlipParams) -> np.ndarray:
+    """Exact numerators of all candidates of a level at once; ``tables`` has, by length, the sorted keys and counts of all levels so far."""
+    rows, k = np.array(level, np.int32), len(level[0])
+    terms = channel.numerator_terms(k, params)
+    a, scale, _ = params.integers
+    small = dbsize * (abs(a) + scale) ** k < 1 << 62
+    total = np.full(len(rows), terms[0] * dbsize, np.int64 if small else object)
+    for s in range(1, k + 1):
+        keys, counts = tables[s]
+        for places in combinations(range(k), s):
+            wanted = keys_of(rows[:, places])
+            at = np.minimum(np.searchsorted(keys, wanted), len(keys) - 1)
+            if not (keys[at] == wanted).all():
+                raise KeyError(f"a subset of {s} items was not counted")
+            total += (counts[at] if small else counts[at].astype(object)) * terms[s]
+    return total
+
+
 def pattern_from_subsets(candidates: DataFrame, counts: DataFrame, dbsize: int) -> DataFrame:
     """(itemset, pattern, n): counts of every pattern by inclusion and exclusion, from all-ones counts alone.
 

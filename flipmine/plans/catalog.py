@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 from itertools import combinations
 
@@ -9,7 +10,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..config import ASYM_DEFAULT, CANDIDATES_DENSE, FlipParams
-from ..functions import channel
+from ..functions import channel, sqlfuncs
 from ..operators import counting, distort, metrics, mining, privacy, reconstruct, rules, tuning
 from ..operators import relational as rel
 from ..sources import baskets, generator
@@ -427,7 +428,7 @@ def closed_itemsets(spark, sf_dir):
     return named(mining.closed(rows)).select("itemset", "n")
 
 
-@query()
+@query("SELECT ''::VARCHAR AS itemset, 0::BIGINT AS n WHERE false")
 def fpgrowth_check(spark, sf_dir):
     """Itemsets on which the level-wise miner and Spark's own disagree: none."""
     b = of(spark, sf_dir, "type")
@@ -515,6 +516,28 @@ def reinterrogated_privacy(spark, sf_dir):
     return found.withColumn("privacy", r6("privacy"))
 
 
+_RARE = f"""WITH {sql.baskets('brand')}, {sql.wide_masks('t', 'tm')}, {sql.flips(0.6, 0.96, name='d')}, {sql.wide_masks('d', 'dm')}, {sql.level_wise('tm', 'x', '0.15', 2)}, {sql.attacked('x', 'tm', 'dm', 'a', '{bp}')},
+kept AS (SELECT t.item FROM t JOIN d ON d.tid = t.tid AND d.item = t.item)
+SELECT round((SELECT rp FROM a), 4) AS privacy, (SELECT count(*) FROM t) AS ones, (SELECT count(*) FROM kept) AS kept, (SELECT count(*) FROM t) - (SELECT count(*) FROM kept) AS flipped,
+    (SELECT count(*) FROM kept WHERE 1::HUGEINT << item NOT IN (SELECT code FROM x)) AS rare""".replace("{bp}", f"100 * (1 - {_R.format(s='(SELECT (SELECT count(*) FROM t) / ((SELECT n FROM size) * 25))', p='0.6::DOUBLE', q='0.96::DOUBLE')})")
+
+
+@query(_RARE)
+def reinterrogated_privacy_with_rare_items(spark, sf_dir):
+    """The same at a bar that about half of the brands miss, in the two passes over columns of bits."""
+    b, arrays = seen(spark, sf_dir, "brand")
+    true = stored(b.arrays(), "true-brand")
+    size = b.dbsize()
+    sets = sorted(mining.mine_exact(true, b.n_items, size, "0.15", 2).support)
+    s0 = tuning.average_support(b.long, b.tids, b.n_items).first().s0
+    pairs = stored(true.join(arrays.withColumnRenamed("items", "seen"), "tid"), "pairs-brand")
+    rp, _ = privacy.reinterrogated_chunks(pairs, sets, b.n_items, privacy.basic(s0, MAIN.p, MAIN.q))
+    frequent = F.array(*(F.lit(x[0]) for x in sets if len(x) == 1)).cast("array<int>")
+    both = F.array_intersect("items", "seen")
+    sums = pairs.agg(F.sum(F.size("items")).alias("ones"), F.sum(F.size(both)).alias("kept"), F.sum(F.size(F.array_except(both, frequent))).alias("rare"))
+    return sums.select(F.lit(round(rp, 4)).alias("privacy"), "ones", "kept", (F.col("ones") - F.col("kept")).alias("flipped"), "rare")
+
+
 @query("SELECT n::INTEGER AS n, q, s, round((1 - q) ** n * (1 - s), 9) AS prob FROM (VALUES (3, 0.9::DOUBLE, 0.01::DOUBLE), (2, 0.98::DOUBLE, 0.003::DOUBLE), (4, 0.96::DOUBLE, 0.01::DOUBLE)) AS v(n, q, s)")
 def spurious_probability(spark, sf_dir):
     rows = [(n, q, s, round(privacy.spurious_probability(n, q, s), 9)) for n, q, s in ((3, 0.9, 0.01), (2, 0.98, 0.003), (4, 0.96, 0.01))]
@@ -750,11 +773,13 @@ def conv_words(spark, sf_dir):
     return counting.singletons(b.long).join(b.items, "item").select("label", "n")
 
 
-@query()
+@query("SELECT count(DISTINCT l_orderkey) AS tuples, true AS about, true AS hll, true AS theta FROM lineitem")
 def approx_tuples(spark, sf_dir):
-    """Approximate and exact numbers of tuples and of items, side by side."""
+    """The exact number of tuples, and whether each kind of sketch comes within five percent of it."""
     long = of(spark, sf_dir, "brand").long
-    return long.agg(F.approx_count_distinct("tid").alias("about"), F.hll_sketch_estimate(F.hll_sketch_agg("tid")).alias("sketch"), F.count_distinct("tid").alias("tuples"))
+    near = lambda c: F.abs(c - F.col("tuples")) <= 0.05 * F.col("tuples")
+    sums = long.agg(F.count_distinct("tid").alias("tuples"), F.approx_count_distinct("tid", 0.01).alias("a"), F.hll_sketch_estimate(F.hll_sketch_agg("tid")).alias("h"), F.theta_sketch_estimate(F.theta_sketch_agg("tid")).alias("t"))
+    return sums.select("tuples", near(F.col("a")).alias("about"), near(F.col("h")).alias("hll"), near(F.col("t")).alias("theta"))
 
 
 @query(f"WITH {sql.baskets('clicks')}, {sql.flips(0.6, 0.96)} SELECT tids.tid, coalesce(string_agg(d.item::VARCHAR, ',' ORDER BY d.item), '') AS items FROM tids LEFT JOIN d ON d.tid = tids.tid GROUP BY tids.tid")
@@ -809,11 +834,107 @@ def estimator_stderr(spark, sf_dir):
     return spark.createDataFrame(rows, "item int, stderr double")
 
 
-@query()
+@query(f"""WITH s AS (SELECT p, q, p + q - 1 AS d FROM {_CAND}), c AS (SELECT p, q, n, j, i, k FROM s, generate_series(1, 8) AS a(n), generate_series(0, n) AS b(j), generate_series(0, n) AS e(i), generate_series(0, n) AS f(k) WHERE k <= j AND k <= i AND i - k <= n - j),
+m AS (SELECT p, q, n, j, i, sum(factorial(j::INTEGER) / (factorial(k::INTEGER) * factorial((j - k)::INTEGER)) * (q / (p + q - 1)) ** k * (1 - q / (p + q - 1)) ** (j - k)
+    * factorial((n - j)::INTEGER) / (factorial((i - k)::INTEGER) * factorial((n - j - i + k)::INTEGER)) * (1 - p / (p + q - 1)) ** (i - k) * (p / (p + q - 1)) ** (n - j - i + k)) AS x FROM c GROUP BY ALL)
+SELECT n::INTEGER AS n, p, q, round(max(total), 4) AS log_condition FROM (SELECT n, p, q, j, log10(sum(abs(x))) AS total FROM m GROUP BY ALL) GROUP BY ALL""")
 def channel_condition(spark, sf_dir):
-    """How the inversion magnifies errors, by length of itemset and setting."""
-    rows = [(n, p, q, channel.condition(n, p, q)) for n in range(1, 9) for p, q in CANDIDATES_DENSE]
-    return spark.createDataFrame(rows, "n int, p double, q double, condition double")
+    """How the inversion magnifies errors, by length of itemset and setting: log10 of the condition in the norm of column sums."""
+    rows = [(n, p, q, round(math.log10(channel.condition(n, p, q, 1)), 4)) for n in range(1, 9) for p, q in CANDIDATES_DENSE]
+    return spark.createDataFrame(rows, "n int, p double, q double, log_condition double")
+
+
+# ---- further forms -------------------------------------------------------------------------------------------
+
+_ITEM_COUNTS = f"WITH {sql.baskets('brand')}, c AS (SELECT item, count(*) AS n FROM t GROUP BY item)"
+
+
+@query(_ITEM_COUNTS + " SELECT item, n, round(percent_rank() OVER (ORDER BY n), 6) AS percent, round(cume_dist() OVER (ORDER BY n), 6) AS below, (ntile(4) OVER (ORDER BY n, item))::INTEGER AS quarter FROM c")
+def support_quantiles(spark, sf_dir):
+    """Where each item stands among all by support; one row per item of a bounded universe."""
+    rows, by = counting.singletons(of(spark, sf_dir, "brand").long), Window.orderBy("n")
+    return rows.select("item", "n", r6(F.percent_rank().over(by)).alias("percent"), r6(F.cume_dist().over(by)).alias("below"), F.ntile(4).over(Window.orderBy("n", "item")).alias("quarter"))
+
+
+@query(_ITEM_COUNTS + " SELECT item, n, lag(n) OVER w AS before, lead(n) OVER w AS after, nth_value(n, 2) OVER (w ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS second, last(n) OVER (w ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS least FROM c WINDOW w AS (ORDER BY n DESC, item)")
+def support_neighbours(spark, sf_dir):
+    rows = counting.singletons(of(spark, sf_dir, "brand").long)
+    by = Window.orderBy(F.desc("n"), "item")
+    whole = by.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    return rows.select("item", "n", F.lag("n").over(by).alias("before"), F.lead("n").over(by).alias("after"), F.nth_value("n", 2).over(whole).alias("second"), F.last("n").over(whole).alias("least"))
+
+
+@query(_TWO + " SELECT coalesce(pq, 'all') AS pq, coalesce(k, 0)::INTEGER AS k, grouping_id(pq, k)::BIGINT AS level, count(*) AS n, round(avg(rel), 6) AS rho FROM rl GROUP BY GROUPING SETS ((pq), (k), ())")
+def error_grouping_sets(spark, sf_dir):
+    """Errors by setting, by length, and over all, in one pass."""
+    rows = _both_settings(spark, sf_dir).groupingSets([["pq"], ["k"], []], "pq", "k").agg(F.grouping_id().alias("level"), F.count(F.lit(1)).alias("n"), r6(F.avg("rel")).alias("rho"))
+    return rows.select(F.coalesce("pq", F.lit("all")).alias("pq"), F.coalesce("k", F.lit(0)).alias("k"), "level", "n", "rho")
+
+
+@query(_TWO + " SELECT pq, round(quantile_disc(rel, 0.25), 6) AS low, round(quantile_disc(rel, 0.75), 6) AS high, true AS sketch_is_near FROM rl GROUP BY pq")
+def error_quantiles(spark, sf_dir):
+    """Quartiles of errors that are values of the data, and whether a quantile sketch has its median among the middle tenth."""
+    rows = _both_settings(spark, sf_dir)
+    sketch = F.kll_sketch_get_quantile_double(F.kll_sketch_agg_double("rel"), F.lit(0.5))
+    near = sketch.between(F.percentile("rel", F.lit(0.45)), F.percentile("rel", F.lit(0.55)))
+    return rows.groupBy("pq").agg(r6(F.percentile_approx("rel", 0.25, 100_000)).alias("low"), r6(F.percentile_approx("rel", 0.75, 100_000)).alias("high"), near.alias("sketch_is_near"))
+
+
+@query(f"""WITH {sql.baskets('brand')}, {sql.masks('t', 'tm')} SELECT o_orderstatus AS status, bit_and(mask) AS every, bit_or(mask) AS some, bit_xor(mask) AS odd, sum(bit_count(mask))::BIGINT AS ones
+FROM tm JOIN orders ON o_orderkey = tid GROUP BY 1""")
+def tuple_words(spark, sf_dir):
+    """A tuple of few items as one word: logic over words, by order status."""
+    b = of(spark, sf_dir, "brand")
+    words = b.arrays().select("tid", F.aggregate("items", F.lit(0).cast("long"), lambda w, i: w.bitwiseOR(F.call_function("shiftleft", F.lit(1).cast("long"), i))).alias("word"))
+    rows = words.join(load(spark, sf_dir, "orders", "o_orderkey", "o_orderstatus"), F.col("o_orderkey") == F.col("tid"))
+    return rows.groupBy(F.col("o_orderstatus").alias("status")).agg(F.bit_and("word").alias("every"), F.bit_or("word").alias("some"), F.bit_xor("word").alias("odd"), F.sum(F.bit_count("word")).alias("ones"))
+
+
+@query("""WITH c AS (SELECT l_orderkey AS tid, p_brand AS brand, count(*) AS n FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY ALL)
+SELECT tid, count(*) AS brands, sum(n)::BIGINT AS lines, count_if(n > 1) AS repeated, coalesce(max(CASE WHEN brand = 'Brand#11' THEN n END), 0) AS of_first, min(brand) AS least FROM c GROUP BY tid""")
+def basket_maps(spark, sf_dir):
+    """Baskets as maps from item to the number of its lines."""
+    part = load(spark, sf_dir, "part", "p_partkey", "p_brand")
+    lines = load(spark, sf_dir, "lineitem", "l_orderkey", "l_partkey").join(part, F.col("l_partkey") == F.col("p_partkey"))
+    counts = lines.groupBy(F.col("l_orderkey").alias("tid"), F.col("p_brand").alias("brand")).agg(F.count(F.lit(1)).alias("n"))
+    maps = counts.groupBy("tid").agg(F.map_from_entries(F.collect_list(F.struct("brand", "n"))).alias("m"))
+    total = F.aggregate(F.map_values("m"), F.lit(0).cast("long"), lambda a, x: a + x)
+    return maps.select(
+        "tid", F.size("m").cast("long").alias("brands"), total.alias("lines"), F.size(F.map_filter("m", lambda _, n: n > 1)).cast("long").alias("repeated"),
+        F.coalesce(F.try_element_at("m", F.lit("Brand#11")), F.lit(0)).alias("of_first"), F.array_min(F.map_keys("m")).alias("least"),
+    )
+
+
+@query(f"WITH {sql.baskets('brand')} SELECT u.item AS a, v.item AS b, count(*) AS n FROM t u JOIN t v ON u.tid = v.tid AND u.item < v.item GROUP BY ALL")
+def pairs_by_shuffle_hash(spark, sf_dir):
+    """Pairs of items of a tuple by a shuffled hash join: no sort, where a tuple's items fit into memory."""
+    long = of(spark, sf_dir, "brand").long
+    other = long.select("tid", F.col("item").alias("b")).hint("shuffle_hash")
+    return long.withColumnRenamed("item", "a").join(other, "tid").where("a < b").groupBy("a", "b").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query(f"WITH {sql.baskets('type')}, {sql.masks('t', 'tm')} SELECT o_custkey % 10 AS part, bit_count(bit_and(mask))::INTEGER AS common FROM tm JOIN orders ON o_orderkey = tid GROUP BY 1")
+def common_items_by_arrow_aggregate(spark, sf_dir):
+    """Items that all tuples of a group have, by a grouped aggregate over bit vectors in Arrow."""
+    b = of(spark, sf_dir, "type")
+    bits = distort.to_bits(b.arrays(), b.n_items).join(load(spark, sf_dir, "orders", "o_orderkey", "o_custkey"), F.col("o_orderkey") == F.col("tid"))
+    return bits.groupBy((F.col("o_custkey") % 10).alias("part")).agg(F.bit_count(F.conv(F.hex(sqlfuncs.bits_and("bits")), 16, 10).cast("long")).alias("common"))
+
+
+def _identity_sql() -> str:
+    keys = "SELECT a.code AS ante, x.code - a.code AS cons FROM {f} x JOIN {f} a ON x.code & a.code = a.code AND a.code < x.code AND a.v > 0 WHERE x.v / a.v >= 0.5"
+    return f"""WITH {_TYPE}, ft AS (SELECT code, n::DOUBLE AS v FROM tc WHERE n >= {_LEAST}), fe AS (SELECT code, est AS v FROM e WHERE est >= {_LEAST}),
+rt AS ({keys.format(f='ft')}), re AS ({keys.format(f='fe')}), h AS (SELECT count(*) AS n FROM re JOIN rt ON re.ante = rt.ante AND re.cons = rt.cons)
+SELECT round(n / (SELECT count(*) FROM re), 6) AS "precision", round(n / (SELECT count(*) FROM rt), 6) AS recall FROM h"""
+
+
+@query(_identity_sql())
+def rule_errors(spark, sf_dir):
+    """Of the rules from reconstructed supports those that are true, and of the true ones those found."""
+    b, arrays = seen(spark, sf_dir, "type")
+    found = rules.generate(mining.mine_distorted(arrays, b.n_items, b.dbsize(), MAIN, MIN_SUPPORT).frame(spark), b.dbsize(), 0.5)
+    true = rules.generate(_type_exact(spark, sf_dir), b.dbsize(), 0.5)
+    return metrics.rule_identity(found, true).select(r6("precision").alias("precision"), r6("recall").alias("recall"))
 
 
 from . import experiments  # noqa: E402  registers the experiments' queries

@@ -19,12 +19,14 @@ def load(spark: SparkSession, sf_dir: str, table: str, *columns: str) -> DataFra
 def read_item_lists(spark: SparkSession, path: str, fmt: str = "text") -> DataFrame:
     """(tid, items) from files of item lists.
 
-    ``text``: a tuple's ordered items on each line, blank-separated, tuples numbered in order of the
-    file's parts; ``csv``: tid, then blank-separated items; ``json``, ``orc`` and ``parquet``: columns tid and items.
+    ``text``: a tuple's ordered items on each line, blank-separated; its tid is a digest of file, line and, where a file
+    repeats a line, which time it is, so that another split of the files gives the same tids; ``csv``: tid, then blank-separated items; ``json``, ``orc`` and ``parquet``: columns tid and items.
     """
     items = lambda c: F.transform(F.filter(F.split(c, r"\s+"), lambda x: x != ""), lambda x: x.cast("int"))
     if fmt == "text":
-        return spark.read.text(path).select(F.monotonically_increasing_id().alias("tid"), items("value").alias("items"))
+        lines = spark.read.text(path).groupBy(F.input_file_name().alias("file"), "value").agg(F.count(F.lit(1)).alias("n"))
+        lines = lines.select("file", "value", F.explode(F.sequence(F.lit(1).cast("long"), "n")).alias("time"))
+        return lines.select(F.xxhash64(F.regexp_extract("file", "[^/]*$", 0), "value", "time").alias("tid"), items("value").alias("items"))
     if fmt == "csv":
         return spark.read.schema("tid long, list string").csv(path).select("tid", items("list").alias("items"))
     if fmt in ("json", "orc", "parquet"):

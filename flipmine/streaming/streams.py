@@ -7,6 +7,7 @@ from collections.abc import Callable, Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StreamingQuery
 
 from ..config import FlipParams
 from ..operators.distort import flip_arrays
@@ -35,7 +36,7 @@ def distort_stream(arrays: DataFrame, n_items: int, params: FlipParams, seed: in
 
 
 def window_counts(events: DataFrame, window: str = "1 day", slide: str | None = None, late: str = "1 hour") -> DataFrame:
-    """(day, event_type, n) by tumbling or sliding windows; rows behind the watermark are dropped and counted by Spark's progress."""
+    """(day, event_type, n) by tumbling or sliding windows; rows behind the watermark are dropped; ``late_rows`` says how many."""
     at = F.window("ts", window, slide) if slide else F.window("ts", window)
     return events.withWatermark("ts", late).groupBy(at.alias("w"), "event_type").agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").alias("day"), "event_type", "n")
 
@@ -110,8 +111,13 @@ class IncrementalCounts:
         return self.spark.read.parquet(self.folder).groupBy(*keys).agg(F.sum("n").alias("n"))
 
 
-def run_once(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Drains what the source has now into a table of the shared folder and returns that table."""
+def late_rows(query: StreamingQuery) -> int:
+    """Rows (partial aggregates, as Spark counts them) that came behind the watermark in the batches whose progress is still held."""
+    return sum(operator.numRowsDroppedByWatermark for progress in query.recentProgress for operator in progress.stateOperators)
+
+
+def run_once(stream: DataFrame, mode: str = "append", ended: Callable[[StreamingQuery], None] | None = None) -> DataFrame:
+    """Drains what the source has now into a table of the shared folder and returns that table; ``ended`` gets the query afterwards."""
     spark = stream.sparkSession
     folder = f"{shared_dir(spark)}/streams/{uuid.uuid4().hex}"
     if mode == "append":
@@ -122,7 +128,10 @@ def run_once(stream: DataFrame, mode: str = "append") -> DataFrame:
             batch.write.mode("overwrite").parquet(f"{folder}/out")
 
         writer = stream.writeStream.foreachBatch(write)
-    writer.outputMode(mode).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start().awaitTermination()
+    query = writer.outputMode(mode).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
+    query.awaitTermination()
+    if ended:
+        ended(query)
     return spark.read.schema(stream.schema).parquet(f"{folder}/out")
 
 
