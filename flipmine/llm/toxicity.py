@@ -28,7 +28,7 @@ STEMS, SHARES = (3, 4, 5, 6, 7), (0.005, 0.01, 0.015, 0.02, 0.03)
 #: Weights of the absolute-value and the counterfactual penalties, steps of the fit, and the decision's cutoff.
 SPARSITY, FAIRNESS, STEPS, CUTOFF = 0.1, 1.0, 2000, 0.7
 
-#: Identity terms by group; a term is swapped for the next of its group.
+#: Identity terms by group; a term is swapped for each other of its group.
 IDENTITY_TERMS = (
     ("women", "men"), ("woman", "man"), ("girls", "boys"), ("girl", "boy"), ("female", "male"), ("mothers", "fathers"),
     ("black", "white", "asian", "latino", "african", "european"), ("muslim", "christian", "jewish", "hindu", "buddhist", "atheist"),
@@ -38,16 +38,20 @@ IDENTITY_TERMS = (
 )
 
 _WORD = re.compile(r"[^\W\d_]+")
-_NEXT = {term: group[(i + 1) % len(group)] for group in IDENTITY_TERMS for i, term in enumerate(group)}
+_PLACE = {term: (group, i) for group in IDENTITY_TERMS for i, term in enumerate(group)}
 
 
-def features(text: str | None, stems: dict[int, frozenset[str]] | None = None) -> set[str]:
-    """Distinct words in lower case (runs of letters, so marks stuck to a word do not hide it), and stems used often.
+def counted(text: str | None) -> Counter[str]:
+    """Words in lower case (runs of letters, so marks stuck to a word do not hide it) with their numbers."""
+    return Counter(_WORD.findall((text or "").lower()))
+
+
+def features(found: Counter[str], stems: dict[int, frozenset[str]] | None = None) -> set[str]:
+    """Distinct words of a text, and stems used often.
 
     A stem is the beginning of words; ``stem~2`` says that it begins two words or more and at least the
     third share of ``SHARES`` of all words. With ``stems``, by length, only those are looked for.
     """
-    found = Counter(_WORD.findall((text or "").lower()))
     out, total = set(found), sum(found.values())
     for size in STEMS:
         wanted = None if stems is None else stems.get(size)
@@ -62,12 +66,32 @@ def features(text: str | None, stems: dict[int, frozenset[str]] | None = None) -
     return out
 
 
-def counterfactual(own: set[str]) -> set[str]:
-    """The same words with identity terms swapped; words without any get a neutral mention of a group."""
-    if found := own & _NEXT.keys():
-        return (own - found) | {_NEXT[w] for w in found}
-    group = IDENTITY_TERMS[len(own) % len(IDENTITY_TERMS)]
-    return own | {group[len(own) % len(group)]}
+def counterfactuals(found: Counter[str]) -> list[Counter[str]]:
+    """The words of the same text without its identity terms, and with each swapped for every other of its group in turn.
+
+    A text without any gets a group named in it, twice and in two hundredths of its words at least, so that the
+    stems of the name are used often too.
+    """
+    terms = [w for w in found if w in _PLACE]
+    if not terms:
+        pick = zlib.crc32(" ".join(sorted(found)).encode())
+        return [found + Counter({sorted(_PLACE)[pick % len(_PLACE)]: max(2, -(-sum(found.values()) // 50))})]
+    out = [Counter({w: n for w, n in found.items() if w not in _PLACE})]
+    for turn in range(max(len(_PLACE[w][0]) for w in terms) - 1):
+        swapped = out[0].copy()
+        for w in terms:
+            group, i = _PLACE[w]
+            swapped[group[(i + 1 + turn % (len(group) - 1)) % len(group)]] += found[w]
+        out.append(swapped)
+    return out
+
+
+def example(text: str | None) -> tuple[list[str], list[list[str]]]:
+    """The features of a text, and for each counterfactual those it lacks (after ``-``) or has besides (after ``+``)."""
+    found = counted(text)
+    own = features(found)
+    others = [features(other) for other in counterfactuals(found)]
+    return sorted(own), [sorted([f"-{w}" for w in own - other] + [f"+{w}" for w in other - own]) for other in others]
 
 
 @dataclass
@@ -82,76 +106,81 @@ class Model:
 
     def score(self, text: str | None) -> float:
         # whatever order a set has, the sum is taken in one order
-        logit = self.bias + sum(self.weights[w] for w in sorted(features(text, self.stems) & self.weights.keys()))
+        logit = self.bias + sum(self.weights[w] for w in sorted(features(counted(text), self.stems) & self.weights.keys()))
         return float(1 / (1 + np.exp(-np.clip(logit, -500, 500))))
 
 
-def without_copies(rows: list[tuple[list[str], int]]) -> list[tuple[tuple[str, ...], int]]:
+Row = tuple[list[str], int, list[list[str]]]
+
+
+def without_copies(rows: list[Row]) -> list[Row]:
     """One row of each set of equal or nearly equal rows of a class, by least hashes."""
     salts = np.random.default_rng(5).integers(1, 2**63, HASHES, dtype=np.uint64)
     seen: dict[tuple[int, int, int], list[int]] = {}
-    out = []
-    for own, label in sorted({(tuple(sorted(own)), label) for own, label in rows}):
+    out: list[Row] = []
+    last = None
+    for row in sorted(rows, key=lambda r: (r[0], r[1])):
+        own, label, _ = row
+        if last == (own, label):
+            continue
+        last = (own, label)
         hashes = np.array([zlib.crc32(w.encode()) for w in own if "~" not in w] or [0], np.uint64) + np.uint64(1)
         with np.errstate(over="ignore"):
             least = mix64(hashes[:, None] * salts[None, :]).min(0).tolist()
         met: dict[int, int] = {}
         for k, x in enumerate(least):
-            for row in seen.get((label, k, x), ()):
-                met[row] = met.get(row, 0) + 1
+            for at in seen.get((label, k, x), ()):
+                met[at] = met.get(at, 0) + 1
         if max(met.values(), default=0) >= ALIKE:
             continue
         for k, x in enumerate(least):
             seen.setdefault((label, k, x), []).append(len(out))
-        out.append((own, label))
+        out.append(row)
     return out
 
 
-def fit(rows: list[tuple[list[str], int]], sparsity: float = SPARSITY, fairness: float = FAIRNESS) -> Model:
-    """Logistic regression on the presence of words, by accelerated proximal steps.
+def fit(rows: list[Row], sparsity: float = SPARSITY, fairness: float = FAIRNESS) -> Model:
+    """Logistic regression on the presence of features, by accelerated proximal steps.
 
-    Copies count once, so that they do not make a word look significant. Words enter whose share of
-    toxic rows differs from that of all rows by more than chance, by a Chernoff bound over all words.
-    The penalty is ``fairness`` times the summed squared change of the logit between a row and its
-    counterfactual.
+    A row has its features, its label, and the changes that its counterfactuals make (``example``). Copies count
+    once, so that they do not make a word look significant. Features enter whose share of toxic rows
+    differs from that of all rows by more than chance, by a Chernoff bound over all. The penalty is
+    ``fairness`` times the summed squared change of the logit between a row and its counterfactuals, their mean for each row.
     """
     rows = without_copies(rows)
-    labels = np.array([label for _, label in rows], float)
+    labels = np.array([r[1] for r in rows], float)
     if not rows or labels.min() == labels.max():
         return Model({}, 500.0 if rows and labels[0] else -500.0)
     counts: dict[str, list[int]] = {}
-    for own, label in rows:
+    for own, label, _ in rows:
         for w in own:
             counts.setdefault(w, [0, 0])[label] += 1
     share = labels.mean()
     part = lambda k, n, p: k * np.log(k / (n * p)) if k else 0.0
     signal = {w: part(k[1], sum(k), share) + part(k[0], sum(k), 1 - share) for w, k in counts.items()}
     chosen = sorted((w for w in counts if signal[w] > np.log(len(counts) / CHANCE)), key=lambda w: (-signal[w], w))[:WORDS]
-    chosen += sorted(_NEXT.keys() - set(chosen))
+    chosen += sorted(_PLACE.keys() - set(chosen))
     place = {w: i for i, w in enumerate(chosen)}
-
-    def matrix(sets: list[set[str]]) -> tuple[np.ndarray, np.ndarray]:
-        at = [[place[w] for w in own if w in place] for own in sets]
-        return np.repeat(np.arange(len(at)), [len(x) for x in at]), np.array([i for x in at for i in x], int)
-
-    sets = [set(own) for own, _ in rows]
-    row, col = matrix(sets)
-    row2, col2 = matrix([counterfactual(own) for own in sets])
+    at = [[place[w] for w in own if w in place] for own, _, _ in rows]
+    row, col = np.repeat(np.arange(len(at)), [len(x) for x in at]), np.array([i for x in at for i in x], int)
+    moves = [(others, len(variants) ** -0.5) for _, _, variants in rows for others in variants]
+    moved = [(i, place[w[1:]], weight if w[0] == "+" else -weight) for i, (others, weight) in enumerate(moves) for w in others if w[1:] in place]
+    row2, col2, by = (np.array(x, kind) for x, kind in zip(zip(*moved, strict=True) if moved else ((), (), ()), (int, int, float), strict=True))
     n, m = len(rows), len(chosen)
     times = lambda r, c, w: np.bincount(r, w[c], n)
     back = lambda r, c, x: np.bincount(c, x[r], m)
+    # of the penalty half its slope: the changes of the logits, taken back to the weights
+    unfair = lambda w: np.bincount(col2, by * np.bincount(row2, by * w[col2], max(len(moves), 1))[row2], m)
     probe = np.ones(m + 1)
     for _ in range(20):
         y = times(row, col, probe[:m]) + probe[m]
-        d = times(row, col, probe[:m]) - times(row2, col2, probe[:m])
-        probe = np.append(0.25 * back(row, col, y) + 2 * fairness * (back(row, col, d) - back(row2, col2, d)), 0.25 * y.sum())
+        probe = np.append(0.25 * back(row, col, y) + 2 * fairness * unfair(probe[:m]), 0.25 * y.sum())
         size = np.linalg.norm(probe)
         probe /= size
     w, look, pace = np.zeros(m + 1), np.zeros(m + 1), 1.0
     for _ in range(STEPS):
         off = 1 / (1 + np.exp(-(times(row, col, look[:m]) + look[m]))) - labels
-        d = times(row, col, look[:m]) - times(row2, col2, look[:m])
-        slope = np.append(back(row, col, off) + 2 * fairness * (back(row, col, d) - back(row2, col2, d)), off.sum())
+        slope = np.append(back(row, col, off) + 2 * fairness * unfair(look[:m]), off.sum())
         new = look - slope / (1.1 * size)
         new[:m] = np.sign(new[:m]) * np.maximum(np.abs(new[:m]) - sparsity / (1.1 * size), 0)
         faster = (1 + np.sqrt(1 + 4 * pace * pace)) / 2
@@ -173,10 +202,12 @@ def train(documents: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Mode
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([pa.array([sorted(features(t)) for t in batch.column(0).to_pylist()], pa.list_(pa.string())), batch.column(1).cast(pa.int32())], ["words", "toxic"])
+            rows = [example(t) for t in batch.column(0).to_pylist()]
+            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.list_(pa.string())), batch.column(1).cast(pa.int32()), pa.array([r[1] for r in rows], pa.list_(pa.list_(pa.string())))], ["words", "toxic", "others"])
 
     pool: dict[str, str] = {}  # a word is held once, however many rows have it
-    return fit([([pool.setdefault(w, w) for w in r.words], r.toxic) for r in texts.mapInArrow(work, "words array<string>, toxic int").toLocalIterator()])
+    one = lambda words: [pool.setdefault(w, w) for w in words]
+    return fit([(one(r.words), r.toxic, [one(x) for x in r.others]) for r in texts.mapInArrow(work, "words array<string>, toxic int, others array<array<string>>").toLocalIterator()])
 
 
 def scored(documents: DataFrame, model: Model, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
