@@ -255,14 +255,49 @@ def meetings(found: DataFrame) -> DataFrame:
     return met.groupBy("a", "b").agg(F.count(F.lit(1)).alias("n"), F.min("need").alias("need")).where("need = 0 OR n >= need").select("a", "b")
 
 
+def stars(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Every node of the edges (a, b) but the smallest of each component, with that smallest one."""
+    nodes, at = np.unique(np.concatenate((a, b)), return_inverse=True)
+    u, v, root = at[: len(a)], at[len(a) :], np.arange(len(nodes))
+    while len(u):
+        x, y = root[u], root[v]
+        if (x == y).all():
+            break
+        np.minimum.at(root, np.maximum(x, y), np.minimum(x, y))
+        while not (root[root] == root).all():
+            root = root[root]
+    far = root != np.arange(len(nodes))
+    return nodes[far], nodes[root[far]]
+
+
+def contracted(edges: DataFrame) -> DataFrame:
+    """Edges of the same components: those of each task's edges, at most ``COMBINED`` at once, become stars."""
+    most = COMBINED
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, total = [], 0
+        for batch in batches:
+            held.append((batch.column(0).to_numpy(), batch.column(1).to_numpy()))
+            total += batch.num_rows
+            if total >= most:
+                yield pa.RecordBatch.from_arrays([pa.array(x) for x in stars(*(np.concatenate(x) for x in zip(*held, strict=True)))], ["a", "b"])
+                held, total = [], 0
+        if held:
+            yield pa.RecordBatch.from_arrays([pa.array(x) for x in stars(*(np.concatenate(x) for x in zip(*held, strict=True)))], ["a", "b"])
+
+    return edges.select("a", "b").mapInArrow(work, "a long, b long")
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(node, component) for the nodes of ``edges`` (a, b): the smallest node that can be reached.
 
-    Alternating large-star and small-star steps until every node hangs on one that hangs on none. Minima are combined before
+    Alternating large-star and small-star steps until every node hangs on one that hangs on none; before each, the edges of a
+    task are contracted, so that few steps are left. Minima are combined before
     they are shuffled; they are stored so that a node with very many neighbours is a skewed join, which
     adaptive execution splits, and not one task.
     """
-    edges = stored(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
+    tidy = lambda found: stored(contracted(stored(found.distinct(), "edges")), "edges")
+    edges = tidy(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")))
     while True:
         up, down = edges.select(F.col("a").alias("node"), F.lit(1).alias("up"), F.lit(0).alias("down")), edges.select("b", F.lit(0), F.lit(1))
         roles = up.union(down).groupBy("node").agg(F.sum("up").alias("up"), F.sum("down").alias("down"))
@@ -274,7 +309,7 @@ def components(edges: DataFrame) -> DataFrame:
         large = stored(large.where("a <> b").distinct(), "edges")
         low = stored(large.groupBy("a").agg(F.min("b").alias("low")), "lows")
         small = large.join(low, "a").where("b <> low").select(F.col("b").alias("a"), F.col("low").alias("b"))
-        edges = stored(small.union(low.select("a", "low")).distinct(), "edges")
+        edges = tidy(small.union(low.select("a", "low")))
 
 
 class Forest:
