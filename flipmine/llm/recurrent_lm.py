@@ -1,8 +1,9 @@
 """Language-model scores from a gated recurrent network with a class-factored softmax.
 
-The network foretells the class of the next word; how likely a word is within its class comes from counts
-over the whole training corpus. Counts, classes and in-class probabilities use every training document;
-the network's weights are fitted, in parallel rounds, on all of them, each in one round.
+The network foretells the class of the next word and, for the most frequent words, the word within its class;
+both factors see the state. Rarer words share a few classes by frequency, in which counts over the whole
+training corpus say how likely a word is. The weights are fitted on all training documents, each in one round
+of parallel descent; a task descends on the documents of its split, so weights depend on how the input is split.
 """
 
 from __future__ import annotations
@@ -21,21 +22,25 @@ from .common import slices, stored, words_hashed
 
 #: The most frequent words that occur twice or more are broadcast, this many at most; others, the tail, are joined by hash.
 HEAD = 131_072
-#: Word classes (the end and the words beyond the head are classes too), words with an input row of their own, width of the state.
-CLASSES, INPUTS, HIDDEN = 40, 384, 16
-#: One of so many training documents is used for gradients (1: all); rounds of parallel descent, which deal these out; lanes and window of truncated backpropagation.
-SHARE, ROUNDS, LANES, WINDOW = 1, 2, 256, 12
-RATE = 0.02
+#: The most frequent words make NEAR classes of SLOTS words, foretold one by one; other words of the head make REST - 1 classes, the tail the last.
+NEAR, SLOTS, REST = 64, 64, 16
+#: Width of the state; lanes and window of truncated backpropagation; longer documents are cut into segments for it (not for scores).
+HIDDEN, LANES, WINDOW, SEGMENT = 24, 256, 16, 512
+#: Rounds of parallel descent, which deal out the training documents; tasks of a round at most; step size at first, which falls to a tenth.
+ROUNDS, TASKS, RATE = 2, 4096, 0.02
+#: Bytes of text that are cut into words at once.
+BLOCK = 500_000
 #: The hash that stands for the end of a document.
 END = np.int64(0x454E44)
 LN10 = np.log(10.0)
+KINDS, ROWS = NEAR + REST, NEAR * SLOTS + REST
 
 Params = dict[str, np.ndarray]
 
 
 @dataclass(frozen=True)
 class Words:
-    """What is known of the head: sorted hashes with count, class, input row and log10 probability within the class."""
+    """What is known of the head: sorted hashes with count, class, input row, and log10 share of the class's count."""
 
     keys: np.ndarray
     count: np.ndarray
@@ -43,6 +48,7 @@ class Words:
     row: np.ndarray
     inside: np.ndarray
     prior: np.ndarray  # log probability of each class
+    slots: np.ndarray  # log probability of each slot in its near class; empty ones have next to none
 
     def look(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Place in the head, and whether it is there at all."""
@@ -51,81 +57,208 @@ class Words:
         at = np.minimum(np.searchsorted(self.keys, hashes), len(self.keys) - 1)
         return at, self.keys[at] == hashes
 
-    def codes(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """Class, input row, place and membership of each token."""
+    def codes(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Input row of each token (of a near word its class and slot at once), place and membership."""
         at, there = self.look(hashes)
-        if not len(self.keys):
-            return np.where(hashes == END, 0, CLASSES - 1).astype(np.int16), np.zeros(len(hashes), np.int16), at, there
-        return np.where(there, self.kind[at], CLASSES - 1).astype(np.int16), np.where(there, self.row[at], INPUTS + CLASSES - 1).astype(np.int16), at, there
+        row = self.row[at] if len(self.keys) else np.where(hashes == END, 0, ROWS - 1)
+        return np.where(there, row, np.where(hashes == END, 0, ROWS - 1)).astype(np.int16), at, there
+
+
+def kinds_of(rows: np.ndarray) -> np.ndarray:
+    """Class by input row: a near word's row holds its class and slot, other classes have one row each."""
+    return np.where(rows < NEAR * SLOTS, rows // SLOTS, rows - NEAR * SLOTS + NEAR)
 
 
 def classes(keys: np.ndarray, count: np.ndarray, tail: int) -> Words:
-    """Frequency classes of about equal weight; class 0 is the end alone, the last one is all beyond the head."""
+    """Near classes by rank, then classes of about equal weight; the end is the first word, the last class is all beyond the head."""
     is_end = keys == END
     order = np.lexsort((keys, -count, ~is_end))
     keys, count = keys[order], count[order]
-    kind = np.zeros(len(keys), np.int64)
-    at = int(len(keys) > 0 and keys[0] == END)
-    rest = count[at:]
+    near = min(len(keys), NEAR * SLOTS)
+    row = np.arange(len(keys))
+    rest = count[near:]
     if len(rest):
-        kind[at:] = 1 + np.minimum((np.cumsum(rest) - rest / 2) * (CLASSES - 2) // rest.sum(), CLASSES - 3)
-    weight = np.bincount(kind, count, CLASSES).astype(float)
+        row[near:] = NEAR * SLOTS + np.minimum((np.cumsum(rest) - rest / 2) * (REST - 1) // rest.sum(), REST - 2)
+    kind = kinds_of(row)
+    weight = np.bincount(kind, count, KINDS).astype(float)
     inside = np.log10(count / weight[kind]) if len(keys) else np.zeros(0)
-    row = np.where(np.arange(len(keys)) < INPUTS, np.arange(len(keys)), INPUTS + kind)
+    slots = np.full(NEAR * SLOTS, -60.0)
+    slots[:near] = inside[:near] * LN10
     weight[-1] = tail
     prior = np.log((weight + 1) / (weight + 1).sum())
     order = np.argsort(keys)
-    return Words(keys[order], count[order], kind[order], row[order], inside[order], prior)
+    return Words(keys[order], count[order], kind[order], row[order], inside[order], prior, slots.reshape(NEAR, SLOTS))
 
 
-def fresh(prior: np.ndarray) -> Params:
+def fresh(words: Words) -> Params:
+    """Where descent begins: both factors are those of the counts, whatever the state."""
     rng = np.random.default_rng(11)
     small = lambda *shape: rng.normal(0, 0.1, shape).astype(np.float32)
-    return {"inputs": small(INPUTS + CLASSES, 3 * HIDDEN), "state": small(HIDDEN, 3 * HIDDEN), "out": small(HIDDEN, CLASSES), "bias": prior.astype(np.float32)}
+    return {
+        "inputs": small(ROWS, 3 * HIDDEN), "state": small(HIDDEN, 3 * HIDDEN), "out": np.zeros((HIDDEN, KINDS), np.float32), "bias": words.prior.astype(np.float32),
+        "inner": np.zeros((NEAR, HIDDEN, SLOTS), np.float32), "slots": words.slots.astype(np.float32),
+    }
+
+
+def sigmoid(x: np.ndarray) -> np.ndarray:
+    """In place."""
+    np.negative(x, out=x)
+    np.exp(x, out=x)
+    x += 1
+    return np.reciprocal(x, out=x)
 
 
 def forward(p: Params, x: np.ndarray, begin: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, list]:
     """States after each step of a window; ``begin`` marks steps that start a document, where the state is zero."""
-    out, kept = np.empty((*x.shape, HIDDEN), np.float32), []
-    for t in range(len(x)):
-        h = h * ~begin[t][:, None]
-        a, b = p["inputs"][x[t]], h @ p["state"]
-        gates = 0.5 + 0.5 * np.tanh(0.5 * (a[:, : 2 * HIDDEN] + b[:, : 2 * HIDDEN]))
-        r, z = gates[:, :HIDDEN], gates[:, HIDDEN:]
-        new = np.tanh(a[:, 2 * HIDDEN :] + r * b[:, 2 * HIDDEN :])
-        kept.append((h, r, z, new, b[:, 2 * HIDDEN :]))
-        h = new + z * (h - new)
-        out[t] = h
+    steps, n = x.shape
+    out, kept, w = np.empty((steps, n, HIDDEN), p["state"].dtype), [], 2 * HIDDEN
+    keep = ~begin
+    for t in range(steps):
+        if not keep[t].all():
+            h = h * keep[t][:, None]
+        gates, b = p["inputs"].take(x[t], 0), h @ p["state"]
+        new, gates = gates[:, w:], np.add(gates[:, :w], b[:, :w])
+        with np.errstate(over="ignore"):
+            sigmoid(gates)
+            r, z = gates[:, :HIDDEN], gates[:, HIDDEN:]
+            new = r * b[:, w:] + new
+            new *= 2
+            sigmoid(new)
+        new *= 2
+        new -= 1
+        kept.append((h, r, z, new, b[:, w:]))
+        h = np.add(new, z * (h - new), out=out[t])
     return out, kept
 
 
-def log_softmax(p: Params, states: np.ndarray) -> np.ndarray:
-    logits = states @ p["out"] + p["bias"]
-    logits -= logits.max(-1, keepdims=True)
-    return logits - np.log(np.exp(logits).sum(-1, keepdims=True))
-
-
-def backward(p: Params, x: np.ndarray, y: np.ndarray, begin: np.ndarray, live: np.ndarray, states: np.ndarray, kept: list) -> Params:
-    """Gradient of the mean loss over a window; nothing flows beyond its first step."""
-    d = np.exp(log_softmax(p, states))
-    np.put_along_axis(d, y[..., None].astype(np.int64), np.take_along_axis(d, y[..., None].astype(np.int64), -1) - 1, -1)
-    d *= (live / max(live.sum(), 1))[..., None].astype(np.float32)
-    flat = d.reshape(-1, CLASSES)
-    g = {"out": states.reshape(-1, HIDDEN).T @ flat, "bias": flat.sum(0), "state": np.zeros_like(p["state"]), "inputs": np.zeros_like(p["inputs"])}
-    from_out = d @ p["out"].T
+#: Logits stay within this; beyond it a probability is next to 0 or 1 anyway.
+CLIP = 60.0
+
+
+def soft(logits: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Softmax in place of the logits, and the log of its divisor."""
+    np.minimum(logits, CLIP, out=logits)
+    shares = np.exp(logits, out=logits)
+    total = shares @ np.ones(shares.shape[1], shares.dtype)
+    total += 1e-30
+    shares *= np.reciprocal(total)[:, None]
+    return shares, np.log(total)
+
+
+def near_groups(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Places of the near words in order of their class, and where each class begins among them."""
+    near = np.flatnonzero(rows < NEAR * SLOTS)
+    kind = (rows[near] // SLOTS).astype(np.int16)
+    order = np.argsort(kind, kind="stable")
+    return near[order], np.searchsorted(kind[order], np.arange(NEAR + 1))
+
+
+def slot_logits(p: Params, states: np.ndarray, bounds: np.ndarray) -> np.ndarray:
+    out = np.empty((len(states), SLOTS), states.dtype)
+    for c in np.flatnonzero(np.diff(bounds)).tolist():
+        a, b = bounds[c], bounds[c + 1]
+        np.matmul(states[a:b], p["inner"][c], out=out[a:b])
+        out[a:b] += p["slots"][c]
+    return out
+
+
+def log_likelihood(p: Params, states: np.ndarray, rows: np.ndarray) -> np.ndarray:
+    """Natural log probability of each token's class and, for near words, of the word in it."""
+    at, kind = np.arange(len(rows)), kinds_of(rows)
+    logits = states @ p["out"]
+    logits += p["bias"]
+    got = np.minimum(logits[at, kind], CLIP)
+    got -= soft(logits)[1]
+    places, bounds = near_groups(rows)
+    inner = slot_logits(p, states[places], bounds)
+    own = np.minimum(inner[at[: len(places)], rows[places] % SLOTS], CLIP)
+    got[places] += own - soft(inner)[1]
+    return got
+
+
+def backward(p: Params, x: np.ndarray, y: np.ndarray, begin: np.ndarray, live: np.ndarray, states: np.ndarray, kept: list) -> tuple[Params, np.ndarray]:
+    """Gradient of the mean loss over a window, nothing flowing beyond its first step; for ``inputs`` only of the rows in the second result."""
+    flat, rows = states.reshape(-1, HIDDEN), y.ravel()
+    at, share = np.arange(len(rows)), (live.ravel() / max(live.sum(), 1)).astype(flat.dtype)
+    logits = flat @ p["out"]
+    logits += p["bias"]
+    d, _ = soft(logits)
+    d[at, kinds_of(rows)] -= 1
+    d *= share[:, None]
+    g = {"out": flat.T @ d, "bias": d.sum(0), "inner": np.zeros_like(p["inner"]), "slots": np.zeros_like(p["slots"])}
+    back = d @ p["out"].T
+    places, bounds = near_groups(rows)
+    own = flat[places]
+    d, _ = soft(slot_logits(p, own, bounds))
+    d[at[: len(places)], rows[places] % SLOTS] -= 1
+    d *= share[places][:, None]
+    inner = np.empty_like(own)
+    for c in np.flatnonzero(np.diff(bounds)).tolist():
+        a, b = bounds[c], bounds[c + 1]
+        np.matmul(own[a:b].T, d[a:b], out=g["inner"][c])
+        g["slots"][c] = d[a:b].sum(0)
+        np.matmul(d[a:b], p["inner"][c].T, out=inner[a:b])
+    back[places] += inner
+    back = back.reshape(states.shape)
     dh = np.zeros_like(states[0])
+    da, db = np.empty((*x.shape, 3 * HIDDEN), flat.dtype), np.empty((*x.shape, 3 * HIDDEN), flat.dtype)
+    keep, turned = ~begin, np.ascontiguousarray(p["state"].T)
     for t in range(len(x) - 1, -1, -1):
         h, r, z, new, b = kept[t]
-        dh = dh + from_out[t]
-        dnew = dh * (1 - z) * (1 - new * new)
-        dz = dh * (h - new) * z * (1 - z)
-        dr = dnew * b * r * (1 - r)
-        da = np.concatenate((dr, dz, dnew), 1)
-        db = np.concatenate((dr, dz, dnew * r), 1)
-        np.add.at(g["inputs"], x[t], da)
-        g["state"] += h.T @ db
-        dh = (dh * z + db @ p["state"].T) * ~begin[t][:, None]
-    return g
+        dh += back[t]
+        through = dh * z
+        dnew = dh - through
+        dnew *= 1 - new * new
+        np.multiply(through * (1 - z), h - new, out=da[t, :, HIDDEN : 2 * HIDDEN])
+        np.multiply(dnew * b, r * (1 - r), out=da[t, :, :HIDDEN])
+        da[t, :, 2 * HIDDEN :] = dnew
+        db[t, :, : 2 * HIDDEN] = da[t, :, : 2 * HIDDEN]
+        np.multiply(dnew, r, out=db[t, :, 2 * HIDDEN :])
+        dh = through
+        dh += db[t] @ turned
+        if not keep[t].all():
+            dh *= keep[t][:, None]
+    g["state"] = np.concatenate([k[0] for k in kept]).T @ db.reshape(-1, 3 * HIDDEN)
+    order = np.argsort(x.ravel(), kind="stable")
+    seen, heads = np.unique(x.ravel()[order], return_index=True)
+    g["inputs"] = np.add.reduceat(da.reshape(-1, 3 * HIDDEN)[order], heads, axis=0)
+    return g, seen
+
+
+class Descent:
+    """Adam on the weights; of the input rows only those met in a window move."""
+
+    def __init__(self, start: Params, steps: int):
+        self.p = {k: v.copy() for k, v in start.items()}
+        self.first, self.second = ({k: np.zeros_like(v) for k, v in start.items()} for _ in range(2))
+        self.step, self.steps = 0, max(steps, 1)
+        self.met = {"inputs": np.zeros(ROWS), "inner": np.zeros(NEAR), "slots": np.zeros(NEAR)}  # how often a row, or a class, was seen
+        self.seen = 0
+
+    def window(self, x: np.ndarray, y: np.ndarray, begin: np.ndarray, live: np.ndarray, h: np.ndarray) -> np.ndarray:
+        """One step on a window; the state that it ends with."""
+        states, kept = forward(self.p, x, begin, h)
+        g, rows = backward(self.p, x, y, begin, live, states, kept)
+        self.step += 1
+        rate = RATE * max(0.1, 1 - self.step / self.steps)
+        for k, d in g.items():
+            at = rows if k == "inputs" else slice(None)
+            first, second = self.first[k][at], self.second[k][at]
+            first += 0.1 * (d - first)
+            second += 0.01 * (d * d - second)
+            if k == "inputs":
+                self.first[k][at], self.second[k][at] = first, second
+            move = np.sqrt(second / np.float32(1 - 0.99**self.step))
+            move += 1e-6
+            np.divide(first, move, out=move)
+            move *= np.float32(rate / (1 - 0.9**self.step))
+            self.p[k][at] -= move
+        self.met["inputs"] += np.bincount(x[live], minlength=ROWS)
+        kinds = np.bincount(kinds_of(y[live]), minlength=KINDS)[:NEAR]
+        self.met["inner"] += kinds
+        self.met["slots"] += kinds
+        self.seen += int(live.sum())
+        return states[-1]
 
 
 def packed(lengths: np.ndarray, lanes: int) -> list[list[int]]:
@@ -144,26 +277,40 @@ def packed(lengths: np.ndarray, lanes: int) -> list[list[int]]:
 def lanes_of(starts: np.ndarray, lanes: list[list[int]], x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, ...]:
     """Inputs, targets, first-step marks and document numbers by step and lane; -1 where a lane has ended."""
     steps = max(sum(int(starts[d + 1] - starts[d]) for d in docs) for docs in lanes)
-    put = lambda fill, kind: np.full((steps, len(lanes)), fill, kind)
+    put = lambda fill, kind: np.full((len(lanes), steps), fill, kind)
     xs, ys, begin, docs_at = put(0, np.int16), put(0, np.int16), put(False, bool), put(-1, np.int32)
     for k, docs in enumerate(lanes):
         at = 0
         for d in docs:
             a, b = int(starts[d]), int(starts[d + 1])
-            xs[at : at + b - a, k], ys[at : at + b - a, k], docs_at[at : at + b - a, k] = x[a:b], y[a:b], d
-            begin[at, k] = True
+            xs[k, at : at + b - a], ys[k, at : at + b - a], docs_at[k, at : at + b - a] = x[a:b], y[a:b], d
+            begin[k, at] = True
             at += b - a
-    return xs, ys, begin, docs_at
+    return tuple(np.ascontiguousarray(v.T) for v in (xs, ys, begin, docs_at))
+
+
+def segments(starts: np.ndarray, most: int = SEGMENT) -> np.ndarray:
+    """Where documents begin, and every ``most`` tokens inside them."""
+    n = np.diff(starts)
+    parts = -(-n // most)
+    first = np.repeat(starts[:-1], parts)
+    inner = np.arange(len(first)) - np.repeat(np.cumsum(parts) - parts, parts)
+    return np.append(first + inner * most, starts[-1])
 
 
 def tokens(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of all tokens, an end after each text, and where each text's tokens begin."""
-    hashes, _, bounds = words_hashed(texts)
-    starts = bounds + np.arange(len(bounds))
-    out = np.full(len(hashes) + len(texts), END, np.int64)
+    """Hashes of all tokens, an end after each text, and where each text's tokens begin; texts are cut into words a few at a time."""
+    hashes, counts = [], []
+    for a, b in slices(texts, BLOCK):
+        words, _, bounds = words_hashed(texts.slice(a, b - a))
+        hashes.append(words)
+        counts.append(np.diff(bounds))
+    counts = np.concatenate(counts) if counts else np.zeros(0, np.int64)
+    starts = np.concatenate(([0], np.cumsum(counts + 1)))
+    out = np.full(starts[-1], END, np.int64)
     inner = np.ones(len(out), bool)
     inner[starts[1:] - 1] = False
-    out[inner] = hashes.view(np.int64)
+    out[inner] = np.concatenate(hashes).view(np.int64) if hashes else np.zeros(0, np.int64)
     return out, starts
 
 
@@ -187,55 +334,64 @@ def counted(documents: DataFrame) -> DataFrame:
 
 
 def descend(documents: DataFrame, words: Words, params: Params) -> Params:
-    """One round: every task descends from ``params`` on its documents; the results are averaged by tokens seen."""
+    """One round: every task descends from ``params`` on its documents; weights are averaged by how often they were used.
+
+    A task sends its weights in blocks; a block of all tasks (at most ``TASKS``) is averaged in one place, in the order of
+    the tasks, so that equal splits give equal weights.
+    """
     shared = documents.sparkSession.sparkContext.broadcast((words, params))
-    names, shapes = list(params), {k: v.shape for k, v in params.items()}
+    names, shapes, block, window = list(params), {k: v.shape for k, v in params.items()}, 1 << 14, WINDOW
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, start = shared.value
-        p = {k: v.copy() for k, v in start.items()}
-        first, second, step, seen = {k: np.zeros_like(v) for k, v in p.items()}, {k: np.zeros_like(v) for k, v in p.items()}, 0, 0
+        run, task = None, 0
         for batch in batches:
+            task = task or batch.column(1)[0].as_py() + 1
             for a, b in slices(batch.column(0), 6_000_000):
                 hashes, starts = tokens(batch.column(0).slice(a, b - a))
-                kind, row, _, _ = known.codes(hashes)
-                end_row = int(known.codes(np.array([END]))[1][0])
-                xs, ys, begin, docs = lanes_of(starts, packed(np.diff(starts), LANES), inputs(row, starts, end_row), kind)
+                rows, _, _ = known.codes(hashes)
+                x, cuts = inputs(rows, starts, int(known.codes(np.array([END]))[0][0])), segments(starts)
+                xs, ys, begin, docs = lanes_of(cuts, packed(np.diff(cuts), LANES), x, rows)
+                run = run or Descent(start, 3 * -(-len(xs) // window))
                 h = np.zeros((xs.shape[1], HIDDEN), np.float32)
-                for t in range(0, len(xs), WINDOW):
-                    now = slice(t, t + WINDOW)
-                    states, kept = forward(p, xs[now], begin[now], h)
-                    g = backward(p, xs[now], ys[now], begin[now], docs[now] >= 0, states, kept)
-                    h, step = states[-1], step + 1
-                    for k in names:
-                        first[k] += 0.1 * (g[k] - first[k])
-                        second[k] += 0.01 * (g[k] * g[k] - second[k])
-                        p[k] -= RATE * (first[k] / (1 - 0.9**step)) / (np.sqrt(second[k] / (1 - 0.99**step)) + 1e-6)
-                seen += len(hashes)
-        if seen:
-            flat = np.concatenate([p[k].ravel() for k in names]).astype(float)
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(flat)), pa.int64()), pa.array(flat * seen), pa.array(np.full(len(flat), float(seen)))], ["i", "v", "n"])
-
-    rows = documents.select(F.col("text").cast("string").alias("text")).mapInArrow(work, "i long, v double, n double")
-    rows = rows.groupBy("i").agg((F.sum("v") / F.sum("n")).alias("v")).toArrow()  # as many rows as the network has weights
+                for t in range(0, len(xs), window):
+                    now = slice(t, t + window)
+                    h = run.window(xs[now], ys[now], begin[now], docs[now] >= 0, h)
+        if run and run.seen:
+            times = [np.broadcast_to(run.met[k].reshape(-1, *[1] * (len(shapes[k]) - 1)) if k in run.met else np.float64(run.seen), shapes[k]).ravel() for k in names]
+            total, times = np.concatenate([run.p[k].ravel() for k in names]), np.concatenate(times)
+            total = total * times
+            at = range(0, len(total), block)
+            yield pa.RecordBatch.from_arrays([
+                pa.array([i // block for i in at], pa.int32()), pa.array([task] * len(at), pa.int64()),
+                pa.array([total[i : i + block].astype(np.float32).tobytes() for i in at], pa.binary()), pa.array([times[i : i + block].astype(np.float32).tobytes() for i in at], pa.binary()),
+            ], ["part", "task", "total", "times"])
+
+    def mean(key: tuple, rows: pa.Table) -> pa.Table:
+        rows = rows.sort_by("task")
+        total, times = (sum(np.frombuffer(x.as_py(), np.float32).astype(np.float64) for x in rows[name]) for name in ("total", "times"))
+        return pa.table({"part": pa.array([key[0].as_py()], pa.int32()), "v": pa.array([np.where(times > 0, total / np.maximum(times, 1e-9), np.nan).astype(np.float32).tobytes()], pa.binary())})
+
+    rows = documents.select(F.col("text").cast("string").alias("text"), F.spark_partition_id().cast("long").alias("task")).coalesce(TASKS)
+    rows = rows.mapInArrow(work, "part int, task long, total binary, times binary").groupBy("part").applyInArrow(mean, "part int, v binary").orderBy("part").toArrow()
     if not rows.num_rows:
         return params
-    flat = np.zeros(rows.num_rows, np.float32)
-    flat[rows["i"].to_numpy()] = rows["v"].to_numpy()
-    ends = np.cumsum([int(np.prod(shapes[k])) for k in names])
-    return {k: flat[e - int(np.prod(shapes[k])) : e].reshape(shapes[k]) for k, e in zip(names, ends, strict=True)}
+    flat = np.frombuffer(b"".join(rows["v"].to_pylist()), np.float32)
+    ends = np.cumsum([v.size for v in params.values()])
+    new = {k: flat[e - v.size : e].reshape(v.shape) for (k, v), e in zip(params.items(), ends, strict=True)}
+    return {k: np.where(np.isnan(v), params[k], v) for k, v in new.items()}
 
 
-def class_scores(p: Params, xs: np.ndarray, ys: np.ndarray, begin: np.ndarray, docs: np.ndarray, n: int) -> np.ndarray:
-    """Natural-log probability of each document's classes; the state goes on from window to window until its end."""
+def scores(p: Params, xs: np.ndarray, ys: np.ndarray, begin: np.ndarray, docs: np.ndarray, n: int) -> np.ndarray:
+    """Natural-log probability of each document's classes and near words; the state goes on from window to window until its end."""
     total, h = np.zeros(n), np.zeros((xs.shape[1], HIDDEN), np.float32)
     for t in range(0, len(xs), 32):
         live = int((docs[t] >= 0).sum())  # lanes end from the last on
         x, y, d = xs[t : t + 32, :live], ys[t : t + 32, :live], docs[t : t + 32, :live]
         states, _ = forward(p, x, begin[t : t + 32, :live], h[:live])
         h = states[-1]
-        got = np.take_along_axis(log_softmax(p, states), y[..., None].astype(np.int64), -1)[..., 0]
-        total += np.bincount(d[d >= 0], got[d >= 0], n)
+        there = d >= 0
+        total += np.bincount(d[there], log_likelihood(p, states[there], y[there]), n)
     return total
 
 
@@ -251,17 +407,17 @@ def parts(documents: DataFrame, words: Words, params: Params) -> DataFrame:
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, p = shared.value
-        log_count = np.log10(known.count + 1.0)
-        end_row = int(known.codes(np.array([END]))[1][0])
+        log_count, far = np.log10(known.count + 1.0), np.where(known.row < NEAR * SLOTS, 0.0, known.inside)
+        end_row = int(known.codes(np.array([END]))[0][0])
         for batch in batches:
-            for a, b in slices(batch.column(3), 8_000_000):
+            for a, b in slices(batch.column(3), 24_000_000):
                 hashes, starts = tokens(batch.column(3).slice(a, b - a))
-                kind, row, at, there = known.codes(hashes)
+                row, at, there = known.codes(hashes)
                 doc = np.repeat(np.arange(b - a), np.diff(starts))
                 sums = lambda v: np.bincount(doc[there], v, b - a)
-                inside = sums(known.inside[at[there]]) if len(known.keys) else np.zeros(b - a)
+                inside = sums(far[at[there]]) if len(known.keys) else np.zeros(b - a)
                 head = sums(log_count[at[there]]) if len(known.keys) else np.zeros(b - a)
-                model = class_scores(p, *lanes_of(starts, packed(np.diff(starts), 2 * LANES), inputs(row, starts, end_row), kind), b - a) / LN10 + inside
+                model = scores(p, *lanes_of(starts, packed(np.diff(starts), 2 * LANES), inputs(row, starts, end_row), row), b - a) / LN10 + inside
                 n_head = np.bincount(doc[there], minlength=b - a)
                 ends = np.concatenate(([0], np.cumsum(np.diff(starts) - n_head))).astype(np.int32)
                 tail = pa.ListArray.from_arrays(pa.array(ends), pa.array(hashes[~there], pa.int64()))
@@ -292,10 +448,10 @@ def scored(documents: DataFrame, divisor: int = 7, held: int = 2) -> DataFrame:
     keys, count = top["word"].to_numpy().astype(np.int64), top["c"].to_numpy().astype(np.int64)
     n_tail, v_tail = n - int(count.sum()), v - len(keys)
     words = classes(keys, count, n_tail)
-    params = fresh(words.prior)
-    deal = F.crc32(F.concat(F.lit("share"), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))))
+    params = fresh(words)
+    deal = F.crc32(F.concat(F.lit("round"), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))))
     for i in range(ROUNDS):
-        params = descend(learn.where(deal % (SHARE * ROUNDS) == i * SHARE), words, params)
+        params = descend(learn.where(deal % ROUNDS == i), words, params)
     first = stored(parts(rows, words, params), "lm-parts")
     tails = first.select("row", F.explode("tail").alias("word")).join(counts, "word", "left").groupBy("row")
     tails = tails.agg(F.sum(F.log10(F.coalesce("c", F.lit(0)) + 1)).alias("tail_log"), F.sum(F.log10("c")).alias("seen_log"), F.count("c").alias("known"))
