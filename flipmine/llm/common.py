@@ -63,7 +63,7 @@ def words_hashed(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         return mix64(sums ^ lengths.astype(np.uint64)), lengths, bounds
 
 
-def slices(texts: pa.Array, most_bytes: int = 4_000_000) -> Iterator[tuple[int, int]]:
+def slices(texts: pa.Array, most_bytes: int = 1_000_000) -> Iterator[tuple[int, int]]:
     """Ranges of rows that hold about ``most_bytes`` of text each, so that buffers stay small; every row is in one."""
     sizes = np.cumsum(np.asarray(pc.binary_length(texts.cast(pa.large_string())).fill_null(0), dtype=np.int64) + 1)
     at = 0
