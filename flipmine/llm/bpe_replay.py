@@ -1,4 +1,6 @@
-"""Byte-level BPE by merge replay: the distinct pieces of a batch are merged together, rank by rank."""
+"""Byte-level BPE by merge replay: the distinct pieces of a portion of texts (4 million characters, the unit
+of the inverted index) are merged together, rank by rank.
+"""
 
 from __future__ import annotations
 
@@ -21,7 +23,7 @@ MEMORY = 300_000
 NONE = np.int32(2**31 - 1)
 
 #: White space other than the blank and the line feed (Unicode's White_Space property).
-_RARE_SPACE = re.compile("[\t\x0b-\r\x85\xa0  -     　]")
+_RARE_SPACE = re.compile("[\t\x0b-\r\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
 _RUNS = ("  ", " \n", "\n ", "\n\n")
 
 
