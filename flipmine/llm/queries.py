@@ -57,23 +57,47 @@ FROM p LEFT JOIN o USING (payload_digest)
 """
 
 
-#: Words in a host by which the query's labels mark a page as unwanted, beside the labels of its document.
-UNWANTED = "(^|[.-])(casino|bets|adult|pills|spam|ads)([.-]|$)"
-
-
 def url_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """url and block: by the labels of the document that the url's number names, and by unwanted words in the host."""
+    """url and block: whether ``labels`` calls the document that the url's number names toxic or of low quality; null if it names none."""
     pages = url_rules.parsed(table(spark, sf_dir, "pages").select("url"))
     named = pages.withColumn("doc_id", F.expr("try_cast(nullif(regexp_extract(path, '/([0-9]+)', 1), '') AS BIGINT)"))
-    known = table(spark, sf_dir, "labels").groupBy("doc_id").agg(F.max((F.col("toxic") == 1) | (F.col("quality") == 0)).alias("bad"))
-    unwanted = F.col("host").rlike(UNWANTED)
-    return named.join(known, "doc_id", "left").select("url", F.when(unwanted, True).otherwise(F.col("bad")).alias("block"))
+    known = table(spark, sf_dir, "labels").groupBy("doc_id").agg(F.max((F.col("toxic") == 1) | (F.col("quality") == 0)).alias("block"))
+    return named.join(known, "doc_id", "left").select("url", "block")
 
 
 def op5_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_rules.judge(table(spark, sf_dir, "pages"), url_labels(spark, sf_dir)).drop("confidence")
 
 
+OP5_SQL = r"""
+WITH u AS (SELECT page_id, CASE WHEN contains(coalesce(url, ''), '://') THEN substr(url, instr(url, '://') + 3) ELSE '' END AS rest FROM pages),
+h AS (SELECT *, regexp_extract(rest, '^[^/?#]*') AS raw FROM u),
+c AS (SELECT page_id, row_number() OVER () AS r, translate(raw, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host,
+    regexp_extract(substr(rest, length(raw) + 1), '^[^?#]*') AS path,
+    translate(substr(rest, length(raw) + 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS tail FROM h),
+tok AS (SELECT DISTINCT r, t FROM (
+    SELECT r, 'h:' || unnest(regexp_split_to_array(host, '[.:-]+')) AS t FROM c UNION ALL SELECT r, 'p:' || unnest(regexp_split_to_array(tail, '[^a-z0-9_]+')) FROM c)
+    WHERE length(t) > 2 AND NOT regexp_matches(substr(t, 3), '^[0-9]+$')),
+lab AS (SELECT doc_id, max(CASE WHEN toxic = 1 OR quality = 0 THEN 1 ELSE 0 END) AS bad FROM labels GROUP BY doc_id),
+known AS (SELECT r, bad FROM c JOIN lab ON lab.doc_id = TRY_CAST(nullif(regexp_extract(path, '/([0-9]+)', 1), '') AS BIGINT) WHERE r IN (SELECT r FROM tok)),
+floor AS (SELECT greatest(20, ceil(0.002 * count(*))) AS least FROM known),
+one AS (SELECT t FROM tok JOIN known USING (r) GROUP BY t HAVING sum(bad) >= (SELECT least FROM floor)),
+k AS (SELECT r, t, bad FROM tok JOIN known USING (r) JOIN one USING (t)),
+sets AS (SELECT [a.t] AS s, a.r, a.bad FROM k a
+    UNION ALL SELECT [a.t, b.t], a.r, a.bad FROM k a JOIN k b ON a.r = b.r AND a.t < b.t
+    UNION ALL SELECT [a.t, b.t, d.t], a.r, a.bad FROM k a JOIN k b ON a.r = b.r AND a.t < b.t JOIN k d ON a.r = d.r AND b.t < d.t
+    UNION ALL SELECT [a.t, b.t, d.t, e.t], a.r, a.bad FROM k a JOIN k b ON a.r = b.r AND a.t < b.t JOIN k d ON a.r = d.r AND b.t < d.t JOIN k e ON a.r = e.r AND d.t < e.t),
+mined AS (SELECT s FROM sets GROUP BY s HAVING sum(bad) >= (SELECT least FROM floor) AND sum(bad) >= 0.8 * count(*)),
+own AS (SELECT r, list(t) AS ts FROM tok GROUP BY r),
+hit AS (SELECT DISTINCT r FROM own JOIN mined ON list_has_all(ts, s)),
+rules(verdict, rh, rp) AS (VALUES ('block', 'net', '/'), ('allow', 'example.net', '/en/'), ('block', 'example.com', '/de/'), ('allow', 'org', '/fr/')),
+fit AS (SELECT r, arg_max(rh || rp, length(rh || rp)) AS rule, arg_max(verdict, length(rh || rp)) AS verdict
+    FROM c JOIN rules ON (host = rh OR suffix(host, '.' || rh)) AND starts_with(path, rp) GROUP BY r)
+SELECT page_id, host, path, rule, coalesce(verdict, CASE WHEN hit.r IS NULL THEN 'allow' ELSE 'block' END) AS verdict
+FROM c LEFT JOIN fit USING (r) LEFT JOIN hit USING (r)
+"""
+
+
 def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.decontaminate(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")).drop("spans")
 
@@ -134,4 +158,4 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op5_url_rules": op5_url_rules, "op6_decontamination": op6_decontamination, "op7_toxicity": op7_toxicity, "op8_recurrent_lm": op8_recurrent_lm,
     "op9_risk_rules": op9_risk_rules, "op10_chat_masks": op10_chat_masks,
 }
-ORACLES: dict[str, str] = {"op2_jaccard_join": OP2_SQL, "op4_warc_revisits": OP4_SQL, "op6_decontamination": OP6_SQL, "op10_chat_masks": OP10_SQL}
+ORACLES: dict[str, str] = {"op2_jaccard_join": OP2_SQL, "op4_warc_revisits": OP4_SQL, "op5_url_rules": OP5_SQL, "op6_decontamination": OP6_SQL, "op10_chat_masks": OP10_SQL}
