@@ -28,6 +28,8 @@ NEAR, SLOTS, REST = 64, 64, 16
 HIDDEN, LANES, WINDOW, SEGMENT = 24, 256, 16, 512
 #: Rounds of parallel descent, which deal out the training documents; tasks of a round at most; step size at first, which falls to a tenth.
 ROUNDS, TASKS, RATE = 2, 4096, 0.02
+#: Bits of a hash that say where to look for it.
+PREFIX = 17
 #: Bytes of text that are cut into words at once.
 BLOCK = 500_000
 #: The hash that stands for the end of a document.
@@ -54,7 +56,7 @@ class Words:
         """Place in the head, and whether it is there at all."""
         if not len(self.keys):
             return np.zeros(len(hashes), int), np.zeros(len(hashes), bool)
-        at = np.minimum(np.searchsorted(self.keys, hashes), len(self.keys) - 1)
+        at = np.minimum(searched(self.keys, hashes), len(self.keys) - 1)
         return at, self.keys[at] == hashes
 
     def codes(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -64,6 +66,17 @@ class Words:
         return np.where(there, row, np.where(hashes == END, 0, ROWS - 1)).astype(np.int16), at, there
 
 
+def searched(keys: np.ndarray, hashes: np.ndarray) -> np.ndarray:
+    """``np.searchsorted``; many hashes begin at the first key with their highest bits, and few keys share these."""
+    if len(hashes) < 1 << PREFIX:
+        return np.searchsorted(keys, hashes)
+    first = np.searchsorted(keys, np.arange(-(1 << PREFIX - 1), 1 << PREFIX - 1) << 64 - PREFIX)
+    at = first[(hashes >> 64 - PREFIX) + (1 << PREFIX - 1)]
+    for _ in range(int(np.diff(first, append=len(keys)).max())):
+        at += keys[np.minimum(at, len(keys) - 1)] < hashes
+    return np.minimum(at, len(keys))
+
+
 def kinds_of(rows: np.ndarray) -> np.ndarray:
     """Class by input row: a near word's row holds its class and slot, other classes have one row each."""
     return np.where(rows < NEAR * SLOTS, rows // SLOTS, rows - NEAR * SLOTS + NEAR)
@@ -145,6 +158,14 @@ def soft(logits: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return shares, np.log(total)
 
 
+def log_total(logits: np.ndarray) -> np.ndarray:
+    """The log of the softmax's divisor alone; the logits are used up."""
+    np.minimum(logits, CLIP, out=logits)
+    total = np.exp(logits, out=logits) @ np.ones(logits.shape[1], logits.dtype)
+    total += 1e-30
+    return np.log(total, out=total)
+
+
 def near_groups(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Places of the near words in order of their class, and where each class begins among them."""
     near = np.flatnonzero(rows < NEAR * SLOTS)
@@ -168,11 +189,11 @@ def log_likelihood(p: Params, states: np.ndarray, rows: np.ndarray) -> np.ndarra
     logits = states @ p["out"]
     logits += p["bias"]
     got = np.minimum(logits[at, kind], CLIP)
-    got -= soft(logits)[1]
+    got -= log_total(logits)
     places, bounds = near_groups(rows)
     inner = slot_logits(p, states[places], bounds)
     own = np.minimum(inner[at[: len(places)], rows[places] % SLOTS], CLIP)
-    got[places] += own - soft(inner)[1]
+    got[places] += own - log_total(inner)
     return got
 
 
@@ -244,11 +265,17 @@ class Descent:
         for k, d in g.items():
             at = rows if k == "inputs" else slice(None)
             first, second = self.first[k][at], self.second[k][at]
-            first += 0.1 * (d - first)
-            second += 0.01 * (d * d - second)
+            move = np.subtract(d, first)
+            move *= 0.1
+            first += move
+            np.multiply(d, d, out=move)
+            move -= second
+            move *= 0.01
+            second += move
             if k == "inputs":
                 self.first[k][at], self.second[k][at] = first, second
-            move = np.sqrt(second / np.float32(1 - 0.99**self.step))
+            np.divide(second, np.float32(1 - 0.99**self.step), out=move)
+            np.sqrt(move, out=move)
             move += 1e-6
             np.divide(first, move, out=move)
             move *= np.float32(rate / (1 - 0.9**self.step))
@@ -385,10 +412,10 @@ def descend(documents: DataFrame, words: Words, params: Params) -> Params:
 def scores(p: Params, xs: np.ndarray, ys: np.ndarray, begin: np.ndarray, docs: np.ndarray, n: int) -> np.ndarray:
     """Natural-log probability of each document's classes and near words; the state goes on from window to window until its end."""
     total, h = np.zeros(n), np.zeros((xs.shape[1], HIDDEN), np.float32)
-    for t in range(0, len(xs), 32):
+    for t in range(0, len(xs), 16):
         live = int((docs[t] >= 0).sum())  # lanes end from the last on
-        x, y, d = xs[t : t + 32, :live], ys[t : t + 32, :live], docs[t : t + 32, :live]
-        states, _ = forward(p, x, begin[t : t + 32, :live], h[:live])
+        x, y, d = xs[t : t + 16, :live], ys[t : t + 16, :live], docs[t : t + 16, :live]
+        states, _ = forward(p, x, begin[t : t + 16, :live], h[:live])
         h = states[-1]
         there = d >= 0
         total += np.bincount(d[there], log_likelihood(p, states[there], y[there]), n)
