@@ -28,6 +28,8 @@ NEAR, SLOTS, REST = 64, 64, 16
 HIDDEN, LANES, WINDOW, SEGMENT = 24, 256, 16, 512
 #: Rounds of parallel descent, which deal out the training documents; tasks of a round at most; step size at first, which falls to a tenth.
 ROUNDS, TASKS, RATE = 2, 4096, 0.02
+#: Tokens of a window of scoring.
+AHEAD = 8192
 #: Bits of a hash that say where to look for it.
 PREFIX = 17
 #: Bytes of text that are cut into words at once.
@@ -113,55 +115,79 @@ def fresh(words: Words) -> Params:
     }
 
 
-def sigmoid(x: np.ndarray) -> np.ndarray:
-    """In place."""
-    np.negative(x, out=x)
-    np.exp(x, out=x)
-    x += 1
-    return np.reciprocal(x, out=x)
+def forward(p: Params, x: np.ndarray, begin: np.ndarray, h: np.ndarray, keep: bool = True) -> tuple[np.ndarray, list]:
+    """States after each step of a window and, if asked for, what ``backward`` needs; ``begin`` marks steps that start a document, where the state is zero.
 
-
-def forward(p: Params, x: np.ndarray, begin: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, list]:
-    """States after each step of a window; ``begin`` marks steps that start a document, where the state is zero."""
+    Each gate has its own columns. Their signs are turned where they are added up, and the candidate's are doubled: exp takes them as they are.
+    """
     steps, n = x.shape
-    out, kept, w = np.empty((steps, n, HIDDEN), p["state"].dtype), [], 2 * HIDDEN
-    keep = ~begin
-    for t in range(steps):
-        if not keep[t].all():
-            h = h * keep[t][:, None]
-        gates, b = p["inputs"].take(x[t], 0), h @ p["state"]
-        new, gates = gates[:, w:], np.add(gates[:, :w], b[:, :w])
-        with np.errstate(over="ignore"):
-            sigmoid(gates)
-            r, z = gates[:, :HIDDEN], gates[:, HIDDEN:]
-            new = r * b[:, w:] + new
-            new *= 2
-            sigmoid(new)
-        new *= 2
-        new -= 1
-        kept.append((h, r, z, new, b[:, w:]))
-        h = np.add(new, z * (h - new), out=out[t])
+    kind = p["state"].dtype
+    out, kept, goes_on = np.empty((steps, n, HIDDEN), kind), [], ~begin
+    state = by_gate(p["state"]) * np.array([-1, -1, -2], kind)[:, None, None]
+    rows, at = p["inputs"].reshape(-1, HIDDEN), x[:, None, :].astype(np.intp) * 3 + np.arange(3)[:, None]
+    one, two = kind.type(1), kind.type(2)
+    with np.errstate(over="ignore"):
+        for t in range(steps):
+            if not goes_on[t].all():
+                h = h * goes_on[t][:, None]
+            given, gates = rows.take(at[t], 0), np.matmul(h, state)
+            both = gates[:2]
+            both -= given[:2]
+            np.exp(both, out=both)
+            both += one
+            np.reciprocal(both, out=both)
+            r, z, b = gates
+            new = r * b
+            new -= given[2]
+            new -= given[2]
+            np.exp(new, out=new)
+            new += one
+            np.divide(two, new, out=new)
+            new -= one
+            ahead = h - new
+            if keep:
+                kept.append((h, r, z, new, b, ahead))
+            h = np.multiply(z, ahead, out=out[t])
+            h += new
     return out, kept
 
 
-#: Logits stay within this; beyond it a probability is next to 0 or 1 anyway.
-CLIP = 60.0
+def by_gate(v: np.ndarray) -> np.ndarray:
+    """(3, HIDDEN, HIDDEN): the weights of each gate."""
+    return np.ascontiguousarray(v.reshape(HIDDEN, 3, HIDDEN).transpose(1, 0, 2))
 
 
-def soft(logits: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Softmax in place of the logits, and the log of its divisor."""
-    np.minimum(logits, CLIP, out=logits)
-    shares = np.exp(logits, out=logits)
-    total = shares @ np.ones(shares.shape[1], shares.dtype)
-    total += 1e-30
-    shares *= np.reciprocal(total)[:, None]
-    return shares, np.log(total)
+#: Logits stay within this; beyond it a probability is next to 0 or 1 anyway. So many rows of them stay in a core's cache.
+CLIP, CACHED = 60.0, 512
+
+
+def slopes(logits: np.ndarray, own: np.ndarray, share: np.ndarray) -> np.ndarray:
+    """In place of the logits: the softmax less 1 at each row's ``own`` column, times the row's ``share``."""
+    for a in range(0, len(logits), CACHED):
+        d, part = logits[a : a + CACHED], share[a : a + CACHED]
+        np.minimum(d, CLIP, out=d)
+        np.exp(d, out=d)
+        total = d @ np.ones(d.shape[1], d.dtype)
+        total += 1e-30
+        d *= (part / total)[:, None]
+    logits[np.arange(len(logits)), own] -= share
+    return logits
+
+
+def with_one(states: np.ndarray) -> np.ndarray:
+    """States and a column of ones, which meets the biases."""
+    out = np.ones((len(states), HIDDEN + 1), states.dtype)
+    out[:, :HIDDEN] = states
+    return out
 
 
 def log_total(logits: np.ndarray) -> np.ndarray:
     """The log of the softmax's divisor alone; the logits are used up."""
-    np.minimum(logits, CLIP, out=logits)
-    total = np.exp(logits, out=logits) @ np.ones(logits.shape[1], logits.dtype)
+    total = np.empty(len(logits), logits.dtype)
+    for a in range(0, len(logits), CACHED):
+        d = logits[a : a + CACHED]
+        np.minimum(d, CLIP, out=d)
+        np.matmul(np.exp(d, out=d), np.ones(d.shape[1], d.dtype), out=total[a : a + CACHED])
     total += 1e-30
     return np.log(total, out=total)
 
@@ -174,24 +200,33 @@ def near_groups(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return near[order], np.searchsorted(kind[order], np.arange(NEAR + 1))
 
 
-def slot_logits(p: Params, states: np.ndarray, bounds: np.ndarray) -> np.ndarray:
+def slot_weights(p: Params) -> np.ndarray:
+    """(NEAR, HIDDEN + 1, SLOTS): weights within the near classes, biases last."""
+    return np.concatenate((p["inner"], p["slots"][:, None]), axis=1)
+
+
+def groups_of(bounds: np.ndarray) -> list[tuple[int, int, int]]:
+    """(class, first, end) of the near classes that are met."""
+    ends = bounds.tolist()
+    return [(c, a, b) for c, (a, b) in enumerate(zip(ends, ends[1:])) if a < b]
+
+
+def slot_logits(weights: np.ndarray, states: np.ndarray, groups: list[tuple[int, int, int]]) -> np.ndarray:
+    """Of states with a one, in order of their classes."""
     out = np.empty((len(states), SLOTS), states.dtype)
-    for c in np.flatnonzero(np.diff(bounds)).tolist():
-        a, b = bounds[c], bounds[c + 1]
-        np.matmul(states[a:b], p["inner"][c], out=out[a:b])
-        out[a:b] += p["slots"][c]
+    for c, a, b in groups:
+        np.matmul(states[a:b], weights[c], out=out[a:b])
     return out
 
 
 def log_likelihood(p: Params, states: np.ndarray, rows: np.ndarray) -> np.ndarray:
     """Natural log probability of each token's class and, for near words, of the word in it."""
-    at, kind = np.arange(len(rows)), kinds_of(rows)
-    logits = states @ p["out"]
-    logits += p["bias"]
-    got = np.minimum(logits[at, kind], CLIP)
+    at, states = np.arange(len(rows)), with_one(states)
+    logits = states @ np.concatenate((p["out"], p["bias"][None]))
+    got = np.minimum(logits[at, kinds_of(rows)], CLIP)
     got -= log_total(logits)
     places, bounds = near_groups(rows)
-    inner = slot_logits(p, states[places], bounds)
+    inner = slot_logits(slot_weights(p), states.take(places, 0), groups_of(bounds))
     own = np.minimum(inner[at[: len(places)], rows[places] % SLOTS], CLIP)
     got[places] += own - log_total(inner)
     return got
@@ -199,50 +234,52 @@ def log_likelihood(p: Params, states: np.ndarray, rows: np.ndarray) -> np.ndarra
 
 def backward(p: Params, x: np.ndarray, y: np.ndarray, begin: np.ndarray, live: np.ndarray, states: np.ndarray, kept: list) -> tuple[Params, np.ndarray]:
     """Gradient of the mean loss over a window, nothing flowing beyond its first step; for ``inputs`` only of the rows in the second result."""
-    flat, rows = states.reshape(-1, HIDDEN), y.ravel()
-    at, share = np.arange(len(rows)), (live.ravel() / max(live.sum(), 1)).astype(flat.dtype)
-    logits = flat @ p["out"]
-    logits += p["bias"]
-    d, _ = soft(logits)
-    d[at, kinds_of(rows)] -= 1
-    d *= share[:, None]
-    g = {"out": flat.T @ d, "bias": d.sum(0), "inner": np.zeros_like(p["inner"]), "slots": np.zeros_like(p["slots"])}
-    back = d @ p["out"].T
+    flat, rows = with_one(states.reshape(-1, HIDDEN)), y.ravel()
+    kind, share = flat.dtype, (live.ravel() / max(live.sum(), 1)).astype(flat.dtype)
+    d = slopes(flat @ np.concatenate((p["out"], p["bias"][None])), kinds_of(rows), share)
+    outer, back = flat.T @ d, d @ p["out"].T
     places, bounds = near_groups(rows)
-    own = flat[places]
-    d, _ = soft(slot_logits(p, own, bounds))
-    d[at[: len(places)], rows[places] % SLOTS] -= 1
-    d *= share[places][:, None]
-    inner = np.empty_like(own)
-    for c in np.flatnonzero(np.diff(bounds)).tolist():
-        a, b = bounds[c], bounds[c + 1]
-        np.matmul(own[a:b].T, d[a:b], out=g["inner"][c])
-        g["slots"][c] = d[a:b].sum(0)
-        np.matmul(d[a:b], p["inner"][c].T, out=inner[a:b])
+    groups, weights, own = groups_of(bounds), slot_weights(p), flat.take(places, 0)
+    d = slopes(slot_logits(weights, own, groups), rows[places] % SLOTS, share[places])
+    within, turned, inner = np.zeros_like(weights), np.ascontiguousarray(p["inner"].transpose(0, 2, 1)), np.empty((len(own), HIDDEN), kind)
+    for c, a, b in groups:
+        mine = d[a:b]
+        np.matmul(own[a:b].T, mine, out=within[c])
+        np.matmul(mine, turned[c], out=inner[a:b])
     back[places] += inner
     back = back.reshape(states.shape)
-    dh = np.zeros_like(states[0])
-    da, db = np.empty((*x.shape, 3 * HIDDEN), flat.dtype), np.empty((*x.shape, 3 * HIDDEN), flat.dtype)
-    keep, turned = ~begin, np.ascontiguousarray(p["state"].T)
+    dh, one, half = np.zeros_like(states[0]), kind.type(1), kind.type(-0.5)
+    # slopes of the candidate, of both gates, and of what the candidate has of the state
+    slope, keep, turned = np.empty((4, *states.shape), kind), ~begin, np.ascontiguousarray(by_gate(p["state"]).transpose(0, 2, 1))
     for t in range(len(x) - 1, -1, -1):
-        h, r, z, new, b = kept[t]
+        h, r, z, new, b, ahead = kept[t]
+        dnew, dr, dz, db = slope[:, t]
         dh += back[t]
         through = dh * z
-        dnew = dh - through
-        dnew *= 1 - new * new
-        np.multiply(through * (1 - z), h - new, out=da[t, :, HIDDEN : 2 * HIDDEN])
-        np.multiply(dnew * b, r * (1 - r), out=da[t, :, :HIDDEN])
-        da[t, :, 2 * HIDDEN :] = dnew
-        db[t, :, : 2 * HIDDEN] = da[t, :, : 2 * HIDDEN]
-        np.multiply(dnew, r, out=db[t, :, 2 * HIDDEN :])
+        np.subtract(dh, through, out=dnew)
+        rest = new * new
+        np.subtract(one, rest, out=rest)
+        dnew *= rest
+        np.multiply(dnew, r, out=db)
+        np.subtract(one, r, out=rest)
+        rest *= db
+        rest *= half
+        np.multiply(rest, b, out=dr)  # the state's part was doubled and its sign turned
+        np.subtract(one, z, out=rest)
+        rest *= ahead
+        np.multiply(rest, through, out=dz)
         dh = through
-        dh += db[t] @ turned
+        for part in np.matmul(slope[1:, t], turned):
+            dh += part
         if not keep[t].all():
             dh *= keep[t][:, None]
-    g["state"] = np.concatenate([k[0] for k in kept]).T @ db.reshape(-1, 3 * HIDDEN)
-    order = np.argsort(x.ravel(), kind="stable")
-    seen, heads = np.unique(x.ravel()[order], return_index=True)
-    g["inputs"] = np.add.reduceat(da.reshape(-1, 3 * HIDDEN)[order], heads, axis=0)
+    slope = slope.reshape(4, -1, HIDDEN)
+    g = {"out": outer[:-1], "bias": outer[-1], "inner": within[:, :-1], "slots": within[:, -1]}
+    g["state"] = np.concatenate(np.concatenate([k[0] for k in kept]).T @ slope[1:], axis=1)
+    times = np.bincount(x.ravel(), minlength=ROWS)
+    seen, place = np.flatnonzero(times), np.cumsum(times > 0) - 1
+    cells = (place[x.ravel()] * HIDDEN)[:, None] + np.arange(HIDDEN)
+    g["inputs"] = np.concatenate([np.bincount(cells.ravel(), slope[i].ravel()).reshape(-1, HIDDEN) for i in (1, 2, 0)], axis=1, dtype=kind, casting="same_kind")
     return g, seen
 
 
@@ -263,8 +300,9 @@ class Descent:
         self.step += 1
         rate = RATE * max(0.1, 1 - self.step / self.steps)
         for k, d in g.items():
-            at = rows if k == "inputs" else slice(None)
-            first, second = self.first[k][at], self.second[k][at]
+            first, second = self.first[k], self.second[k]
+            if k == "inputs":
+                first, second = first.take(rows, 0), second.take(rows, 0)
             move = np.subtract(d, first)
             move *= 0.1
             first += move
@@ -273,13 +311,17 @@ class Descent:
             move *= 0.01
             second += move
             if k == "inputs":
-                self.first[k][at], self.second[k][at] = first, second
-            np.divide(second, np.float32(1 - 0.99**self.step), out=move)
-            np.sqrt(move, out=move)
-            move += 1e-6
+                self.first[k][rows], self.second[k][rows] = first, second
+            # both moments are brought up to what they are without their start at zero
+            spread = np.float32((1 - 0.99**self.step) ** 0.5)
+            np.sqrt(second, out=move)
+            move += np.float32(1e-6) * spread
             np.divide(first, move, out=move)
-            move *= np.float32(rate / (1 - 0.9**self.step))
-            self.p[k][at] -= move
+            move *= np.float32(rate / (1 - 0.9**self.step)) * spread
+            if k == "inputs":
+                self.p[k][rows] -= move
+            else:
+                self.p[k] -= move
         self.met["inputs"] += np.bincount(x[live], minlength=ROWS)
         kinds = np.bincount(kinds_of(y[live]), minlength=KINDS)[:NEAR]
         self.met["inner"] += kinds
@@ -411,12 +453,13 @@ def descend(documents: DataFrame, words: Words, params: Params) -> Params:
 
 def scores(p: Params, xs: np.ndarray, ys: np.ndarray, begin: np.ndarray, docs: np.ndarray, n: int) -> np.ndarray:
     """Natural-log probability of each document's classes and near words; the state goes on from window to window until its end."""
-    total, h = np.zeros(n), np.zeros((xs.shape[1], HIDDEN), np.float32)
-    for t in range(0, len(xs), 16):
+    total, h, t = np.zeros(n), np.zeros((xs.shape[1], HIDDEN), np.float32), 0
+    while t < len(xs):
         live = int((docs[t] >= 0).sum())  # lanes end from the last on
-        x, y, d = xs[t : t + 16, :live], ys[t : t + 16, :live], docs[t : t + 16, :live]
-        states, _ = forward(p, x, begin[t : t + 16, :live], h[:live])
-        h = states[-1]
+        now = slice(t, t + max(1, AHEAD // live))
+        x, y, d = xs[now, :live], ys[now, :live], docs[now, :live]
+        states, _ = forward(p, x, begin[now, :live], h[:live], keep=False)
+        h, t = states[-1], now.stop
         there = d >= 0
         total += np.bincount(d[there], log_likelihood(p, states[there], y[there]), n)
     return total
